@@ -54,14 +54,19 @@ class RankTable:
         # One string, turned into an array of maps when the plan is optimised.
         self.literal = F.from_json(F.lit(json.dumps(buckets, separators=(",", ":"))), "array<map<string,int>>")
 
-    def get(self, key: Column) -> Column:
+    @staticmethod
+    def get(table: Column, key: Column) -> Column:
         """Rank of the bytes in hex, or null."""
-        return F.try_element_at(F.element_at(self.literal, (F.crc32(key) % TABLE + 1).cast("int")), key)
+        return F.try_element_at(F.element_at(table, (F.crc32(key) % TABLE + 1).cast("int")), key)
 
 
 def encode_word(word: Column, table: RankTable) -> Column:
-    """Codes of one word (a string) as array<int>."""
-    rank = lambda a, b: F.coalesce(table.get(F.concat(a, b)), F.lit(NONE))
+    """Codes of one word (a string) as array<int>. The literal stands in the plan once, bound to a variable."""
+    return _let(table.literal, lambda ranks: _encode_word(word, lambda key: RankTable.get(ranks, key)))
+
+
+def _encode_word(word: Column, get) -> Column:
+    rank = lambda a, b: F.coalesce(get(F.concat(a, b)), F.lit(NONE))
     some = lambda condition, value: F.when(condition, F.array(value)).otherwise(F.array().cast("array<int>"))
 
     def step(acc: Column, _: Column) -> Column:
@@ -88,11 +93,11 @@ def encode_word(word: Column, table: RankTable) -> Column:
     def fold(h: Column) -> Column:
         def start(t: Column) -> Column:
             pairs = F.zip_with(F.slice(t, F.lit(1), F.size(t) - 1), F.slice(t, F.lit(2), F.size(t) - 1), rank)
-            codes = F.aggregate(t, F.struct(t.alias("t"), pairs.alias("r")), step, lambda acc: F.transform(acc["t"], table.get))
+            codes = F.aggregate(t, F.struct(t.alias("t"), pairs.alias("r")), step, lambda acc: F.transform(acc["t"], get))
             return codes
 
         pieces = _let(F.transform(F.sequence(F.lit(1), F.length(h) - 1, F.lit(2)), lambda i: F.substring(h, i, F.lit(2))), start)
-        return _let(table.get(h), lambda whole: F.when(whole.isNotNull(), F.array(whole)).otherwise(pieces))
+        return _let(get(h), lambda whole: F.when(whole.isNotNull(), F.array(whole)).otherwise(pieces))
 
     return _let(F.hex(F.encode(word, "UTF-8")), fold)
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, jaccard, linededup, packing, pii, quality, secrets, topk, toxicity
+from . import bpe, jaccard, linededup, ordermin, packing, pii, quality, secrets, topk, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -47,12 +47,16 @@ def op8_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.code_digest(_table(spark, sf_dir, "documents"), ranks, public_tokenizers.PATTERN)
 
 
+def op9_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ordermin.fingerprint_edits(_table(spark, sf_dir, "documents"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_pii, op2_ngram_jaccard_join, op3_quality, op4_top_k, op5_secrets, op6_toxicity, op7_line_dedup, op8_bpe, op10_packing)}
+    return {f.__name__: f for f in (op1_pii, op2_ngram_jaccard_join, op3_quality, op4_top_k, op5_secrets, op6_toxicity, op7_line_dedup, op8_bpe, op9_order_minhash, op10_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
