@@ -8,9 +8,9 @@
 3. Pairs are verified with exact Jaccard on the whole n-gram sets, which are made once for the
    documents that share any bucket.
 4. Connected components of the verified links give the near-duplicate class.
-5. To lose no link, buckets that still hold several components afterwards are finished exactly: all
-   pairs across components, short of those already tested or too unequal in size. Pairs inside a component are never
-   needed, so groups of near copies cost a few pairs per member.
+5. To lose no link, buckets that still hold several components afterwards are finished exactly: small ones
+   by all pairs across components, large ones by the pairs whose rarest n-grams overlap (a prefix filter, which loses no
+   pair at the threshold). Pairs inside a component are never needed, so groups of near copies cost a few pairs per member.
 
 `bands_for` picks rows and bands so that a pair at the threshold is proposed with the target recall.
 
@@ -32,7 +32,8 @@ from pyspark.sql import functions as F
 from ._tables import Workspace
 from ._text import buffers, distinct_per_row, grams, mix, segment_min, steps, token_hashes, tokens
 
-PIVOT_ROUNDS = 3
+#: Mixed buckets of at most this many members are finished pair by pair, larger ones by prefixes.
+SMALL = 16
 
 
 def bands_for(similarity: float, recall: float, most_hashes: int = 128) -> tuple[int, int]:
@@ -136,6 +137,37 @@ def components(space: Workspace, edges: DataFrame, rounds: int = 60) -> DataFram
     return roots.unionByName(links.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
+def _all(tables: list[DataFrame]) -> DataFrame:
+    out = tables[0]
+    for more in tables[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def _small_buckets(rest: DataFrame) -> DataFrame:
+    """All pairs across components in buckets of at most `SMALL` members."""
+    theirs = rest.select("band", "h", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"))
+    return rest.join(theirs, ["band", "h"]).filter("root < root2").select("rep", "n", "rep2", "n2")
+
+
+def _by_prefix(members: DataFrame, sets: DataFrame, similarity: float, space: Workspace) -> DataFrame:
+    """Pairs across components of large buckets that can reach the similarity at all.
+
+    Two sets of Jaccard s share one of the first n - ceil(s n) + 1 n-grams of each when all sets are read in one
+    order. Rare n-grams come first, so a document whose own edits fill that prefix meets nobody.
+    """
+    grams = space.write(members.join(sets, members["rep"] == sets["doc_id"]).select("rep", "n", "root", F.explode("grams").alias("g")))
+    common = grams.groupBy("g").agg(F.count(F.lit(1)).alias("f")).filter("f > 1")
+    ranked = grams.join(common, "g", "left").groupBy("rep", "n", "root").agg(F.array_sort(F.collect_list(F.struct(F.coalesce("f", F.lit(1)).alias("f"), "g"))).alias("s"))
+    size = F.size("s") - F.ceil(F.size("s") * F.lit(similarity) - 1e-9).cast("int") + 1
+    first = space.write(ranked.select("rep", "n", "root", F.explode(F.slice("s", F.lit(1), size)).alias("t")).filter("t.f > 1").select("rep", "n", "root", F.col("t.g").alias("g")))
+    # Only n-grams that several components hold in their prefixes can link them.
+    bridging = first.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("g")
+    mine = space.write(first.join(bridging, "g"))
+    theirs = mine.select("g", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"))
+    return mine.join(theirs, "g").filter(F.col("root") < F.col("root2")).filter(F.least("n", "n2") >= similarity * F.greatest("n", "n2")).select("rep", "n", "rep2", "n2").distinct()
+
+
 def jaccard_join(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """(members, links).
 
@@ -164,39 +196,28 @@ def jaccard_join(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: f
     least = held.groupBy("band", "h").agg(F.min(F.struct("rep", "n")).alias("p"))
     star = held.join(least.select("band", "h", F.col("p.rep").alias("rep2"), F.col("p.n").alias("n2")), ["band", "h"])
     tested = [space.write(verify(star.filter(close).select(*pair).distinct(), sets))]
-    for turn in range(PIVOT_ROUNDS + 1):
-        known = tested[0]
-        for more in tested[1:]:
-            known = known.unionByName(more)
+    for turn in range(2):
+        known = _all(tested)
         roots = components(space, known.filter(F.col("jaccard") >= similarity).select(F.col("x").alias("src"), F.col("y").alias("dst")))
-        if turn == PIVOT_ROUNDS:
-            last = roots
-        labelled = held.join(roots, held["rep"] == roots["node"], "left").select("band", "h", "rep", "n", F.coalesce("root", "rep").alias("root"))
-        labelled = space.write(labelled)
-        # Two random members of different components, new ones in each round.
-        dice = F.xxhash64("rep", F.lit(turn))
+        labelled = space.write(held.join(roots, held["rep"] == roots["node"], "left").select("band", "h", "rep", "n", F.coalesce("root", "rep").alias("root")))
         mixed = labelled.groupBy("band", "h").agg(
-            F.min("root").alias("lo"), F.max("root").alias("hi"),
-            F.min(F.struct("root", dice, "rep", "n")).alias("p"), F.max(F.struct("root", dice, "rep", "n")).alias("q"),
+            F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("c"),
+            F.min(F.struct("root", F.xxhash64("rep"), "rep", "n")).alias("p"), F.max(F.struct("root", F.xxhash64("rep"), "rep", "n")).alias("q"),
         ).filter("lo < hi")
-        if turn < PIVOT_ROUNDS:
-            mixed = mixed.select("band", "h", "p", "q", "lo")
+        if turn == 0:  # a member of another component as pivot
             other = F.when(F.col("root") == F.col("lo"), F.col("q")).otherwise(F.col("p"))
-            wide = labelled.join(mixed, ["band", "h"]).withColumn("o", other)
+            wide = labelled.join(mixed.select("band", "h", "p", "q", "lo"), ["band", "h"]).withColumn("o", other)
             pairs = wide.select("rep", "n", F.col("o.rep").alias("rep2"), F.col("o.n").alias("n2"))
-        else:
-            rest = labelled.join(mixed.select("band", "h"), ["band", "h"])
-            mine, theirs = rest, rest.select("band", "h", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"))
-            pairs = mine.join(theirs, (mine["band"] == theirs["band"]) & (mine["h"] == theirs["h"]) & (F.col("root") < F.col("root2")) & close).select("rep", "n", "rep2", "n2")
+        else:  # whatever may still link components
+            pairs = _small_buckets(labelled.join(mixed.filter(F.col("c") <= SMALL).select("band", "h"), ["band", "h"]))
+            large = labelled.join(mixed.filter(F.col("c") > SMALL).select("band", "h"), ["band", "h"]).select("rep", "n", "root").distinct()
+            pairs = pairs.unionByName(_by_prefix(space.write(large), sets, similarity, space))
         pairs = pairs.filter(close).select(*pair).distinct().join(known.select("x", "y"), ["x", "y"], "left_anti")
         tested.append(space.write(verify(pairs, sets)))
         space.drop(labelled)
-    known = tested[0]
-    for more in tested[1:]:
-        known = known.unionByName(more)
-    links = space.write(known.filter(F.col("jaccard") >= similarity))
+    links = space.write(_all(tested).filter(F.col("jaccard") >= similarity))
     if tested[-1].filter(F.col("jaccard") >= similarity).isEmpty():
-        roots = last
+        pass  # nothing new joined: the last components stand
     else:
         roots = components(space, links.select(F.col("x").alias("src"), F.col("y").alias("dst")))
     degree = links.select(F.explode(F.array("x", "y")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
