@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import re
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -9,6 +13,7 @@ from ..config import NSFW
 from ..functions import text as T
 from .clean import symbol_ratio
 
+_SPACES = re.compile(r"[ \t\n\x0b\f\r]+")
 #: Everything but letters of scripts other than the target one.
 TARGET = r"[\p{IsLatin}\p{N}\p{P}\p{S}\p{Z}\p{M}\s]"
 
@@ -37,6 +42,32 @@ def word_repetition(text: Column, n: int = 5, least: int = 2) -> Column:
     return T.repeated_share(F.transform(T.ngrams(T.words(text), n), lambda g: F.xxhash64(g)), least)
 
 
+def repetition_scores(text: pd.Series) -> pd.DataFrame:
+    """Both n-gram scores by sorted hashes: the production form of the two column expressions above."""
+
+    def share(h: np.ndarray) -> float:
+        if not len(h):
+            return 0.0
+        _, c = np.unique(h, return_counts=True)
+        return float(c[c >= 2].sum() / len(h))
+
+    def windows(x: np.ndarray, n: int) -> np.ndarray:
+        out = np.zeros(max(0, len(x) - n + 1), np.uint64)
+        for k in range(n):
+            out = (out ^ x[k : k + len(out)]) * np.uint64(0x9E3779B97F4A7C15)
+            out ^= out >> np.uint64(29)
+        return out
+
+    chars, words = [], []
+    for t in text:
+        points = np.frombuffer((t or "").encode("utf-32-le"), np.uint32).astype(np.uint64)
+        chars.append(share(windows(points, 10)))
+        known: dict[str, int] = {}
+        w = np.array([known.setdefault(x, len(known)) for x in _SPACES.split(t or "") if x], np.uint64)
+        words.append(share(windows(w, 5)) if len(w) >= 5 else 0.0)
+    return pd.DataFrame({"char_rep": chars, "word_rep": words})
+
+
 def signals(df: DataFrame, repetition: bool = True) -> DataFrame:
     """doc_id, lang and the statistics; arrays are made once in a projection of their own."""
     keep = [c for c in ("doc_id", "lang", "source") if c in df.columns]
@@ -56,5 +87,6 @@ def signals(df: DataFrame, repetition: bool = True) -> DataFrame:
         non_target_count(F.col("text")).cast("long").alias("non_target_count"),
     ]
     if repetition:
-        columns += [char_repetition(F.col("text")).alias("char_rep"), word_repetition(F.col("text")).alias("word_rep")]
+        base = base.withColumn("_r", F.pandas_udf(repetition_scores, "char_rep double, word_rep double")("text"))
+        columns += [F.col("_r.char_rep").alias("char_rep"), F.col("_r.word_rep").alias("word_rep")]
     return base.select(*keep, *columns, symbol_ratio(F.col("text")).alias("symbol_ratio"))

@@ -101,16 +101,22 @@ def q_flags(spark, d):
     return _flagged(spark, d).select("lang", F.explode("flags").alias("flag")).groupBy("lang", "flag").agg(F.count(F.lit(1)).alias("n"))
 
 
-def _single(name: str, flag: str) -> None:
+_PART = FLAGGED.replace("FROM full_sig", "FROM part_sig")
+_NO_REP = f"WITH {SIGNALS}, part_sig AS (SELECT *, 0.0 AS word_rep, 0.0 AS char_rep FROM sig), {_PART}"
+_WORD_REP = f"WITH {SIGNALS}, {REPETITION[: REPETITION.index('cg AS')]} part_sig AS (SELECT sig.*, coalesce(word_rep, 0.0) AS word_rep, 0.0 AS char_rep FROM sig LEFT JOIN wr USING (doc_id)), {_PART}"
+
+
+def _single(name: str, flag: str, prelude: str) -> None:
     def run(spark, d):
         return _flagged(spark, d).filter(F.array_contains("flags", flag)).select("doc_id", "lang")
 
     run.__name__ = name
-    query(f"WITH {SIGNALS}, {REPETITION}, {FLAGGED} SELECT doc_id, lang FROM flagged WHERE list_contains(flags, '{flag}')")(run)
+    query(f"{prelude} SELECT doc_id, lang FROM flagged WHERE list_contains(flags, '{flag}')")(run)
 
 
-for _name, _flag in (("q_flag_nsfw", "nsfw"), ("q_flag_script", "script"), ("q_flag_lines", "few_lines"), ("q_flag_meanlen", "short_lines"), ("q_flag_wordrep", "word_rep")):
-    _single(_name, _flag)
+for _name, _flag in (("q_flag_nsfw", "nsfw"), ("q_flag_script", "script"), ("q_flag_lines", "few_lines"), ("q_flag_meanlen", "short_lines")):
+    _single(_name, _flag, _NO_REP)
+_single("q_flag_wordrep", "word_rep", _WORD_REP)
 
 
 @query(f"WITH {SIGNALS}, {REPETITION}, {FLAGGED} SELECT array_to_string(flags, '+') AS flag_set, count(*) AS n FROM flagged GROUP BY ALL")
@@ -118,7 +124,7 @@ def q_flag_matrix(spark, d):
     return flags.flag_matrix(_flagged(spark, d))
 
 
-@query("SELECT * FROM (VALUES ('en',3.0),('fr',2.5),('de',3.0),('es',3.0)) t(lang, t_min_mean_len)")
+@query("SELECT lang, t::DOUBLE AS t_min_mean_len FROM (VALUES ('en',3.0),('fr',2.5),('de',3.0),('es',3.0)) t(lang, t)")
 def q_thresholds(spark, d):
     return flags.thresholds(spark).select("lang", "t_min_mean_len")
 
