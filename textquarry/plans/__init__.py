@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-AREAS = ("q_curation", "q_dedup", "q_web")
+AREAS = ("q_curation", "q_dedup", "q_web", "q_ops")
 
 
 def load() -> None:
