@@ -160,12 +160,14 @@ def _by_prefix(members: DataFrame, sets: DataFrame, similarity: float, space: Wo
     common = grams.groupBy("g").agg(F.count(F.lit(1)).alias("f")).filter("f > 1")
     ranked = grams.join(common, "g", "left").groupBy("rep", "n", "root").agg(F.array_sort(F.collect_list(F.struct(F.coalesce("f", F.lit(1)).alias("f"), "g"))).alias("s"))
     size = F.size("s") - F.ceil(F.size("s") * F.lit(similarity) - 1e-9).cast("int") + 1
-    first = space.write(ranked.select("rep", "n", "root", F.explode(F.slice("s", F.lit(1), size)).alias("t")).filter("t.f > 1").select("rep", "n", "root", F.col("t.g").alias("g")))
+    first = space.write(ranked.select("rep", "n", "root", F.posexplode(F.slice("s", F.lit(1), size)).alias("at", "t")).filter("t.f > 1").select("rep", "n", "root", "at", F.col("t.g").alias("g")))
     # Only n-grams that several components hold in their prefixes can link them.
     bridging = first.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("g")
     mine = space.write(first.join(bridging, "g"))
-    theirs = mine.select("g", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"))
-    return mine.join(theirs, "g").filter(F.col("root") < F.col("root2")).filter(F.least("n", "n2") >= similarity * F.greatest("n", "n2")).select("rep", "n", "rep2", "n2").distinct()
+    theirs = mine.select("g", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"), F.col("at").alias("at2"))
+    # The least common n-gram stands at the first places both have in common, so what follows it bounds the overlap.
+    reach = F.least(F.col("n") - F.col("at"), F.col("n2") - F.col("at2")) >= similarity / (1 + similarity) * (F.col("n") + F.col("n2")) - 1e-9
+    return mine.join(theirs, "g").filter((F.col("root") < F.col("root2")) & reach).select("rep", "n", "rep2", "n2").distinct()
 
 
 def jaccard_join(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
