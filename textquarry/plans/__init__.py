@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-AREAS = ("q_curation", "q_dedup", "q_web", "q_ops")
+AREAS = ("q_curation", "q_dedup", "q_web", "q_ops", "q_lm")
 
 
 def load() -> None:
