@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-AREAS = ("q_curation", "q_dedup", "q_web", "q_ops", "q_lm")
+AREAS = ("q_curation", "q_dedup", "q_web", "q_ops", "q_lm", "q_translate", "q_align", "q_stream")
 
 
 def load() -> None:
