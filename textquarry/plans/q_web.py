@@ -11,7 +11,7 @@ from ..sources import html, sites
 H = "CAST('0x' || substr(md5(CAST({x} AS VARCHAR)), 1, 8) AS BIGINT)"
 _DECODE = "text0"
 for _a, _b in html.ENTITIES:
-    _DECODE = f"replace({_DECODE}, '{_a}', '{_b}')".replace("'''", "''''")
+    _DECODE = "replace({}, '{}', '{}')".format(_DECODE, _a, _b.replace("'", "''"))
 _BODY = r"""regexp_replace(regexp_replace(regexp_replace(regexp_extract(regexp_replace(regexp_replace(html, '(?s)<!--.*?-->', '', 'g'), '(?s)<(script|style|nav|footer)\b[^>]*>.*?</(script|style|nav|footer)>', '', 'g'), '(?s)<article[^>]*>(.*)</article>', 1), '(?s)<h1[^>]*>.*?</h1>', '', 'g'), '<br\s*/?>|</p>', chr(10), 'g'), '<[^>]+>', '', 'g')"""
 EXTRACT = f"""ex AS (SELECT page_id, url, regexp_extract(html, '(?s)<title>(.*?)</title>', 1) AS title0, regexp_extract(html, '<html[^>]*lang="([a-z]+)"', 1) AS lang_hint, {_BODY} AS text0 FROM pages),
 extracted AS (SELECT page_id, url, {_DECODE.replace('text0', 'title0')} AS title, lang_hint, rtrim({_DECODE}, chr(10)) AS text FROM ex)"""
