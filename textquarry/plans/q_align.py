@@ -174,3 +174,61 @@ def q_verb_noun(spark, d):
     top = v.groupBy("verb").agg(F.sum("n").alias("t")).orderBy(F.col("t").desc(), "verb").limit(20).select("verb")
     w = Window.partitionBy("verb").orderBy(F.col("n").desc(), "noun")
     return v.withColumn("r", F.row_number().over(w)).filter("r <= 4").join(F.broadcast(top), "verb", "left_semi").select("verb", "noun", "n")
+
+
+@query(f"WITH {_FIRST} SELECT intent, count(*) AS n, count(*) / (sum(count(*)) OVER ())::DOUBLE AS share FROM (SELECT CASE WHEN prompt LIKE '%?%' THEN 'question' WHEN length(prompt) < 80 THEN 'short request' WHEN prompt LIKE '%' || chr(10) || '%' THEN 'with context' ELSE 'request' END AS intent FROM fp) GROUP BY intent")
+def q_intents(spark, d):
+    """Share of intents by keyword rules."""
+    p = F.col("prompt")
+    i = align.first_prompts(_conv(spark, d)).select(F.when(p.contains("?"), "question").when(F.length(p) < 80, "short request").when(p.contains("\n"), "with context").otherwise("request").alias("intent"))
+    n = i.groupBy("intent").agg(F.count(F.lit(1)).alias("n"))
+    return n.crossJoin(F.broadcast(i.agg(F.count(F.lit(1)).alias("t")))).select("intent", "n", (F.col("n") / F.col("t")).alias("share"))
+
+
+@query("""WITH RECURSIVE n AS (SELECT conv_id % 20 AS tree, conv_id, turn, role FROM conversations), p(tree, conv_id, turn, path) AS (
+ SELECT tree, conv_id, turn, substr(role, 1, 1) FROM n WHERE turn = 0 UNION ALL SELECT n.tree, n.conv_id, n.turn, path || substr(n.role, 1, 1) FROM p JOIN n ON n.conv_id = p.conv_id AND n.turn = p.turn + 1)
+SELECT tree, conv_id, arg_max(path, turn) AS path FROM p GROUP BY ALL""")
+def q_tree_paths(spark, d):
+    """Root-to-leaf paths of conversation trees: a node's parent is the previous turn of its branch, so a branch is one sorted group."""
+    n = _conv(spark, d).groupBy((F.col("conv_id") % 20).alias("tree"), "conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", F.substring("role", 1, 1).alias("r")))).alias("a"))
+    return n.select("tree", "conv_id", F.array_join(F.transform("a", lambda x: x["r"]), "").alias("path"))
+
+
+_LEX = f"lex AS (SELECT lang, word, count(*) AS n FROM (SELECT lang, unnest(list_distinct({FOLDED.format(x='text')})) AS word FROM documents) GROUP BY ALL HAVING count(*) >= 5)"
+_TPL = "tpl AS (SELECT i * 5 + j AS template_id, 'intent' || i AS intent, 'In ' || 'form ' || j || ', use the word {word}.' AS form FROM range(0, 21) a(i), range(0, 5) b(j))"
+
+
+def _lexicon(spark, d):
+    words = table(spark, d, "documents").select("lang", F.explode(F.array_distinct(T.folded_words(F.col("text")))).alias("word"))
+    return words.groupBy("lang", "word").agg(F.count(F.lit(1)).alias("n")).filter("n >= 5")
+
+
+@query(f"WITH {_LEX}, {_TPL} SELECT lang, word, template_id, replace(form, '{{word}}', word) AS prompt FROM (SELECT *, row_number() OVER (PARTITION BY lang, word ORDER BY {H.format(x='word || template_id')}, template_id) AS r FROM lex, tpl) WHERE r <= 3")
+def q_lexicon_pairs(spark, d):
+    """A fixed number of the 21 x 5 templates per word (3 on this corpus), chosen by hash inside the row: no shuffle of the product."""
+    ids = F.sequence(F.lit(0), F.lit(104))
+    ranked = F.transform(F.array_sort(F.transform(ids, lambda t: F.struct(T.md5_int(F.concat("word", t.cast("string"))).alias("h"), t.alias("t")))), lambda x: x["t"].cast("long"))
+    picked = _lexicon(spark, d).select("lang", "word", F.explode(F.slice(ranked, 1, 3)).alias("template_id"))
+    return picked.withColumn("prompt", F.concat(F.lit("In form "), (F.col("template_id") % 5).cast("string"), F.lit(", use the word "), "word", F.lit(".")))
+
+
+@query(f"WITH {_LEX} SELECT lang, count(*) AS words, count(*) * 3 AS pairs FROM lex GROUP BY lang")
+def q_lexicon_counts(spark, d):
+    return _lexicon(spark, d).groupBy("lang").agg(F.count(F.lit(1)).alias("words"), (F.count(F.lit(1)) * 3).alias("pairs"))
+
+
+@query("SELECT conv_id, CAST(k - 1 AS INTEGER) AS turn, split_part(l, ': ', 1) AS role, substr(l, instr(l, ': ') + 2) AS text FROM (SELECT conv_id, unnest(list_transform(a, x -> x)) AS l, generate_subscripts(a, 1) AS k FROM (SELECT conv_id, list(role || ': ' || replace(text, chr(10), ' ') ORDER BY turn) AS a FROM conversations GROUP BY conv_id))".replace("list_transform(a, x -> x)", "a"))
+def q_parse_dialogue(spark, d):
+    """A generated dialogue in one text, with a role mark per line, back to turns."""
+    c = _conv(spark, d).groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", F.concat("role", F.lit(": "), F.replace("text", F.lit("\n"), F.lit(" "))).alias("l")))).alias("a"))
+    whole = c.select("conv_id", F.array_join(F.transform("a", lambda x: x["l"]), "\n").alias("dialogue"))
+    lines = whole.select("conv_id", F.posexplode(F.split("dialogue", "\n")).alias("turn", "l"))
+    return lines.select("conv_id", "turn", F.substring_index("l", ": ", 1).alias("role"), F.expr("substring(l, instr(l, ': ') + 2)").alias("text"))
+
+
+@query("SELECT split, lang, count(*) AS docs FROM (SELECT 'src' AS split, lang FROM documents WHERE lang = 'en' UNION ALL SELECT 'synthetic', l FROM documents, (VALUES ('fr'), ('de'), ('es'), ('fr-latin'), ('de-latin'), ('es-latin')) t(l) WHERE lang = 'en') GROUP BY ALL")
+def q_synthetic_counts(spark, d):
+    """Documents of the synthetic split: each source document in every target, native and romanized."""
+    en = table(spark, d, "documents").filter("lang = 'en'")
+    out = en.select(F.lit("synthetic").alias("split"), F.explode(F.array(*(F.lit(x) for x in ("fr", "de", "es", "fr-latin", "de-latin", "es-latin")))).alias("lang"))
+    return out.unionByName(en.select(F.lit("src").alias("split"), "lang")).groupBy("split", "lang").agg(F.count(F.lit(1)).alias("docs"))
