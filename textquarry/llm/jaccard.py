@@ -154,19 +154,21 @@ def _by_prefix(members: DataFrame, sets: DataFrame, similarity: float, space: Wo
     """Pairs across components of large buckets that can reach the similarity at all.
 
     Two sets of Jaccard s share one of the first n - ceil(s n) + 1 n-grams of each when all sets are read in one
-    order. Rare n-grams come first, so a document whose own edits fill that prefix meets nobody.
+    order. N-grams of a single component come first: they link nothing, so they are only counted, and a document whose
+    own component's n-grams fill that prefix meets nobody. The others follow, rare ones first.
     """
-    grams = space.write(members.join(sets, members["rep"] == sets["doc_id"]).select("rep", "n", "root", F.explode("grams").alias("g")))
-    common = grams.groupBy("g").agg(F.count(F.lit(1)).alias("f")).filter("f > 1")
-    ranked = grams.join(common, "g", "left").groupBy("rep", "n", "root").agg(F.array_sort(F.collect_list(F.struct(F.coalesce("f", F.lit(1)).alias("f"), "g"))).alias("s"))
-    size = F.size("s") - F.ceil(F.size("s") * F.lit(similarity) - 1e-9).cast("int") + 1
-    first = space.write(ranked.select("rep", "n", "root", F.posexplode(F.slice("s", F.lit(1), size)).alias("at", "t")).filter("t.f > 1").select("rep", "n", "root", "at", F.col("t.g").alias("g")))
+    grams = space.write(members.join(sets, members["rep"] == sets["doc_id"]).select("rep", "n", "root", F.size("grams").alias("m"), F.explode("grams").alias("g")))
+    bridging = grams.groupBy("g").agg(F.count(F.lit(1)).alias("f"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("g", "f")
+    ranked = grams.join(bridging, "g").groupBy("rep", "n", "root", "m").agg(F.array_sort(F.collect_list(F.struct("f", "g"))).alias("s"))
+    own = F.col("m") - F.size("s")
+    size = F.greatest(F.col("m") - F.ceil(F.col("m") * F.lit(similarity) - 1e-9).cast("int") + 1 - own, F.lit(0))
+    first = space.write(ranked.select("rep", "n", "root", "m", own.alias("own"), F.posexplode(F.slice("s", F.lit(1), size)).alias("i", "t")).select("rep", "n", "root", "m", (F.col("own") + F.col("i")).alias("at"), F.col("t.g").alias("g")))
     # Only n-grams that several components hold in their prefixes can link them.
-    bridging = first.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("g")
-    mine = space.write(first.join(bridging, "g"))
-    theirs = mine.select("g", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"), F.col("at").alias("at2"))
+    meeting = first.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("g")
+    mine = space.write(first.join(meeting, "g"))
+    theirs = mine.select("g", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("root").alias("root2"), F.col("m").alias("m2"), F.col("at").alias("at2"))
     # The least common n-gram stands at the first places both have in common, so what follows it bounds the overlap.
-    reach = F.least(F.col("n") - F.col("at"), F.col("n2") - F.col("at2")) >= similarity / (1 + similarity) * (F.col("n") + F.col("n2")) - 1e-9
+    reach = F.least(F.col("m") - F.col("at"), F.col("m2") - F.col("at2")) >= similarity / (1 + similarity) * (F.col("m") + F.col("m2")) - 1e-9
     return mine.join(theirs, "g").filter((F.col("root") < F.col("root2")) & reach).select("rep", "n", "rep2", "n2").distinct()
 
 
