@@ -107,6 +107,22 @@ def test_jaccard_join_equals_brute_force(spark):
     assert all(r["jaccard"] >= 0.8 for r in links.collect())
 
 
+def test_jaccard_counts_every_link(spark, monkeypatch):
+    texts = near_copies(random.Random(8), groups=2, size=60) + ["one two"] * 3
+    texts += [" ".join(f"x{j}" if i == j else f"y{j}" for j in range(120)) for i in range(5, 45)]  # each linked to each
+    sets = [frozenset(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) for w in (t.split() for t in texts)]
+    distinct = {s: min(i for i, t in enumerate(sets) if t == s) for s in sets}
+    want = {(min(distinct[a], distinct[b]), max(distinct[a], distinct[b])) for a, b in itertools.combinations(distinct, 2) if len(a & b) >= 0.8 * len(a | b)}
+    for bounds in ({}, {"BLOCK_MEMBERS": 16, "TILE": 7, "LIGHT": 5, "COLUMNS": 9, "EXPANDED": 50}):
+        for name, value in bounds.items():
+            monkeypatch.setattr(jaccard, name, value)
+        members, links = jaccard.jaccard_join(frame(spark, texts))
+        assert sorted((r["x"], r["y"]) for r in links.collect()) == sorted(want)
+        got = {r["doc_id"]: r["n_links"] for r in members.collect()}
+        assert got == {i: sum(distinct[s] in pair for pair in want) for i, s in enumerate(sets)}
+    assert max(got.values()) == 39
+
+
 def test_jaccard_empty_and_keep_one(spark):
     assert jaccard.jaccard_join(frame(spark, []))[0].count() == 0
     kept = jaccard.keep_one(frame(spark, ["a b c d e f g", "a b c d e f g", "other words stand here now"]))

@@ -8,9 +8,12 @@
 3. Pairs are verified with exact Jaccard on the whole n-gram sets, which are made once for the
    documents that share any bucket.
 4. Connected components of the verified links give the near-duplicate class.
-5. To lose no link, buckets that still hold several components afterwards are finished exactly: small ones
+5. To lose no link between components, buckets that still hold several afterwards are finished exactly: small ones
    by all pairs across components, large ones by the pairs whose rarest n-grams overlap (a prefix filter, which loses no
-   pair at the threshold). Pairs inside a component are never needed, so groups of near copies cost a few pairs per member.
+   pair at the threshold). The classes need no pair inside a component, so there groups of near copies cost a few pairs per member.
+6. All links lie inside components, so the links and their number per document come from every pair of a component: its members
+   are dealt into blocks of bounded size, and each pair of blocks is one unit of work, which counts common n-grams for all
+   pairs at once. Output rows are degrees; the links themselves are made only when they are read.
 
 `bands_for` picks rows and bands so that a pair at the threshold is proposed with the target recall.
 
@@ -34,6 +37,11 @@ from ._text import buffers, distinct_per_row, grams, mix, segment_min, steps, to
 
 #: Mixed buckets of at most this many members are finished pair by pair, larger ones by prefixes.
 SMALL = 16
+#: Bounds of one block of a component (members, n-grams), and of the tiles in which two blocks are compared.
+BLOCK_MEMBERS, BLOCK_GRAMS = 8192, 1 << 22
+TILE, COLUMNS, EXPANDED = 1024, 4096, 1 << 22
+#: An n-gram that makes at most this many pairs in a tile is expanded, a more common one is a column of a matrix product.
+LIGHT = 4096
 
 
 def bands_for(similarity: float, recall: float, most_hashes: int = 128) -> tuple[int, int]:
@@ -172,12 +180,112 @@ def _by_prefix(members: DataFrame, sets: DataFrame, similarity: float, space: Wo
     return mine.join(theirs, "g").filter((F.col("root") < F.col("root2")) & reach).select("rep", "n", "rep2", "n2").distinct()
 
 
-def jaccard_join(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(members, links).
+def _common(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Number of n-grams that each set of *left* shares with each of *right*."""
+    out = np.zeros(len(left) * len(right), np.int64)
+    shared = np.intersect1d(np.concatenate(left), np.concatenate(right))
+    if not len(shared):
+        return out.reshape(len(left), len(right))
+
+    def entries(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        values, row = np.concatenate(sets), np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+        code = np.minimum(np.searchsorted(shared, values), len(shared) - 1)
+        held = shared[code] == values
+        code, row = code[held], row[held]
+        order = np.argsort(code, kind="stable")
+        return code[order], row[order], np.bincount(code, minlength=len(shared))
+
+    (ca, ra, fa), (cb, rb, fb) = entries(left), entries(right)
+    heavy = fa * fb > LIGHT
+    first = np.cumsum(fa) - fa
+    cl, rl = cb[~heavy[cb]], rb[~heavy[cb]]
+    total = np.cumsum(fa[cl])
+    at = 0
+    while at < len(cl):
+        to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + EXPANDED, side="right")))
+        times = fa[cl[at:to]]
+        within = np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
+        rows = ra[np.repeat(first[cl[at:to]], times) + within]
+        out += np.bincount(rows * len(right) + np.repeat(rl[at:to], times), minlength=len(out))
+        at = to
+    out = out.reshape(len(left), len(right))
+    number = np.cumsum(heavy) - 1
+    (ca, ra), (cb, rb) = ((number[c[heavy[c]]], r[heavy[c]]) for c, r in ((ca, ra), (cb, rb)))
+    for low in range(0, int(heavy.sum()), COLUMNS):
+        sides = []
+        for c, r, count in ((ca, ra, len(left)), (cb, rb, len(right))):
+            i, j = np.searchsorted(c, [low, low + COLUMNS])
+            dense = np.zeros((count, COLUMNS), np.float32)  # counts up to COLUMNS are exact
+            dense[r[i:j], c[i:j] - low] = 1
+            sides.append(dense)
+        out += (sides[0] @ sides[1].T).astype(np.int64)
+    return out
 
-    members: doc_id, copy_id (least id with the same n-gram set), class_id (least id of the near-duplicate class), n_links.
-    links: verified pairs (x, y, jaccard) of representatives; their components are those of all links.
-    """
+
+def _unit_links(side: np.ndarray, sets: list[np.ndarray], similarity: float) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(rows, rows, jaccard) of the links of one unit: all pairs of one block, or all pairs between two."""
+    size = np.array([len(x) for x in sets])
+    parts = [[b[k : k + TILE] for k in range(0, len(b), TILE)] for b in (np.flatnonzero(side == p)[np.argsort(size[side == p], kind="stable")] for p in np.unique(side))]
+    alone = len(parts) == 1
+    for m, a in enumerate(parts[0]):
+        for b in parts[0][m:] if alone else parts[1]:
+            low, high = max(size[a[0]], size[b[0]]), min(size[a[-1]], size[b[-1]])
+            if high < similarity * low:  # too unlike in size for any link
+                continue
+            both = _common([sets[i] for i in a], [sets[i] for i in b])
+            jaccard = both / (size[a][:, None] + size[b][None, :] - both)
+            hit = jaccard >= similarity
+            if alone and a is b:
+                hit = np.triu(hit, 1)
+            x, y = np.nonzero(hit)
+            yield a[x], b[y], jaccard[x, y]
+
+
+def _units(space: Workspace, roots: DataFrame, sets: DataFrame) -> DataFrame:
+    """(root, i, j, p, node, grams) in order of units: the members of blocks i and j of a component; p is the own block."""
+    held = roots.join(sets, roots["node"] == sets["doc_id"]).select("root", "node", "grams")
+    k = F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK_MEMBERS, F.sum(F.size("grams")) / BLOCK_GRAMS)).cast("int")
+    blocks = space.write(held.groupBy("root").agg(k.alias("k")))
+    placed = held.join(blocks, "root").withColumn("p", F.pmod(F.xxhash64("node"), F.col("k")).cast("int"))
+    placed = placed.withColumn("q", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
+    units = placed.select("root", F.least("p", "q").alias("i"), F.greatest("p", "q").alias("j"), "p", "node", "grams")
+    return units.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j")
+
+
+def _per_unit(units: DataFrame, similarity: float, pairs: bool) -> DataFrame:
+    """(x, y, jaccard) of all links, or (node, n_links) with one row for each unit that links a node."""
+
+    def result(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+        ids, side = np.array([r[0] for r in rows]), np.array([r[1] for r in rows])
+        degree = np.zeros(len(ids), np.int64)
+        for x, y, jaccard in _unit_links(side, [r[2] for r in rows], similarity):
+            if pairs:
+                u, v = ids[x], ids[y]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(u, v)), pa.array(np.maximum(u, v)), pa.array(jaccard)], ["x", "y", "jaccard"])
+            else:
+                degree += np.bincount(x, minlength=len(ids)) + np.bincount(y, minlength=len(ids))
+        if not pairs:
+            some = np.flatnonzero(degree)
+            yield pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(degree[some])], ["node", "n_links"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, rows = None, []
+        for batch in batches:
+            root, i, j, p, node = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("root", "i", "j", "p", "node"))
+            for k, grams in enumerate(batch.column("grams")):
+                if (new := (root[k], i[k], j[k])) != key:
+                    if rows:
+                        yield from result(rows)
+                    key, rows = new, []
+                rows.append((node[k], p[k], grams.values.to_numpy().copy()))
+        if rows:
+            yield from result(rows)
+
+    return units.mapInArrow(run, "x long, y long, jaccard double" if pairs else "node long, n_links long")
+
+
+def _near(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> tuple[Workspace, DataFrame, DataFrame, DataFrame, DataFrame]:
+    """Workspace, signatures, copy classes, n-gram sets of the documents that share a bucket, components (node, root)."""
     space = Workspace(docs.sparkSession, "jaccard")
     bands, rows = bands_for(similarity, recall)
     signed = space.write(signatures(docs, n, bands, rows, id_col, text_col))
@@ -219,20 +327,35 @@ def jaccard_join(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: f
         pairs = pairs.filter(close).select(*pair).distinct().join(known.select("x", "y"), ["x", "y"], "left_anti")
         tested.append(space.write(verify(pairs, sets)))
         space.drop(labelled)
-    links = space.write(_all(tested).filter(F.col("jaccard") >= similarity))
-    if tested[-1].filter(F.col("jaccard") >= similarity).isEmpty():
-        pass  # nothing new joined: the last components stand
-    else:
+    links = _all(tested).filter(F.col("jaccard") >= similarity)
+    if not tested[-1].filter(F.col("jaccard") >= similarity).isEmpty():  # otherwise the last components stand
         roots = components(space, links.select(F.col("x").alias("src"), F.col("y").alias("dst")))
-    degree = links.select(F.explode(F.array("x", "y")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
-    of_class = classes.select("a", "b", "n", "rep").join(roots.join(degree, "node"), F.col("rep") == F.col("node"), "left")
+    return space, signed, classes, sets, roots
+
+
+def _label(space: Workspace, signed: DataFrame, classes: DataFrame, nodes: DataFrame) -> DataFrame:
+    """doc_id, copy_id, class_id, n_links from (node, root, n_links) of the linked representatives."""
+    of_class = classes.select("a", "b", "n", "rep").join(nodes, F.col("rep") == F.col("node"), "left")
     of_class = space.write(of_class.select("a", "b", "n", F.col("rep").alias("copy_id"), F.coalesce("root", "rep").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links")))
-    members = signed.select("doc_id", "a", "b", "n").join(of_class, ["a", "b", "n"]).select("doc_id", "copy_id", F.when(F.col("doc_id").isNotNull(), F.col("class_id")).alias("class_id"), "n_links")
-    return members, links
+    return signed.select("doc_id", "a", "b", "n").join(of_class, ["a", "b", "n"]).select("doc_id", "copy_id", F.when(F.col("doc_id").isNotNull(), F.col("class_id")).alias("class_id"), "n_links")
+
+
+def jaccard_join(docs: DataFrame, n: int = 5, similarity: float = 0.8, recall: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(members, links).
+
+    members: doc_id, copy_id (least id with the same n-gram set), class_id (least id of the near-duplicate class), n_links
+    (other n-gram sets at or over the similarity to the document's own).
+    links: all verified pairs (x, y, jaccard) of representatives, x < y.
+    """
+    space, signed, classes, sets, roots = _near(docs, n, similarity, recall, id_col, text_col)
+    units = _units(space, roots, sets)
+    degree = _per_unit(units, similarity, pairs=False).groupBy("node").agg(F.sum("n_links").alias("n_links"))
+    return _label(space, signed, classes, roots.join(degree, "node")), _per_unit(units, similarity, pairs=True)
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The documents with one of each near-duplicate class left: the least id."""
-    members, _ = jaccard_join(docs, **options)
+    """The documents with one of each near-duplicate class left: the least id. Links inside classes are not needed for that."""
+    space, signed, classes, _, roots = _near(docs, **options)
+    members = _label(space, signed, classes, roots.withColumn("n_links", F.lit(None).cast("long")))
     gone = members.filter("doc_id <> class_id").select(F.col("doc_id").alias("_gone")).distinct()
     return docs.join(gone.hint("shuffle_hash"), F.col(options.get("id_col", "doc_id")) == F.col("_gone"), "left_anti")
