@@ -201,6 +201,19 @@ def test_secret_ownership(spark):
     assert out[0] == "password=<SECRET>" and out[1] == example and "<SECRET>" in out[4] and out[5] is None
 
 
+def test_secret_owner_counts(spark):
+    one, two, copied, many = "Zz9Kq77LmnP01", "Yy8Jp66KloO02", "Xx7Io55JkmN03", "Ww6Hn44IjlM04"
+    rows = [(f"own {i} password={one}", "a") for i in range(6)]  # one owner, six documents
+    rows += [(f"shared {o} password={two}", o) for o in "ab"]  # two owners
+    rows += [(f"copy password={copied}", o) for o in "abcdef"]  # one text, six owners
+    rows += [(f"manual {o} password={many}", o) for o in "abcde"]  # a widely copied example
+    rows += [("nothing", o) for o in "ghi"]
+    docs = spark.createDataFrame([(i, t, o) for i, (t, o) in enumerate(rows)], "doc_id long, text string, source string")
+    out = {r["doc_id"]: r["text"] for r in secrets.redact_live(docs).collect()}
+    assert [out[i].endswith("<SECRET>") for i in range(len(rows))] == [True] * 14 + [False] * 8
+    assert {r["n_live"] for r in secrets.secret_digest(docs).collect() if r["doc_id"] < 14} == {1}
+
+
 def test_toxicity_learns_and_ties_identity_terms(spark, sf_dir):
     docs, labels = (spark.read.parquet(f"{sf_dir}/../sf0.01/{t}.parquet") for t in ("documents", "labels"))
     rows = toxicity.toxicity_scores(docs, labels).join(labels, "doc_id").collect()

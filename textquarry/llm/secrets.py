@@ -3,15 +3,17 @@
 Per text, three plain patterns (assignment, access key, hex run) and one candidate pattern (long
 mixed-case token) are marked in place by control characters, split, and turned into code-point spans by a
 running sum over the pieces. Then every candidate value is hashed and aggregated over the corpus: in how
-many repositories (documents) and by how many owners (sources) it occurs. A value that several owners hold is a widely
-copied example; a value of one owner in few repositories is live-looking. Live-looking candidates are added to the plain spans.
+many repositories (different texts) and by how many owners (sources) it occurs. Copies of one text are one repository of one
+owner, the least of its holders. A value that many owners write in texts of their own, or that every owner of the corpus
+holds, is a widely copied example; any other is live-looking, in however many documents it stands. Live-looking candidates are added
+to the plain spans.
 
-Two-step counts (hash and owner, then hash) are combined before each shuffle, so a value that a third of
+Stepwise counts (hash and text, hash and owner, then hash) are combined before each shuffle, so a value that a third of
 all rows hold costs one partial row per task; the join back is a plain equi-join that adaptive
 execution splits. Texts are never shuffled by the scan.
 
 Defined cases: null text counts as empty; empty text has no findings; the marks' own control characters in a text are
-read as another control character of the same length, which no pattern accepts; repeated rows share
+read as another control character of the same length, which no pattern accepts; repeated rows and copies of a text share
 their findings and count as one repository; a null owner is an owner of its own; empty tables give empty
 results; other columns are not read.
 """
@@ -32,8 +34,8 @@ _TOKEN = r"([A-Za-z0-9+/_=-]{20,})"
 _ON, _MID, _OFF = "\x01", "\x02", "\x04"
 _SAFE = "\x03\x03\x03"
 
-#: A value is live-looking when one owner alone holds it, in at most this many repositories.
-MAX_OWNERS, MAX_REPOS = 1, 3
+#: A value is a widely copied example from so many owners with texts of their own on, or when all owners hold it and are so many.
+MANY_OWNERS, ALL_OWNERS = 5, 3
 
 
 def _pieces(text: Column, pattern: str, groups: int) -> Column:
@@ -87,11 +89,16 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_
 
 def value_ownership(found: DataFrame) -> DataFrame:
     """Per value hash: `owners`, `repos`, `live`."""
-    values = found.select("doc_id", F.coalesce(F.col("owner"), F.lit("")).alias("owner"), F.explode(F.array_distinct(F.transform(F.concat("plain", "extra"), lambda s: value_hash(s["value"])))).alias("h"))
-    by_repo = values.groupBy("h.a", "h.b", "owner", "doc_id").agg(F.count(F.lit(1)).alias("copies"))
-    by_owner = by_repo.groupBy("a", "b", "owner").agg(F.count(F.lit(1)).alias("repos"))
-    totals = by_owner.groupBy("a", "b").agg(F.count(F.lit(1)).alias("owners"), F.sum("repos").alias("repos"))
-    return totals.withColumn("live", (F.col("owners") <= MAX_OWNERS) & (F.col("repos") <= MAX_REPOS))
+    owner = F.coalesce(F.col("owner"), F.lit(""))
+    everyone = found.agg(F.count_distinct(owner)).first()[0]
+    values = found.select("th", owner.alias("owner"), F.explode(F.array_distinct(F.transform(F.concat("plain", "extra"), lambda s: value_hash(s["value"])))).alias("h"))
+    held = values.groupBy("h.a", "h.b", "owner", "th").agg(F.count(F.lit(1)).alias("copies"))
+    holders = held.groupBy("a", "b", "owner").agg(F.count(F.lit(1)).alias("texts")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("holders"))
+    by_text = held.groupBy("a", "b", "th").agg(F.min("owner").alias("owner"))
+    by_owner = by_text.groupBy("a", "b", "owner").agg(F.count(F.lit(1)).alias("repos"))
+    totals = by_owner.groupBy("a", "b").agg(F.count(F.lit(1)).alias("owners"), F.sum("repos").alias("repos")).join(holders, ["a", "b"])
+    example = (F.col("owners") >= MANY_OWNERS) | ((F.col("holders") == everyone) & (F.col("holders") >= ALL_OWNERS))
+    return totals.select("a", "b", "owners", "repos", (~example).alias("live"))
 
 
 def value_hash(value: Column) -> Column:
