@@ -65,6 +65,25 @@ def test_pii_awkward(spark):
     assert pii.redact(frame(spark, ["mail a@b.co now", None])).collect()[0]["text"] == "mail <EMAIL> now"
 
 
+def test_pii_disguises_that_hold_a_plain_piece(spark):
+    whole = {
+        "write j\u043ehn@example.com now": "j\u043ehn@example.com",
+        "write jane dot doe@example.com now": "jane dot doe@example.com",
+        "write jane@mail.example dot com now": "jane@mail.example dot com",
+        "write jane@example.c\u043em now": "jane@example.c\u043em",
+    }
+    for text, address in whole.items():
+        plain = pii.plain_spans(text)
+        added = pii.disguised_spans(text, plain)
+        assert [text[a:b] for a, b in added["email"]] == [address]
+    out = {r["text"] for r in pii.redact(frame(spark, list(whole))).collect()}
+    assert out == {"write <EMAIL> now"}
+    text = "ask\u2014a@b.co\u2014thanks"
+    assert not any(pii.disguised_spans(text, pii.plain_spans(text)).values())
+    text = "a@b.co and \uff41@b.co"  # plain spans are not added again
+    assert pii.disguised_spans(text, pii.plain_spans(text))["email"] == [(11, 17)]
+
+
 def brute_classes(texts, n=5, tau=0.8):
     def grams(t):
         w = [m.lower() for m in re.findall(r"[A-Za-z0-9_\u0080-\U0010ffff]+", t or "")]

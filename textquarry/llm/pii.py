@@ -7,16 +7,18 @@ Two passes over each whole text:
   digits, "at"/"dot" wording). Each transducer is a list of edits `(start, end, replacement)`;
   applying it also rewrites an array that holds, for each character of the new text, the source span
   it came from. Detectors run on the normal form, and the array maps what they find back to code
-  points of the source. A finding that meets a plain finding is left out: plain spans stay as they are.
+  points of the source. A finding that lies inside a plain one of its kind is left out; one that extends or crosses plain spans
+  is added to them. Plain spans stay as they are; redaction merges what overlaps.
 
 Defined cases: null text counts as empty; empty text has no findings; ties cannot arise (findings of a
-kind never overlap); repeated rows are scanned each on its own; other columns are not read. Work is map-only
+kind and pass never overlap); repeated rows are scanned each on its own; other columns are not read. Work is map-only
 and linear in the text, so it needs no shuffle and a lost executor only repeats its own splits.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -55,6 +57,8 @@ _LOOKALIKE = dict(zip("АВЕКМНОРСТХЅІЈаеорсухіјѕһԁΑΒ
 _LOOKALIKE |= {"＠": "@", "﹫": "@", "．": ".", "。": ".", "․": ".", "·": ".", "•": ".", "＋": "+", "‐": "-", "‑": "-", "‒": "-", "–": "-", "—": "-", "−": "-", "－": "-", "＿": "_", "（": "(", "）": ")", " ": " ", " ": " ", " ": " ", " ": " ", "　": " "}
 _LOOKALIKE |= dict.fromkeys("​‌‍⁠﻿­", "")
 
+_LONG_DASHES = "\u2013\u2014"
+
 
 def _more_lookalikes() -> dict[str, str]:
     """Decimal digits and compatibility letters of Unicode, by rule."""
@@ -242,17 +246,33 @@ def normal_form(text: str) -> Aligned:
 
 def disguised_spans(text: str, plain: dict[str, list[tuple[int, int]]]) -> dict[str, list[tuple[int, int]]]:
     """Findings that only the normal form shows, in source offsets."""
+    if any(c in text for c in _LONG_DASHES):  # beside an address they are punctuation, not hyphens
+        beside = {i for a, b in plain["email"] for i in (a - 1, b) if 0 <= i < len(text) and text[i] in _LONG_DASHES}
+        text = "".join("\n" if i in beside else c for i, c in enumerate(text)) if beside else text
     normal = normal_form(text)
     if normal.text == text:
         return {k: [] for k in KINDS}
     out = {}
-    taken = sorted(s for spans in plain.values() for s in spans)
     for kind, spans in plain_spans(normal.text).items():
         mapped = [normal.source(a, b) for a, b in spans]
-        out[kind] = [(a, b) for a, b in mapped if not any(x < b and a < y for x, y in taken)]
+        # Plain spans of a kind are in order and do not overlap: only the last that starts at or before a can hold (a, b).
+        starts = [x for x, _ in plain[kind]]
+        out[kind] = [(a, b) for a, b in mapped if not ((k := bisect_right(starts, a)) and b <= plain[kind][k - 1][1])]
     return out
 
 
+def merged(spans: list[tuple[int, int, str]]) -> list[tuple[int, int, str]]:
+    """Overlapping spans as one, of the kind of the longest (the first of equals)."""
+    out: list[tuple[int, int, str, int]] = []
+    for a, b, kind in sorted(spans):
+        if out and a < out[-1][1]:
+            x, y, k, size = out[-1]
+            out[-1] = (x, max(y, b), *((kind, b - a) if b - a > size else (k, size)))
+        else:
+            out.append((a, b, kind, b - a))
+    return [s[:3] for s in out]
+
+
 SCHEMA = "doc_id long, plain array<struct<kind:string,start:int,end:int>>, added array<struct<kind:string,start:int,end:int>>"
 
 
@@ -287,10 +307,9 @@ def redact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
                 plain = plain_spans(text)
                 added = disguised_spans(text, plain)
                 pieces, at = [], 0
-                for a, b, kind in sorted((a, b, k) for k in KINDS for a, b in [*plain[k], *added[k]]):
-                    if a >= at:
-                        pieces += [text[at:a], f"<{kind.upper()}>"]
-                        at = b
+                for a, b, kind in merged([(a, b, k) for k in KINDS for a, b in [*plain[k], *added[k]]]):
+                    pieces += [text[at:a], f"<{kind.upper()}>"]
+                    at = b
                 out.append("".join([*pieces, text[at:]]))
             i = part.schema.get_field_index(text_col)
             yield part.set_column(i, part.schema.field(i), pa.array(out, part.schema.field(i).type))
