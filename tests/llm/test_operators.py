@@ -84,6 +84,26 @@ def test_pii_disguises_that_hold_a_plain_piece(spark):
     assert pii.disguised_spans(text, pii.plain_spans(text))["email"] == [(11, 17)]
 
 
+def test_pii_loose_disguises():
+    cases = {
+        "call +1 five five five 123 4567 now": ("phone", "+1 five five five 123 4567"),
+        "call +1 555 one two three 4567 now": ("phone", "+1 555 one two three 4567"),
+        "pay 4111 1111 1111 one one one 1 now": ("card", "4111 1111 1111 one one one 1"),
+        "ping 192 dot 168 dot 1 dot 1 now": ("ip", "192 dot 168 dot 1 dot 1"),
+        "ping 192 dot one six eight dot one dot one now": ("ip", "192 dot one six eight dot one dot one"),
+        "ask jane dot doe at example.com now": ("email", "jane dot doe at example.com"),
+        "ask jane at example.com now": ("email", "jane at example.com"),
+        "ask jane @ example dot com now": ("email", "jane @ example dot com"),
+        **{f"ask jane at example dot {x} now": ("email", f"jane at example dot {x}") for x in "nz za ie kr gr tr me".split()},
+    }
+    for text, (kind, value) in cases.items():
+        added = pii.disguised_spans(text, pii.plain_spans(text))
+        assert [text[a:b] for a, b in added[kind]] == [value], text
+    clean = ["look at example.com", "find us at example.com", "look at one point so far", "call +1 555 123 4567 one day", "in 2010 two of 3 point 5 won", "meet at noon. Me too"]
+    for text in clean:
+        assert not any(pii.disguised_spans(text, pii.plain_spans(text)).values()), text
+
+
 def brute_classes(texts, n=5, tau=0.8):
     def grams(t):
         w = [m.lower() for m in re.findall(r"[A-Za-z0-9_\u0080-\U0010ffff]+", t or "")]

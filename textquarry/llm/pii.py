@@ -49,6 +49,25 @@ DOT_WORDS = ("dot", "punkt", "punto", "point", "period")
 PLUS_WORDS = ("plus", "más", "mas")
 # Final labels that make a bare "name at host dot label" an address.
 TOP_LABELS = "com org net edu gov mil int info biz io ai app dev co uk us ca au de at ch fr es it nl be eu pt se no fi dk pl cz ru jp cn in br mx ar example test local invalid".split()
+# The other country labels, and further common ones.
+TOP_LABELS += """ac ad ae af ag ai al am ao aq as aw ax az ba bb bd bf bg bh bi bj bm bn bo bs bt bw by bz cc cd cf cg ci ck cl cm co cr cu cv cw cx cy dj dm do dz ec ee eg er et
+ fj fk fm fo ga gd ge gf gg gh gi gl gm gn gp gq gr gs gt gu gw gy hk hm hn hr ht hu id ie il im iq ir is je jm jo ke kg kh ki km kn kp kr kw ky kz la lb lc li lk lr ls lt lu lv ly
+ ma mc md me mg mh mk ml mm mn mo mp mq mr ms mt mu mv mw my mz na nc ne nf ng ni np nr nu nz om pa pe pf pg ph pk pm pn pr ps pw py qa re ro rs rw sa sb sc sd sg sh si sk sl sm sn so
+ sr ss st su sv sx sy sz tc td tf tg th tj tk tl tm tn to tr tt tv tw tz ua ug uy uz va vc ve vg vi vn vu wf ws ye yt za zm zw
+ xyz online site shop store tech club pro name blog cloud agency email mobi museum coop aero jobs travel""".split()
+TOP_LABELS = sorted(set(TOP_LABELS))
+# Labels that are common words: "at some point so".
+WORD_LABELS = frozenset("am as by do is me my so to la ne sa ma re si su va ve mu pro name site store shop club cloud travel jobs online email agency".split())
+# Words before "at" that are no mailbox: "look at example.com".
+NO_LOCAL = frozenset(
+    """look looks looked looking us me him her them you it this that these those here there available found find finds visit visits visited hosted host live lives living sold sell
+ sells buy buys bought shop work works worked working more online offline back site sites page pages website websites blog read reads see seen sign signup register registered be is
+ are was were been meet meets met only directly details information published posted post located based start starts started up out in on off and or but not now then today free
+ video videos article articles story document documents download downloads downloaded shown listed online order orders ordered check checks arrive arrived aim aimed pointed point
+ points click available accessible viewed view stay stays stayed book books booked learn even still just also again all both especially particularly starting store stores stored
+ everyone everything someone something people researcher researchers engineer engineers editor writer director manager developer developers team teams colleagues friends
+ employees professor student students teacher""".split()
+)
 # Words that are no host name: "look at the dot com".
 NO_HOST = frozenset("the a an this that each every one any all its his her my our your their le la les un une der die das ein eine el los las una".split())
 
@@ -93,19 +112,29 @@ def _any(words) -> str:
 
 _GAP = r"[ \t]{1,8}"
 _SPELLED = re.compile(rf"(?i)\b(?:(?:{_any(DIGIT_WORDS)})\b[ \t]{{0,8}}[-.,]?[ \t]{{0,8}}){{4,}}")
-_SPELLED_HINT = re.compile(rf"[\s,.-](?:{_any(DIGIT_WORDS)})[ \t,.-]{{1,8}}(?:{_any(DIGIT_WORDS)})\b")
+_SPELLED_HINT = re.compile(rf"[\s,.+()-](?:{_any(DIGIT_WORDS)})[ \t,.()-]{{1,8}}(?:(?:{_any(DIGIT_WORDS)}|{_any(DOT_WORDS)})\b|[0-9])|[0-9][ \t,.()-]{{1,8}}(?:(?:{_any(DOT_WORDS)})[ \t]{{1,8}})?(?:{_any(DIGIT_WORDS)})\b")
+_DOT_WORD = rf"{_GAP}(?:{_any(DOT_WORDS)}){_GAP}"
+# Digits and digit words in a row, with separators or dot words between them, possessive so that no start is tried twice over.
+_ITEM = rf"(?:[0-9]++|\b(?:{_any(DIGIT_WORDS)})\b)"
+_NUMBER = re.compile(rf"(?i)(?<![\w]){_ITEM}(?:(?:{_DOT_WORD}|[ \t().,-]{{0,8}}){_ITEM})++")
+_WORD_RUN = re.compile(rf"(?i)\b(?:{_any(DIGIT_WORDS)})\b(?:[ \t]{{0,8}}[-,]?[ \t]{{0,8}}\b(?:{_any(DIGIT_WORDS)})\b)*")
+_ANY_DOT = re.compile(rf"(?i){_DOT_WORD}|\.")
+# Digit words that are common words as well: alone beside a whole number they are read as such.
+_OFTEN_WORDS = frozenset("one oh un neuf null uno dos".split())
 _ONE_WORD = re.compile(rf"(?i)\b(?:{_any(DIGIT_WORDS)})\b")
 _PLUS = re.compile(rf"(?i)\b(?:{_any(PLUS_WORDS)}){_GAP}(?=[0-9])")
 _LETTER_DIGITS = re.compile(r"(?<=[0-9])(?:[ -]?[OolI|]){1,4}(?=[ .-]?[0-9])")
 _BRACKET_AT = re.compile(rf"(?i)[ \t]{{0,8}}(?:[\[({{<][ \t]{{0,8}}(?:{_any(AT_WORDS)}|@)[ \t]{{0,8}}[\])}}>]|(?<=[a-z0-9])_at_(?=[a-z0-9]))[ \t]{{0,8}}")
 _BRACKET_DOT = re.compile(rf"(?i)[ \t]{{0,8}}(?:[\[({{<][ \t]{{0,8}}(?:{_any(DOT_WORDS)}|\.)[ \t]{{0,8}}[\])}}>]|(?<=[a-z0-9])_dot_(?=[a-z0-9]))[ \t]{{0,8}}")
-_HOST_AHEAD = r"(?=[A-Za-z0-9-]{1,63}[ \t]{0,8}\.[ \t]{0,8}[A-Za-z])"
+_HOST_AHEAD = rf"(?=[A-Za-z0-9-]{{1,63}}(?:[ \t]{{0,8}}\.[ \t]{{0,8}}|(?i:{_DOT_WORD}))[A-Za-z])"
 _SPACED = re.compile(rf"(?<=[A-Za-z0-9])[ \t]{{0,8}}@{_GAP}{_HOST_AHEAD}|(?<=[A-Za-z0-9]){_GAP}@[ \t]{{0,8}}{_HOST_AHEAD}")
 _WORDED = re.compile(
     rf"(?i)(?<![A-Za-z0-9._%+-])[A-Za-z0-9][A-Za-z0-9_%+-]{{0,63}}(?:{_GAP}(?:{_any(DOT_WORDS)}){_GAP}[A-Za-z0-9_%+-]{{1,63}}|\.[A-Za-z0-9_%+-]{{1,63}}){{0,4}}"
     rf"(?P<at>{_GAP}(?:{_any(AT_WORDS)}){_GAP}|@)(?P<host>[A-Za-z0-9-]{{1,63}}(?:(?:{_GAP}(?:{_any(DOT_WORDS)}){_GAP}|\.)[A-Za-z0-9-]{{1,63}}){{0,4}}"
     rf"{_GAP}(?:{_any(DOT_WORDS)}){_GAP}(?:{_any(TOP_LABELS)})|[A-Za-z0-9-]{{1,63}}(?:\.[A-Za-z0-9-]{{1,63}}){{0,4}}\.(?:{_any(TOP_LABELS)}))\b"
 )
+_DIGIT_DOT = re.compile(rf"(?i)(?<=[0-9]){_DOT_WORD}(?=[0-9])")
+_AT_HOST = re.compile(rf"(?i){_GAP}(?:{_any(AT_WORDS)}){_GAP}(?=[A-Za-z0-9-]{{1,63}}(?:\.[A-Za-z0-9-]{{1,63}}){{0,4}}\.(?:{_any(TOP_LABELS)})\b)")
 _DOT_GAP = re.compile(rf"(?i){_GAP}(?:{_any(DOT_WORDS)}){_GAP}")
 _SPACED_DOT = re.compile(rf"(?i)@[A-Za-z0-9-]{{1,63}}({_GAP}\.[ \t]{{0,8}}|[ \t]{{0,8}}\.{_GAP})(?=(?:{_any(TOP_LABELS)})\b)")
 _DOT_HINTS = tuple(f"{a}{w}{b}" for w in DOT_WORDS for a in " \t" for b in " \t")
@@ -195,9 +224,30 @@ def _undo_lookalikes(t: Aligned) -> Aligned:
     return t.edited([(m.start(), m.end(), table[m.group()]) for m in find.finditer(t.text)])
 
 
+def _number_edits(text: str) -> list[tuple[int, int, str]]:
+    """Digit words of numbers that are long enough for a detector, or have the dots of an address."""
+    edits = []
+    for m in _NUMBER.finditer(text):
+        runs = list(_WORD_RUN.finditer(text, m.start(), m.end()))
+        if not runs:
+            continue
+        words = [_ONE_WORD.findall(r.group()) for r in runs]
+        digits = sum(map(str.isdigit, m.group())) + sum(map(len, words))
+        if digits < 9 and (digits < 4 or len(_ANY_DOT.findall(m.group())) < 3):
+            continue
+        at = max(0, m.start() - 1)
+        for r, ws in zip(runs, words, strict=True):
+            edge = r.start() == m.start() or r.end() == m.end()
+            if edge and len(ws) == 1 and ws[0].lower() in _OFTEN_WORDS and any(plain_spans(text[at : r.start()] if r.end() == m.end() else text[r.end() : m.end()]).values()):
+                continue
+            edits.append((*r.span(), "".join(DIGIT_WORDS[w.lower()] for w in ws)))
+    return edits
+
+
 def _undo_spelled_digits(t: Aligned) -> Aligned:
     low = t.text.lower()
-    if _SPELLED_HINT.search(low):
+    if _SPELLED_HINT.search(" " + low):
+        t = t.edited(_number_edits(t.text))
         edits = []
         for m in _SPELLED.finditer(t.text):
             words = list(_ONE_WORD.finditer(t.text, m.start(), m.end()))
@@ -211,7 +261,7 @@ def _undo_spelled_digits(t: Aligned) -> Aligned:
 
 
 def _undo_at_and_dot(t: Aligned) -> Aligned:
-    """Wording is only undone where a dot is disguised as well, or where brackets mark it."""
+    """Wording is undone where a dot is disguised as well, where brackets mark it, or between a word that may be a mailbox and a host."""
     if any(c in t.text for c in "[({<") or "_at_" in t.text.lower():
         t = t.edited([(m.start(), m.end(), "@") for m in _BRACKET_AT.finditer(t.text)])
         t = t.edited([(m.start(), m.end(), ".") for m in _BRACKET_DOT.finditer(t.text)])
@@ -219,19 +269,32 @@ def _undo_at_and_dot(t: Aligned) -> Aligned:
         t = t.edited([(m.start(), m.end(), "@") for m in _SPACED.finditer(t.text)])
         t = t.edited([(m.start(1), m.end(1), ".") for m in _SPACED_DOT.finditer(t.text)])
     low = t.text.lower()
-    if not any(h in low for h in _DOT_HINTS):
-        return t
+    if any(h in low for h in _DOT_HINTS):
+        t = t.edited([(m.start(), m.end(), ".") for m in _DIGIT_DOT.finditer(t.text)])
+        t = t.edited(_worded_edits(t))
+    edits = []
+    for m in _AT_HOST.finditer(t.text):
+        local = _LOCAL.search(t.text, max(0, m.start() - 64), m.start()).group()
+        if local.strip("._%+-") and local.lower() not in NO_LOCAL and local[-1] not in ".%":
+            edits.append((m.start(), m.end(), "@"))
+    return t.edited(edits)
+
+
+def _worded_edits(t: Aligned) -> list[tuple[int, int, str]]:
     edits = []
     for m in _WORDED.finditer(t.text):
         host = m.group("host")
         if re.split(r"[ \t.]", host, maxsplit=1)[0].lower() in NO_HOST:
             continue
-        if m.group("at") == "@" or _DOT_GAP.search(host):
+        sure = m.group("at").strip().lower() != "at"
+        if not sure and host.lower().split()[-1] in WORD_LABELS and host.lower().split()[-2:-1] not in ([], ["dot"]):
+            continue
+        if m.group("at") == "@" or _DOT_GAP.search(host) or _DOT_GAP.search(t.text, m.start(), m.start("at")):
             edits += [(m.start() + g.start(), m.start() + g.end(), ".") for g in _DOT_GAP.finditer(m.group()[: m.start("at") - m.start()])]
             if m.group("at") != "@":
                 edits.append((*m.span("at"), "@"))
             edits += [(m.start("host") + g.start(), m.start("host") + g.end(), ".") for g in _DOT_GAP.finditer(host)]
-    return t.edited(edits)
+    return edits
 
 
 TRANSDUCERS = (_undo_lookalikes, _undo_spelled_digits, _undo_at_and_dot)
