@@ -1,14 +1,17 @@
 """Byte-level BPE encoding and decoding by ranks.
 
-Only distinct words are merged. Units of up to `UNIT_BYTES` of text are split by the pattern into words, kept as a list of
-distinct words and, per document, indexes into it. Each distinct word of a unit is encoded by a fold of Spark higher-order
-functions over its byte array: each step takes the adjacent pair of least rank and joins it, looking ranks up in a literal
-hash table (an array of small maps, built into the plan, so that a look-up costs the same for any vocabulary). The codes are spread
-over the indexes; decoding concatenates the bytes of the codes.
+Every distinct word of the corpus is merged once. Units of up to `UNIT_BYTES` of text are split by the pattern into words, and written
+as a list of the unit's distinct words and, per document, packed indexes into it. The words of all units meet in one shuffle; each
+distinct word is encoded by a fold of Spark higher-order functions over its byte array: each step joins the adjacent pair of least
+rank, the leftmost of equal ones. Ranks come from a literal in the plan: all pairs of codes that make a piece, in an array whose places a
+displacement hash gives, so that a look-up costs the same for any vocabulary. The codes go back to the units that hold the word, are
+spread over the indexes there, and decoding concatenates the binary pieces of the codes.
 
-Everything stays in the task that read the text: no shuffle, no broadcast that grows, memory bounded by the unit. (Meeting the
-words of all units by a shuffle merges fewer words, but moved 3.6 x the input.) Words of more than `LONG` bytes are merged by a heap instead
-(same ranks, same result), since a fold copies its state at each step.
+Shuffled are a unit's distinct words (not its words), and their codes with the packed indexes; texts never are. Nothing is broadcast but
+the ranks, and memory is bounded by the unit. A word that every unit holds is one short row per unit, which joins as any other.
+
+Words of more than `LONG` bytes are merged by a heap in the unit's task instead (same ranks, same result): a fold copies its state at
+each step, so its cost grows with the square of the word (256 bytes: 2 ms; 20,000 bytes: more than 10 s against 0.1 s).
 
 Defined cases: null text is empty; an empty text has no codes (digests of nothing); repeated rows and ids are encoded each; an empty
 table gives an empty result; other columns are not read.
@@ -20,7 +23,7 @@ import base64
 import hashlib
 import heapq
 import json
-import zlib
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,8 +31,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-UNIT_BYTES, LONG, TABLE = 16 << 20, 256, 1 << 16
-NONE = 2**31 - 1
+from ._tables import Workspace
+
+UNIT_BYTES, LONG = 32 << 20, 256
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -43,68 +47,104 @@ def _let(value: Column, use) -> Column:
     return F.element_at(F.transform(F.array(value), use), 1)
 
 
+def _prime(least: int) -> int:
+    n = max(least, 3) | 1
+    while any(n % k == 0 for k in range(3, int(n**0.5) + 1, 2)):
+        n += 2
+    return n
+
+
+def displacements(keys: np.ndarray) -> tuple[np.ndarray, int]:
+    """(factors, places): key * factors[key mod len(factors)] mod places is different for all keys.
+
+    Crowded buckets choose their factor first; a bucket takes the least factor that leads all its keys to free places.
+    """
+    places = _prime(len(keys) * 8 // 5 + 7)
+    buckets = _prime(max(len(keys) // 3, int(keys.max(initial=1)) // places) + 1)
+    factors, taken = np.ones(buckets, np.int64), np.zeros(places, bool)
+    order = np.argsort(keys % buckets, kind="stable")
+    own, begin, count = np.unique(keys[order] % buckets, return_index=True, return_counts=True)
+    for k in np.argsort(-count, kind="stable").tolist():
+        mine = keys[order[begin[k] : begin[k] + count[k]]].tolist()
+        factor = 1
+        while len(at := {key * factor % places for key in mine}) < len(mine) or any(taken[p] for p in at):
+            factor += 1
+        factors[own[k]] = factor
+        taken[list(at)] = True
+    return factors, places
+
+
 class RankTable:
-    """The ranks as a literal: bucket crc32(hex) mod TABLE holds a map from hex to rank."""
+    """The ranks as literals: codes of the bytes, and the code that each pair of adjacent codes makes."""
 
     def __init__(self, ranks: dict[bytes, int]) -> None:
-        buckets: list[dict[str, int]] = [{} for _ in range(TABLE)]
-        for piece, rank in ranks.items():
-            key = piece.hex().upper()
-            buckets[zlib.crc32(key.encode()) % TABLE][key] = rank
-        # One string, turned into an array of maps when the plan is optimised.
-        self.literal = F.from_json(F.lit(json.dumps(buckets, separators=(",", ":"))), "array<map<string,int>>")
-
-    @staticmethod
-    def get(table: Column, key: Column) -> Column:
-        """Rank of the bytes in hex, or null."""
-        return F.try_element_at(F.element_at(table, (F.crc32(key) % TABLE + 1).cast("int")), key)
+        self.bits = (max(ranks.values()) + 1).bit_length()
+        self.none, self.edge = 1 << self.bits, (1 << self.bits) - 1
+        pairs = {(ranks[p[:k]] << self.bits) | ranks[p[k:]]: r for p, r in ranks.items() for k in range(1, len(p)) if p[:k] in ranks and p[k:] in ranks}
+        keys, made = np.array(list(pairs), np.int64), np.array(list(pairs.values()), np.int64)
+        factors, self.places = displacements(keys)
+        self.buckets = len(factors)
+        slots = np.full(self.places, 1 << (3 * self.bits + 1), np.int64)  # no key
+        slots[keys * factors[keys % self.buckets] % self.places] = (keys << (self.bits + 1)) | made
+        # Strings that become arrays when the plan is optimised.
+        literal = lambda values: F.from_json(F.lit(json.dumps(values)), "array<bigint>")
+        self.factors, self.slots, self.bytes = literal(factors.tolist()), literal(slots.tolist()), literal([ranks.get(bytes([b]), self.edge) for b in range(256)])
+        # Pieces that merging their bytes does not give; such a word has the code of the piece.
+        odd = {p.decode(): r for p, r in ranks.items() if merge_by_heap(p, ranks, whole=False) != [r] and p.decode("utf-8", "ignore").encode() == p}
+        self.odd = F.from_json(F.lit(json.dumps(odd)), "map<string,int>") if odd else None
+
+    def get(self, slots: Column, factors: Column, a: Column, b: Column) -> Column:
+        """The code that two adjacent codes make, or `none`."""
+        key = F.shiftleft(a, self.bits).bitwiseOR(b)
+        slot = F.get(slots, key * F.get(factors, key % self.buckets) % self.places)
+        return F.least(slot.bitwiseXOR(F.shiftleft(key, self.bits + 1)), F.lit(self.none).cast("long"))
 
 
 def encode_word(word: Column, table: RankTable) -> Column:
-    """Codes of one word (a string) as array<int>. The literal stands in the plan once, bound to a variable."""
-    return _let(table.literal, lambda ranks: _encode_word(word, lambda key: RankTable.get(ranks, key)))
+    """Codes of one word (a string) as array<int>.
 
+    The state is one array of longs, an element per piece, between two edges that join nothing:
+    code of the piece that it makes with its successor | place of its first byte | own code. So the least element names the leftmost pair of least
+    rank, and its upper part is the code of the new piece.
+    """
+    # The literals stand in the plan once, bound to variables.
+    codes = _let(table.slots, lambda slots: _let(table.factors, lambda factors: _encode_word(word, table, slots, factors)))
+    return codes if table.odd is None else _let(F.try_element_at(table.odd, word), lambda c: F.when(c.isNotNull(), F.array(c)).otherwise(codes))
 
-def _encode_word(word: Column, get) -> Column:
-    rank = lambda a, b: F.coalesce(get(F.concat(a, b)), F.lit(NONE))
-    some = lambda condition, value: F.when(condition, F.array(value)).otherwise(F.array().cast("array<int>"))
 
-    def step(acc: Column, _: Column) -> Column:
+def _encode_word(word: Column, table: RankTable, slots: Column, factors: Column) -> Column:
+    bits, two = table.bits, 2 * table.bits
+    long = lambda x: F.lit(x).cast("long")
+    own, low = long((1 << bits) - 1), long((1 << two) - 1)
+    joined = lambda a, b: F.shiftleft(table.get(slots, factors, a, b), two)
+    stop = long(table.none << two)
+
+    def step(state: Column, _: Column) -> Column:
         def join(least: Column) -> Column:
             def at(p: Column) -> Column:
-                t, r = acc["t"], acc["r"]
-                n = F.size(t)
-
-                def merged(new: Column) -> Column:
-                    left = some(p > 1, rank(F.try_element_at(t, p - 1), new))
-                    right = some(p + 2 <= n, rank(new, F.try_element_at(t, p + 2)))
-                    rest = F.greatest(n - p - 1, F.lit(0))
-                    return F.struct(
-                        F.concat(F.slice(t, F.lit(1), p - 1), F.array(new), F.slice(t, p + 2, rest)).alias("t"),
-                        F.concat(F.slice(r, F.lit(1), F.greatest(p - 2, F.lit(0))), left, right, F.slice(r, p + 2, rest)).alias("r"),
-                    )
+                new, left, right = F.shiftright(least, two), F.get(state, p - 2), F.get(state, p + 1)
+                before = joined(left.bitwiseAND(own), new).bitwiseOR(left.bitwiseAND(low))
+                here = joined(new, right.bitwiseAND(own)).bitwiseOR(least.bitwiseAND(long(((1 << bits) - 1) << bits))).bitwiseOR(new)
+                return F.concat(F.slice(state, F.lit(1), p - 2), F.array(before, here), F.slice(state, p + 2, F.size(state)))
 
-                return _let(F.concat(F.element_at(t, p), F.element_at(t, p + 1)), merged)
+            return F.when(least >= stop, state).otherwise(_let(F.array_position(state, least).cast("int"), at))
 
-            return F.when(F.coalesce(least, F.lit(NONE)) == NONE, acc).otherwise(_let(F.array_position(acc["r"], least).cast("int"), at))
+        return _let(F.array_min(state), join)
 
-        return _let(F.array_min(acc["r"]), join)
+    def fold(codes: Column) -> Column:
+        element = lambda a, i: joined(a, F.coalesce(F.get(codes, i + 1), long(table.edge))).bitwiseOR(F.shiftleft((i + 1).cast("long"), bits)).bitwiseOR(a)
+        edge = F.array(long((table.none << two) | table.edge))
+        start = F.concat(edge, F.transform(codes, element), edge)
+        return F.aggregate(codes, start, step, lambda s: F.transform(F.slice(s, F.lit(2), F.size(s) - 2), lambda x: x.bitwiseAND(own).cast("int")))
 
-    def fold(h: Column) -> Column:
-        def start(t: Column) -> Column:
-            pairs = F.zip_with(F.slice(t, F.lit(1), F.size(t) - 1), F.slice(t, F.lit(2), F.size(t) - 1), rank)
-            codes = F.aggregate(t, F.struct(t.alias("t"), pairs.alias("r")), step, lambda acc: F.transform(acc["t"], get))
-            return codes
+    # One character per byte of the UTF-8 form.
+    raw = F.split(F.decode(F.encode(word, "UTF-8"), "ISO-8859-1"), "")
+    return _let(F.transform(raw, lambda c: F.get(table.bytes, F.ascii(c))), fold)
 
-        pieces = _let(F.transform(F.sequence(F.lit(1), F.length(h) - 1, F.lit(2)), lambda i: F.substring(h, i, F.lit(2))), start)
-        return _let(get(h), lambda whole: F.when(whole.isNotNull(), F.array(whole)).otherwise(pieces))
 
-    return _let(F.hex(F.encode(word, "UTF-8")), fold)
-
-
-def merge_by_heap(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
+def merge_by_heap(piece: bytes, ranks: dict[bytes, int], whole: bool = True) -> list[int]:
     """The same merges in n log n steps, for long words."""
-    if piece in ranks:
+    if whole and piece in ranks:
         return [ranks[piece]]
     n = len(piece)
     end, prev, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
@@ -137,46 +177,60 @@ def merge_by_heap(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
 
 
 def _pack(a: np.ndarray) -> bytes:
-    return pa.compress(a.tobytes(), codec="zstd", asbytes=True)
+    """int32 by byte planes, compressed."""
+    return pa.compress(a.astype(np.int32).view(np.uint8).reshape(-1, 4).T.tobytes(), codec="zstd", asbytes=True)
 
 
-def _unpack(blob: bytes, size: int, dtype) -> np.ndarray:
-    return np.frombuffer(pa.decompress(blob, size * np.dtype(dtype).itemsize, codec="zstd", asbytes=True), dtype) if size else np.zeros(0, dtype)
+def _unpack(blob: bytes, size: int) -> np.ndarray:
+    if not size:
+        return np.zeros(0, np.int32)
+    raw = np.frombuffer(pa.decompress(blob, size * 4, codec="zstd", asbytes=True), np.uint8)
+    return np.ascontiguousarray(raw.reshape(4, -1).T).view(np.int32).reshape(-1)
 
 
-_UNIT = "docs array<long>, counts array<int>, n long, at binary, words array<string>"
+_UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, words array<string>, long array<string>, long_at array<int>"
 
 
 def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Units of text: distinct words, and indexes of each document's words."""
+    """Units of text: distinct words (those of more than `LONG` bytes apart), and indexes of each document's words."""
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import regex
+        from pyspark import TaskContext
 
         find = regex.compile(pattern).findall
+        unit = TaskContext.get().partitionId() << 32
 
         def emit() -> pa.RecordBatch:
             flat = np.concatenate(at) if at else np.zeros(0, np.int32)
-            return pa.RecordBatch.from_arrays(
-                [pa.array([ids], pa.list_(pa.int64())), pa.array([[len(a) for a in at]], pa.list_(pa.int32())), pa.array([len(flat)], pa.int64()), pa.array([_pack(flat)], pa.binary()), pa.array([list(known)], pa.list_(pa.string()))],
-                ["docs", "counts", "n", "at", "words"],
-            )
-
-        ids, at, known, size = [], [], {}, 0
+            words = pa.array(list(known), pa.large_string())
+            bare = pa.compute.greater(pa.compute.binary_length(words), LONG)
+            where = np.flatnonzero(bare.to_numpy(zero_copy_only=False))
+            long = words.take(pa.array(where)).to_pylist()
+            words = pa.compute.if_else(bare, pa.scalar(None, pa.large_string()), words) if len(where) else words
+            rows = [[unit], [ids], [[len(a) for a in at]], [len(flat)], [_pack(flat)], [words.to_pylist()], [long], [where.tolist()]]
+            return pa.RecordBatch.from_arrays([pa.array(r, t) for r, t in zip(rows, schema.types, strict=True)], schema=schema)
+
+        schema = pa.schema([("unit", pa.int64()), ("docs", pa.list_(pa.int64())), ("counts", pa.list_(pa.int32())), ("n", pa.int64()), ("at", pa.binary()), ("words", pa.list_(pa.string())), ("long", pa.list_(pa.string())), ("long_at", pa.list_(pa.int32()))])
+
+        def fresh() -> defaultdict:
+            known: defaultdict = defaultdict()
+            known.default_factory = known.__len__  # a new word gets the next index
+            return known
+
+        ids, at, known, size = [], [], fresh(), 0
         for batch in batches:
             for k in range(0, batch.num_rows, 256):
                 part = batch.slice(k, 256)
                 for doc, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
                     words = find(text or "")
-                    for w in words:
-                        if w not in known:
-                            known[w] = len(known)
                     ids.append(doc)
                     at.append(np.fromiter(map(known.__getitem__, words), np.int32, len(words)))
                     size += len(text or "")
                     if size >= UNIT_BYTES:
                         yield emit()
-                        ids, at, known, size = [], [], {}, 0
+                        unit += 1
+                        ids, at, known, size = [], [], fresh(), 0
         if ids:
             yield emit()
 
@@ -189,54 +243,69 @@ def _gather(flat: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarra
     return flat[np.repeat(start - (ends - count), count) + np.arange(ends[-1] if len(ends) else 0)]
 
 
-def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, finish, schema: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """`finish(doc_id, codes, vocabulary)` makes a row of *schema* per document; vocabulary decodes codes."""
-    table = RankTable(ranks)
-    split = units(docs, pattern, id_col, text_col)
-    # The literal is bound once per unit, outside the loop over its words.
-    each = _let(table.literal, lambda t: F.transform("words", lambda w: F.when(F.octet_length(w) <= LONG, _encode_word(w, lambda key: RankTable.get(t, key)))))
-    coded = split.select("docs", "counts", "n", "at", each.alias("codes"), F.filter("words", lambda w: F.octet_length(w) > LONG).alias("long"))
+def encode_words(words: DataFrame, table: RankTable) -> DataFrame:
+    """(word, codes) of the distinct values of `word`."""
+    return words.groupBy("word").agg(F.first(F.lit(1)).alias("_")).select("word", encode_word(F.col("word"), table).alias("codes"))
 
-    pieces = sorted(ranks.items(), key=lambda x: x[1])
-    vocabulary = (np.frombuffer(b"".join(p for p, _ in pieces), np.uint8), np.array([r for _, r in pieces]), np.array([len(p) for p, _ in pieces]))
+
+def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, finish, schema: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """`finish(doc_id, codes, decode)` makes a row of *schema* per document; decode gives the bytes of codes."""
+    split = Workspace(docs.sparkSession, "bpe").write(units(docs, pattern, id_col, text_col))
+    held = split.select("unit", F.posexplode("words").alias("i", "word")).filter("word is not null").repartition("word")
+    # Both sides of the join read the one shuffle of words.
+    coded = held.join(encode_words(held, RankTable(ranks)).hint("shuffle_hash"), "word").select("unit", "i", "codes")
+    rest = ("docs", "counts", "n", "at", "long", "long_at")
+    heads = split.select("unit", F.lit(-1).alias("i"), F.lit(None).cast("array<int>").alias("codes"), *rest)
+    both = heads.unionByName(coded, allowMissingColumns=True)
+    dealt = both.repartition("unit").sortWithinPartitions("unit", "i")
+    pieces = [b""] * (max(ranks.values()) + 1)
+    for piece, rank in ranks.items():
+        pieces[rank] = piece
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        raw, code_of, sizes = vocabulary
-        size = np.zeros(code_of.max() + 1, np.int64)
-        size[code_of] = sizes
-        begin = np.zeros(code_of.max() + 1, np.int64)
-        begin[code_of] = np.cumsum(sizes) - sizes
-        for batch in batches:
-            for r in range(batch.num_rows):
-                n = batch.column("n")[r].as_py()
-                at = _unpack(batch.column("at")[r].as_py(), n, np.int32)
-                lists = batch.column("codes").slice(r, 1).flatten()
-                if (bare := np.flatnonzero(lists.is_null().to_numpy(zero_copy_only=False))).size:
-                    whole = lists.to_pylist()
-                    for i, w in zip(bare, batch.column("long")[r].as_py(), strict=True):
-                        whole[i] = merge_by_heap(w.encode(), ranks)
-                    lists = pa.array(whole, pa.list_(pa.int32()))
-                ends = lists.offsets.to_numpy().astype(np.int64)
-                start, count = ends[:-1], np.diff(ends)
-                flat = lists.values.to_numpy(zero_copy_only=False).astype(np.int32)
-                doc_ids, counts = batch.column("docs")[r].as_py(), batch.column("counts")[r].as_py()
-                done, rows = 0, []
-                for doc, m in zip(doc_ids, counts, strict=True):
-                    mine = at[done : done + m]
-                    done += m
-                    codes = _gather(flat, start[mine], count[mine])
-                    rows.append(finish(doc, codes, lambda c: _gather(raw, begin[c], size[c]).tobytes()))
-                    if len(rows) >= 2000:
-                        yield pa.RecordBatch.from_pylist(rows, out)
-                        rows = []
-                if rows:
+        decode = lambda codes: b"".join(map(pieces.__getitem__, codes.tolist()))
+
+        def rows_of(head: dict, parts: list) -> Iterator[pa.RecordBatch]:
+            at = _unpack(head["at"], head["n"])
+            index = np.concatenate([*(p[0] for p in parts), np.array(head["long_at"], np.int64)]).astype(np.int64)
+            long = [merge_by_heap(w.encode(), ranks) for w in head["long"]]
+            count_in = np.concatenate([*(p[1] for p in parts), np.array([len(c) for c in long], np.int64)])
+            flat = np.concatenate([*(p[2] for p in parts), *(np.array(c, np.int32) for c in long), np.zeros(0, np.int32)])
+            start, count = np.zeros(len(index), np.int64), np.zeros(len(index), np.int64)
+            start[index], count[index] = np.cumsum(count_in) - count_in, count_in
+            done, rows = 0, []
+            for doc, m in zip(head["docs"], head["counts"], strict=True):
+                mine = at[done : done + m]
+                done += m
+                rows.append(finish(doc, _gather(flat, start[mine], count[mine]), decode))
+                if len(rows) >= 2000:
                     yield pa.RecordBatch.from_pylist(rows, out)
+                    rows = []
+            if rows:
+                yield pa.RecordBatch.from_pylist(rows, out)
+
+        head, parts = None, []
+        for batch in batches:
+            i = batch.column("i").to_numpy()
+            # A unit begins with its head; the codes of its words follow.
+            cuts = [*np.flatnonzero(i < 0).tolist(), batch.num_rows]
+            for a, b in zip([0, *cuts[:-1]] if cuts[0] else cuts[:-1], cuts if cuts[0] else cuts[1:], strict=True):
+                if i[a] < 0:
+                    if head is not None:
+                        yield from rows_of(head, parts)
+                    head, parts = batch.slice(a, 1).select(["docs", "counts", "n", "at", "long", "long_at"]).to_pylist()[0], []
+                    a += 1
+                if a < b:
+                    lists = batch.column("codes").slice(a, b - a)
+                    parts.append((i[a:b].copy(), np.diff(lists.offsets.to_numpy()).astype(np.int64), lists.flatten().to_numpy(zero_copy_only=False).astype(np.int32)))
+        if head is not None:
+            yield from rows_of(head, parts)
 
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
     out = to_arrow_schema(_parse_datatype_string(schema))
-    return coded.mapInArrow(spread, schema)
+    return dealt.mapInArrow(spread, schema)
 
 
 def _digest(doc: int | None, codes: np.ndarray, decode) -> dict:
