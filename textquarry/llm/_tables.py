@@ -6,40 +6,6 @@ never a recomputation of the whole history.
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
+from ..shared import Workspace, shared_folder, unused
 
-from pyspark.sql import DataFrame, SparkSession
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """`spark.checkpoint.dir` of the session; a local folder only where it is unset (tests)."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if folder:
-        return folder.rstrip("/")
-    return "file://" + os.path.join(tempfile.gettempdir(), "checkpoints")
-
-
-class Workspace:
-    """Tables of one run of one operator; `drop` frees those that are no longer read."""
-
-    def __init__(self, spark: SparkSession, name: str) -> None:
-        self.spark, self.root = spark, f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-        self.count = 0
-        self.paths: dict[int, str] = {}
-
-    def write(self, df: DataFrame) -> DataFrame:
-        self.count += 1
-        path = f"{self.root}/{self.count}"
-        df.write.parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
-        self.paths[id(out)] = path
-        out._workspace_path = path
-        return out
-
-    def drop(self, *tables: DataFrame) -> None:
-        jvm = self.spark.sparkContext._jvm
-        for table in tables:
-            path = jvm.org.apache.hadoop.fs.Path(table._workspace_path)
-            path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+__all__ = ["Workspace", "shared_folder", "unused"]
