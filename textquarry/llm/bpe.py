@@ -1,14 +1,16 @@
 """Byte-level BPE encoding and decoding by ranks.
 
-Every distinct word of the corpus is merged once. Units of up to `UNIT_BYTES` of text are split by the pattern into words, and written
-as a list of the unit's distinct words and, per document, packed indexes into it. The words of all units meet in one shuffle; each
-distinct word is encoded by a fold of Spark higher-order functions over its byte array: each step joins the adjacent pair of least
+Every distinct word of the corpus is merged once. The `COMMON` words that a sample of about `SAMPLE` documents holds most often are encoded first and
+broadcast. Units of up to `UNIT_BYTES` of text are split by the pattern into words, and written
+as a list of the unit's other distinct words and, per document, packed indexes into both. The other words of all units meet in one shuffle; each
+distinct one is encoded. Encoding is a fold of Spark higher-order functions over its byte array: each step joins the adjacent pair of least
 rank, the leftmost of equal ones. Ranks come from a literal in the plan: all pairs of codes that make a piece, in an array whose places a
 displacement hash gives, so that a look-up costs the same for any vocabulary. The codes go back to the units that hold the word, are
 spread over the indexes there, and decoding concatenates the binary pieces of the codes.
 
-Shuffled are a unit's distinct words (not its words), and their codes with the packed indexes; texts never are. Nothing is broadcast but
-the ranks, and memory is bounded by the unit. A word that every unit holds is one short row per unit, which joins as any other.
+Shuffled are a unit's distinct words that are not common, and their codes with the packed indexes; texts never are. What is broadcast has
+a fixed size (ranks, common words), and memory is bounded by the unit. The sample decides only what is shuffled, not the result; a very frequent word that
+it missed is one short row per unit, which joins as any other.
 
 Words of more than `LONG` bytes are merged by a heap in the unit's task instead (same ranks, same result): a fold copies its state at
 each step, so its cost grows with the square of the word (256 bytes: 2 ms; 20,000 bytes: more than 10 s against 0.1 s).
@@ -23,7 +25,7 @@ import base64
 import hashlib
 import heapq
 import json
-from collections import defaultdict
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,7 +35,7 @@ from pyspark.sql import functions as F
 
 from ._tables import Workspace
 
-UNIT_BYTES, LONG = 32 << 20, 256
+UNIT_BYTES, LONG, COMMON, SAMPLE = 32 << 20, 256, 1 << 18, 20_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -191,19 +193,47 @@ def _unpack(blob: bytes, size: int) -> np.ndarray:
 _UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, words array<string>, long array<string>, long_at array<int>"
 
 
-def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Units of text: distinct words (those of more than `LONG` bytes apart), and indexes of each document's words."""
+def _split_texts(batches: Iterator[pa.RecordBatch], pattern: str) -> Iterator[tuple[int | None, list[str], int]]:
+    """(doc_id, words, length of the text) of each document."""
+    import regex
+
+    find = regex.compile(pattern).findall
+    for batch in batches:
+        for k in range(0, batch.num_rows, 256):
+            part = batch.slice(k, 256)
+            for doc, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
+                yield doc, find(text or ""), len(text or "")
+
+
+def common_words(texts: DataFrame, pattern: str, table: RankTable, most: int = COMMON, sample: int = SAMPLE) -> pa.Table:
+    """(word, codes): the words that a sample of (doc_id, text) holds most often, those of at least two occurrences."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: Counter = Counter()
+        for _, words, _ in _split_texts(batches, pattern):
+            seen.update(words)
+        yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], ["word", "n"])
+
+    share = sample / max(texts.count(), 1)
+    some = texts.sample(share, seed=1) if share < 1 else texts
+    counts = some.mapInArrow(count, "word string, n long").filter(F.octet_length("word") <= LONG).groupBy("word").agg(F.sum("n").alias("n"))
+    best = counts.filter("n >= 2").orderBy(F.col("n").desc(), "word").limit(most).select("word").repartition(16, "word")
+    return best.select("word", encode_word(F.col("word"), table).alias("codes")).toArrow()
+
+
+def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
+    """Units of (doc_id, text): distinct words outside the broadcast list *common* (those of more than `LONG` bytes apart), and indexes of each
+    document's words. Indexes count the common words first."""
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import regex
         from pyspark import TaskContext
 
-        find = regex.compile(pattern).findall
+        shared = {w: i for i, w in enumerate(common.value)} if common else {}
         unit = TaskContext.get().partitionId() << 32
 
         def emit() -> pa.RecordBatch:
             flat = np.concatenate(at) if at else np.zeros(0, np.int32)
-            words = pa.array(list(known), pa.large_string())
+            words = pa.array(list(known)[len(shared) :], pa.large_string())
             bare = pa.compute.greater(pa.compute.binary_length(words), LONG)
             where = np.flatnonzero(bare.to_numpy(zero_copy_only=False))
             long = words.take(pa.array(where)).to_pylist()
@@ -214,27 +244,23 @@ def units(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str =
         schema = pa.schema([("unit", pa.int64()), ("docs", pa.list_(pa.int64())), ("counts", pa.list_(pa.int32())), ("n", pa.int64()), ("at", pa.binary()), ("words", pa.list_(pa.string())), ("long", pa.list_(pa.string())), ("long_at", pa.list_(pa.int32()))])
 
         def fresh() -> defaultdict:
-            known: defaultdict = defaultdict()
+            known: defaultdict = defaultdict(None, shared)
             known.default_factory = known.__len__  # a new word gets the next index
             return known
 
         ids, at, known, size = [], [], fresh(), 0
-        for batch in batches:
-            for k in range(0, batch.num_rows, 256):
-                part = batch.slice(k, 256)
-                for doc, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
-                    words = find(text or "")
-                    ids.append(doc)
-                    at.append(np.fromiter(map(known.__getitem__, words), np.int32, len(words)))
-                    size += len(text or "")
-                    if size >= UNIT_BYTES:
-                        yield emit()
-                        unit += 1
-                        ids, at, known, size = [], [], fresh(), 0
+        for doc, words, length in _split_texts(batches, pattern):
+            ids.append(doc)
+            at.append(np.fromiter(map(known.__getitem__, words), np.int32, len(words)))
+            size += length
+            if size >= UNIT_BYTES:
+                yield emit()
+                unit += 1
+                ids, at, known, size = [], [], fresh(), 0
         if ids:
             yield emit()
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(split, _UNIT)
+    return texts.mapInArrow(split, _UNIT)
 
 
 def _gather(flat: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarray:
@@ -243,17 +269,20 @@ def _gather(flat: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarra
     return flat[np.repeat(start - (ends - count), count) + np.arange(ends[-1] if len(ends) else 0)]
 
 
-def encode_words(words: DataFrame, table: RankTable) -> DataFrame:
-    """(word, codes) of the distinct values of `word`."""
-    return words.groupBy("word").agg(F.first(F.lit(1)).alias("_")).select("word", encode_word(F.col("word"), table).alias("codes"))
-
-
 def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, finish, schema: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """`finish(doc_id, codes, decode)` makes a row of *schema* per document; decode gives the bytes of codes."""
-    split = Workspace(docs.sparkSession, "bpe").write(units(docs, pattern, id_col, text_col))
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    table = RankTable(ranks)
+    first = common_words(texts, pattern, table)
+    common = docs.sparkSession.sparkContext.broadcast(first.column("word").to_pylist())
+    lists = first.column("codes").combine_chunks()
+    common_codes = docs.sparkSession.sparkContext.broadcast((np.diff(lists.offsets.to_numpy()).astype(np.int64), lists.flatten().to_numpy().astype(np.int32)))
+    split = Workspace(docs.sparkSession, "bpe").write(units(texts, pattern, common))
     held = split.select("unit", F.posexplode("words").alias("i", "word")).filter("word is not null").repartition("word")
-    # Both sides of the join read the one shuffle of words.
-    coded = held.join(encode_words(held, RankTable(ranks)).hint("shuffle_hash"), "word").select("unit", "i", "codes")
+    # The condition is always true; with it both sides of the join need the same columns and read one shuffle of words.
+    distinct = held.groupBy("word").agg(F.min("unit").alias("u"), F.min("i").alias("least")).filter("u >= 0 and least >= 0").select("word")
+    coded = distinct.select("word", encode_word(F.col("word"), table).alias("codes"))
+    coded = held.join(coded.hint("shuffle_hash"), "word").select("unit", "i", "codes")
     rest = ("docs", "counts", "n", "at", "long", "long_at")
     heads = split.select("unit", F.lit(-1).alias("i"), F.lit(None).cast("array<int>").alias("codes"), *rest)
     both = heads.unionByName(coded, allowMissingColumns=True)
@@ -267,10 +296,12 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
 
         def rows_of(head: dict, parts: list) -> Iterator[pa.RecordBatch]:
             at = _unpack(head["at"], head["n"])
+            shared_count, shared_flat = common_codes.value
             index = np.concatenate([*(p[0] for p in parts), np.array(head["long_at"], np.int64)]).astype(np.int64)
+            index = np.concatenate([np.arange(len(shared_count)), index + len(shared_count)])
             long = [merge_by_heap(w.encode(), ranks) for w in head["long"]]
-            count_in = np.concatenate([*(p[1] for p in parts), np.array([len(c) for c in long], np.int64)])
-            flat = np.concatenate([*(p[2] for p in parts), *(np.array(c, np.int32) for c in long), np.zeros(0, np.int32)])
+            count_in = np.concatenate([shared_count, *(p[1] for p in parts), np.array([len(c) for c in long], np.int64)])
+            flat = np.concatenate([shared_flat, *(p[2] for p in parts), *(np.array(c, np.int32) for c in long)])
             start, count = np.zeros(len(index), np.int64), np.zeros(len(index), np.int64)
             start[index], count[index] = np.cumsum(count_in) - count_in, count_in
             done, rows = 0, []
