@@ -1,18 +1,20 @@
 """Removal of lines that many documents share, with DataFrame functions only.
 
-Plan: explode the normalised long lines of each document once each, hash them to 128 bits, count the
-documents and the largest id per hash (map-side combined), join the hashes over the threshold back
-to the lines that lose, gather the losing hashes per document, and filter each text's own line array, which
-keeps the order. Only hashes and ids are shuffled for counting; texts move once, to meet the list of
-what they lose, and the join's build side is that (small) list.
+Plan: each document's normalised long lines, once each, are hashed to 128 bits and written as a narrow table of ids and hashes. The
+documents and the largest id per hash are counted from it, first by hash and id, then by hash. The hashes over the threshold
+are joined back to the lines that lose, the losing hashes are gathered per document, and each text's own line array is
+filtered, which keeps the order. Only hashes and ids are shuffled for counting; texts move once, to meet the list
+of what they lose, and the join's build side is that (small) list.
 
-Hot lines: the count is combined before the shuffle, and the join back is a plain equi-join that
-adaptive execution splits by size. A document's list is bounded by its own lines.
+Hot lines: equal hashes are counted by (hash, id) first, so a line that a third of the rows hold is dealt by its ids. For the join back
+the `HOT` most common hashes (a fixed number, whatever the table) are broadcast: their lines are decided where they are
+read and dealt by id, so no task gets all rows of a common line. A document's list is bounded by its own lines.
 
 Defined cases: null or empty text is one empty line; texts without a newline are one line; keys under `min_chars`
-code points are never dropped; a document that holds a line several times counts once; rows that repeat an id
-count as documents of their own, and all rows of the largest id keep the line; a null id is the
-smallest; an empty table gives an empty result; other columns are carried by `drop_shared_lines`.
+code points are never dropped; a document that holds a line several times counts once; rows that repeat an id are
+one document for the counts, and each keeps or loses lines as its id does; a null id counts as one document, under all others; an
+empty table gives an empty result; other columns are carried by `drop_shared_lines`, whatever their names, but those that are named as
+the two counts it adds, which are replaced (`counts=None` adds none).
 """
 
 from __future__ import annotations
@@ -20,14 +22,17 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._tables import Workspace, unused
+
+#: So many hashes, the most common ones, are joined by broadcast.
+HOT = 1024
 _SPACE = " \t\n\x0b\x0c\r"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
 def line_key(line: Column) -> Column:
     """The line without white space at its ends, A-Z in lower case (other letters as they are)."""
-    key = F.btrim(line, F.lit(_SPACE))
-    return F.when(F.octet_length(key) == F.length(key), F.lower(key)).otherwise(F.translate(key, _UPPER, _LOWER))
+    return _folded(F.btrim(line, F.lit(_SPACE)))
 
 
 def key_hash(key: Column) -> Column:
@@ -38,30 +43,56 @@ def lines_of(text: Column) -> Column:
     return F.split(F.coalesce(text, F.lit("")), "\n", -1)
 
 
-def shared_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5) -> tuple[DataFrame, DataFrame]:
-    """(hashes of lines over the threshold with the largest id that holds them; long lines of each document)."""
-    long_lines = F.filter(lines_of(F.col(text_col)), lambda x: F.length(F.btrim(x, F.lit(_SPACE))) >= min_chars)
-    held = docs.select(F.col(id_col).alias("id"), F.explode(F.array_distinct(F.transform(long_lines, lambda x: key_hash(line_key(x))))).alias("h"))
-    held = held.select("id", F.col("h.a").alias("a"), F.col("h.b").alias("b"))
-    counts = held.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.max("id").alias("keeper"))
-    return counts.filter(F.col("n") >= min_docs).select("a", "b", "keeper"), held
+def _trimmed(lines: Column) -> Column:
+    return F.transform(lines, lambda x: F.btrim(x, F.lit(_SPACE)))
+
+
+def _folded(key: Column) -> Column:
+    return F.when(F.octet_length(key) == F.length(key), F.lower(key)).otherwise(F.translate(key, _UPPER, _LOWER))
+
+
+def held_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40) -> DataFrame:
+    """(id, a, b): hashes of the long lines of each document, once per row."""
+    keys = F.filter(_trimmed(lines_of(F.col(text_col))), lambda x: F.length(x) >= min_chars)
+    hashes = F.array_distinct(F.transform(F.transform(keys, _folded), key_hash))
+    return docs.select(F.col(id_col).alias("id"), F.explode(hashes).alias("h")).select("id", "h.a", "h.b")
+
+
+def shared_lines(held: DataFrame, min_docs: int = 5) -> DataFrame:
+    """(a, b, n, keeper): hashes of lines that so many documents hold, and the largest id that holds them."""
+    counts = held.distinct().groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.max("id").alias("keeper"))
+    return counts.filter(F.col("n") >= min_docs)
+
+
+def losing_lines(held: DataFrame, shared: DataFrame, hot: int = HOT) -> DataFrame:
+    """(id, a, b) of the lines that go."""
+    common = shared.orderBy(F.col("n").desc(), "a", "b").limit(hot).select(F.col("a").alias("ha"), F.col("b").alias("hb"), F.col("keeper").alias("hot_keeper"), F.lit(True).alias("hot"))
+    tagged = held.join(F.broadcast(common), (F.col("a") == F.col("ha")) & (F.col("b") == F.col("hb")), "left")
+    # A hot line is decided already; it travels under a key made of its id.
+    known = F.col("hot").isNotNull()
+    tagged = tagged.select("id", "a", "b", "hot", "hot_keeper", F.when(known, F.xxhash64("id", "a")).otherwise(F.col("a")).alias("ka"), F.when(known, F.xxhash64("id", "b")).otherwise(F.col("b")).alias("kb"))
+    rest = shared.select(F.col("a").alias("ka"), F.col("b").alias("kb"), F.col("keeper"), F.lit(True).alias("over"))
+    both = tagged.join(rest, ["ka", "kb"], "left")
+    keeper = F.when(F.col("hot").isNotNull(), F.col("hot_keeper")).otherwise(F.col("keeper"))
+    return both.filter((F.col("hot").isNotNull() | F.col("over").isNotNull()) & ~F.col("id").eqNullSafe(keeper)).select("id", "a", "b")
 
 
-def drop_shared_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5) -> DataFrame:
+def drop_shared_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5, counts: tuple[str, str] | None = ("n_lines", "n_dropped")) -> DataFrame:
     """The documents with `text` rewritten, plus `n_lines` (before) and `n_dropped`."""
-    shared, held = shared_lines(docs, id_col, text_col, min_chars, min_docs)
-    lost = held.join(shared, ["a", "b"]).filter(~F.col("id").eqNullSafe(F.col("keeper")))
-    per_doc = lost.groupBy(F.col("id").alias("_loser")).agg(F.collect_set(F.struct("a", "b")).alias("_lost"))
-    joined = docs.join(per_doc.hint("shuffle_hash"), docs[id_col].eqNullSafe(per_doc["_loser"]), "left").drop("_loser")
-    lines = lines_of(F.col(text_col))
-    kept = F.filter(lines, lambda x: (F.length(F.btrim(x, F.lit(_SPACE))) < min_chars) | ~F.array_contains(F.col("_lost"), key_hash(line_key(x))))
-    n_lines = (F.length(F.coalesce(F.col(text_col), F.lit(""))) - F.length(F.replace(F.coalesce(F.col(text_col), F.lit("")), F.lit("\n"), F.lit(""))) + 1).cast("long")
-    out = joined.withColumn("n_lines", n_lines).withColumn("_kept", F.when(F.col("_lost").isNotNull(), kept))
-    return (
-        out.withColumn("n_dropped", F.when(F.col("_kept").isNull(), F.lit(0)).otherwise(F.col("n_lines") - F.size("_kept")).cast("long"))
-        .withColumn(text_col, F.when(F.col("_kept").isNull(), F.col(text_col)).otherwise(F.array_join("_kept", "\n")))
-        .drop("_lost", "_kept")
-    )
+    held = Workspace(docs.sparkSession, "linededup").write(held_lines(docs, id_col, text_col, min_chars))
+    lost = losing_lines(held, shared_lines(held, min_docs))
+    loser, gone, kept_col = unused("_loser", docs), unused("_gone_lines", docs), unused("_kept_lines", docs)
+    per_doc = lost.groupBy(F.col("id").alias(loser)).agg(F.collect_set(F.struct("a", "b")).alias(gone))
+    joined = docs.join(per_doc.hint("shuffle_hash"), docs[id_col].eqNullSafe(per_doc[loser]), "left")
+    keep = lambda x: (F.length(F.btrim(x, F.lit(_SPACE))) < min_chars) | ~F.array_contains(F.col(gone), key_hash(line_key(x)))
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    out = joined.withColumn(kept_col, F.when(F.col(gone).isNotNull(), F.filter(lines_of(F.col(text_col)), keep)))
+    if counts:
+        n_lines = (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("long")
+        out = out.withColumn(counts[0], n_lines)
+        out = out.withColumn(counts[1], F.when(F.col(kept_col).isNull(), F.lit(0)).otherwise(F.col(counts[0]) - F.size(kept_col)).cast("long"))
+    out = out.withColumn(text_col, F.when(F.col(kept_col).isNull(), F.col(text_col)).otherwise(F.array_join(kept_col, "\n")))
+    return out.drop(loser, gone, kept_col)
 
 
 def line_digest(docs: DataFrame) -> DataFrame:
