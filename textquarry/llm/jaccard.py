@@ -19,7 +19,8 @@
 
 Defined cases: null text is empty; texts without words are copies only when equal byte for byte; 1 to
 n-1 words make one n-gram of all of them; rows that repeat an id are read as one document (first text by hash); a null id
-gets a null class and no links; empty tables give empty results; other columns are not read.
+gets a null class and no links; empty tables give empty results; other columns are not read (`keep_one` carries them, whatever
+their names).
 """
 
 from __future__ import annotations
@@ -32,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._tables import Workspace
+from ._tables import Workspace, unused
 from ._text import buffers, distinct_per_row, grams, mix, segment_min, steps, token_hashes, tokens
 
 #: Mixed buckets of at most this many members are finished pair by pair, larger ones by prefixes.
@@ -357,5 +358,6 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
     """The documents with one of each near-duplicate class left: the least id. Links inside classes are not needed for that."""
     space, signed, classes, _, roots = _near(docs, **options)
     members = _label(space, signed, classes, roots.withColumn("n_links", F.lit(None).cast("long")))
-    gone = members.filter("doc_id <> class_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone.hint("shuffle_hash"), F.col(options.get("id_col", "doc_id")) == F.col("_gone"), "left_anti")
+    name = unused("_gone", docs)
+    gone = members.filter("doc_id <> class_id").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone.hint("shuffle_hash"), F.col(options.get("id_col", "doc_id")) == F.col(name), "left_anti")
