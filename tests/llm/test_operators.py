@@ -300,7 +300,7 @@ def test_bpe_equals_tiktoken(spark):
 
 def test_order_minhash(spark):
     texts = AWKWARD + ["the quick brown fox jumps over the lazy dog again and again " * 3]
-    rows = {r["doc_id"]: r for r in ordermin.fingerprint_edits(frame(spark, texts), range_rows=3).collect()}
+    rows = {r["doc_id"]: r for r in ordermin.fingerprint_edits(frame(spark, texts), range_bytes=3000).collect()}
     order = sorted(range(len(texts)), reverse=True)
     prints = {}
     for k, i in enumerate(order):

@@ -6,9 +6,10 @@ put back into text order, and hashed as a tuple; the tuples are the fingerprint.
 equal tuples. A moved passage changes tuples although the set of k-mers stays.
 
 `fingerprint_edits` gives each document's fingerprint, that of its edited text (last half replaced by the start of the next document,
-in descending id), and likenesses. The next document is found without a global sort in one task: ids
-are cut into ranges of even size, each range is one partition that also gets the first document of the range
-after it, and a sorted stream does the rest. Texts are shuffled once.
+in descending id), and likenesses. The next document is found without a global sort in one task: a sorted pass over ids and
+lengths cuts the ids into ranges of about `RANGE_BYTES` of text, each range is one partition that also gets the first document of the
+range after it, and a sorted stream does the rest. Texts are shuffled once. The driver holds one number per range, at most
+`MOST_RANGES`; beyond that many times `RANGE_BYTES` ranges hold more bytes, which costs parallelism but no memory, as they are streamed.
 
 Defined cases: null text is empty; all texts without tokens share one fingerprint; fewer tokens than k make one k-mer, fewer
 k-mers than TUPLE make a tuple of those; equal ids follow each other by text, in descending order; a null id comes last; the only
@@ -18,18 +19,19 @@ document is its own successor; an empty table gives an empty result; other colum
 from __future__ import annotations
 
 import hashlib
+import json
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ._text import buffers, grams, mix, token_hashes, tokens
 
 K, SKETCHES, TUPLE = 3, 32, 2
-#: Bytes of text (document and edited text) per vectorised step, rows per range, and most ranges (beyond that they hold more rows).
-_STEP, RANGE_ROWS, MOST_RANGES = 1 << 20, 4096, 16384
+#: Bytes of text (document and edited text) per vectorised step, bytes of a range, and most ranges.
+_STEP, RANGE_BYTES, MOST_RANGES = 1 << 20, 8 << 20, 1 << 18
 
 
 def _occurrences(values: np.ndarray, row: np.ndarray) -> np.ndarray:
@@ -155,30 +157,52 @@ def _stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 ids.append(doc)
 
 
-def fingerprint_edits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", range_rows: int = RANGE_ROWS) -> DataFrame:
+def _cuts(keys: DataFrame, range_bytes: int) -> list[int]:
+    """Least ids of the ranges, greatest first: a pass in order of ids closes a range after so many bytes."""
+
+    def close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = 0
+        for batch in batches:
+            ids, size = batch.column("doc_id").to_numpy(), batch.column("size").to_numpy()
+            done = total + np.cumsum(size)
+            total = int(done[-1]) if len(done) else total
+            full = done // range_bytes > (done - size) // range_bytes
+            if full.any():
+                yield pa.RecordBatch.from_arrays([pa.array(np.unique(ids[full]))], ["cut"])
+
+    held = keys.filter("doc_id is not null").repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    return sorted({r["cut"] for r in held.mapInArrow(close, "cut long").collect()}, reverse=True)
+
+
+def _range_of(doc_id: Column, cuts: list[int]) -> Column:
+    """How many cuts are greater than the id, by binary search; a null id stands under all cuts."""
+    steps = [1 << k for k in reversed(range(len(cuts).bit_length()))]
+    cut_array = F.from_json(F.lit(json.dumps(cuts)), "array<bigint>")
+    further = lambda at, step: F.when(F.coalesce(F.get(cut_array, at + step - 1) > doc_id, F.lit(False)), at + step).otherwise(at)
+    found = F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), further) if cuts else F.lit(0)
+    return F.when(doc_id.isNull(), F.lit(len(cuts))).otherwise(found).cast("int")
+
+
+def fingerprint_edits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", range_bytes: int = RANGE_BYTES) -> DataFrame:
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    keys = rows.select("doc_id")
-    count = keys.count()
-    if not count:
+    keys = rows.select("doc_id", (F.octet_length("text") + 1).cast("long").alias("size"))
+    total = keys.agg(F.sum("size")).first()[0]
+    if not total:
         return spark.createDataFrame([], _SCHEMA)
-    ranges = min(-(-count // range_rows), MOST_RANGES)
-    # Cut points are approximate quantiles; any cut points give the right result. Their number is the number of ranges.
-    accuracy = min(1_000_000, 20 * ranges)
-    cuts = keys.agg(F.percentile_approx("doc_id", F.array(*(F.lit(i / ranges) for i in range(1, ranges))), F.lit(accuracy)).alias("c")).first()["c"] if ranges > 1 else []
-    cuts = sorted(set(cuts or []), reverse=True)
-    # Range 0 has the greatest ids; a null id stands under all others.
-    cut_array = F.array(*(F.lit(c).cast("long") for c in cuts)) if cuts else F.array().cast("array<long>")
-    part = F.size(F.filter(cut_array, lambda c: F.coalesce(F.col("doc_id") < c, F.lit(True)))).cast("int")
+    cuts = _cuts(keys, max(range_bytes, -(-total // MOST_RANGES)))
+    # Range 0 has the greatest ids.
+    part = _range_of(F.col("doc_id"), cuts)
     heads = keys.withColumn("r", part).groupBy("r").agg(F.max(F.struct(F.col("doc_id").isNotNull(), "doc_id")).alias("m")).orderBy("r").select("r", "m.doc_id").collect()
     order = [h["r"] for h in heads]
     # A range that is not empty hands its first document to the one before it; the first range's goes to the last.
     before = {r: order[i - 1] for i, r in enumerate(order)}
     head = spark.createDataFrame([(h["r"], h["doc_id"], before[h["r"]]) for h in heads], "r int, head long, target int")
-    tagged = rows.withColumn("r", part)
-    # Of rows that share the head's id, the one of greatest text goes ahead.
-    copies = tagged.join(F.broadcast(head), ["r"]).filter(F.col("doc_id").eqNullSafe(F.col("head")))
-    copies = copies.groupBy("target").agg(F.max("text").alias("text")).select(F.lit(None).cast("long").alias("doc_id"), "text", F.col("target").alias("r"), F.lit(True).alias("ahead"))
-    both = tagged.select("doc_id", "text", "r", F.lit(False).alias("ahead")).unionByName(copies)
-    dealt = both.repartition(len(order), "r").sortWithinPartitions("r", "ahead", F.col("doc_id").desc_nulls_last(), F.col("text").desc())
+    tagged = rows.withColumn("r", part).join(F.broadcast(head), "r")
+    # A head goes to its own range and ahead to the one before. Of rows that share a head's id, all go there and the first of them counts.
+    stay = F.struct(F.col("r").alias("r"), F.lit(False).alias("ahead"))
+    go = F.struct(F.col("target").alias("r"), F.lit(True).alias("ahead"))
+    places = F.when(F.col("doc_id").eqNullSafe(F.col("head")), F.array(stay, go)).otherwise(F.array(stay))
+    both = tagged.select("doc_id", "text", F.explode(places).alias("p")).select("doc_id", "text", "p.r", "p.ahead")
+    dealt = both.repartitionById(len(cuts) + 1, "r").sortWithinPartitions("r", "ahead", F.col("doc_id").desc_nulls_last(), F.col("text").desc())
     return dealt.select("doc_id", "text", "ahead").mapInArrow(_stream, _SCHEMA)
