@@ -217,8 +217,9 @@ def common_words(texts: DataFrame, pattern: str, table: RankTable, most: int = C
     share = sample / max(texts.count(), 1)
     some = texts.sample(share, seed=1) if share < 1 else texts
     counts = some.mapInArrow(count, "word string, n long").filter(F.octet_length("word") <= LONG).groupBy("word").agg(F.sum("n").alias("n"))
-    best = counts.filter("n >= 2").orderBy(F.col("n").desc(), "word").limit(most).select("word").repartition(16, "word")
-    return best.select("word", encode_word(F.col("word"), table).alias("codes")).toArrow()
+    best = counts.filter("n >= 2").orderBy(F.col("n").desc(), "word").limit(most).repartition(16, "word")
+    # The most frequent words get the least indexes, which pack best.
+    return best.select("word", encode_word(F.col("word"), table).alias("codes"), "n").toArrow().sort_by([("n", "descending"), ("word", "ascending")])
 
 
 def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
@@ -263,6 +264,38 @@ def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
     return texts.mapInArrow(split, _UNIT)
 
 
+def pack_codes(coded: DataFrame) -> DataFrame:
+    """(unit, i, codes) of words to (unit, i, size, flat): one row per run of a unit's words, packed."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+        unit = None
+
+        def emit() -> pa.RecordBatch:
+            i, count, flat = (np.concatenate([h[k] for h in held]) for k in range(3))
+            row = [[unit], [_pack(np.diff(i, prepend=0))], [_pack(count)], [len(i)], [_pack(flat)], [len(flat)]]
+            return pa.RecordBatch.from_arrays([pa.array(r, t) for r, t in zip(row, types, strict=True)], ["unit", "i", "size", "words", "flat", "codes"])
+
+        types = [pa.int64(), pa.binary(), pa.binary(), pa.int32(), pa.binary(), pa.int32()]
+        for batch in batches:
+            u = batch.column("unit").to_numpy()
+            cuts = np.flatnonzero(np.diff(u)) + 1
+            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(u)], strict=True):
+                if a == b:
+                    continue
+                if held and u[a] != unit:
+                    yield emit()
+                    held = []
+                unit = int(u[a])
+                lists = batch.column("codes").slice(a, b - a)
+                held.append((batch.column("i").slice(a, b - a).to_numpy().astype(np.int32), np.diff(lists.offsets.to_numpy()).astype(np.int32), lists.flatten().to_numpy(zero_copy_only=False).astype(np.int32)))
+        if held:
+            yield emit()
+
+    dealt = coded.select("unit", "i", "codes").sortWithinPartitions("unit", "i")
+    return dealt.mapInArrow(run, "unit long, i binary, size binary, words int, flat binary, codes int")
+
+
 def _gather(flat: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarray:
     """Concatenate flat[start : start + count] of all rows."""
     ends = np.cumsum(count)
@@ -282,11 +315,10 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
     # The condition is always true; with it both sides of the join need the same columns and read one shuffle of words.
     distinct = held.groupBy("word").agg(F.min("unit").alias("u"), F.min("i").alias("least")).filter("u >= 0 and least >= 0").select("word")
     coded = distinct.select("word", encode_word(F.col("word"), table).alias("codes"))
-    coded = held.join(coded.hint("shuffle_hash"), "word").select("unit", "i", "codes")
-    rest = ("docs", "counts", "n", "at", "long", "long_at")
-    heads = split.select("unit", F.lit(-1).alias("i"), F.lit(None).cast("array<int>").alias("codes"), *rest)
+    coded = pack_codes(held.join(coded.hint("shuffle_hash"), "word"))
+    heads = split.select("unit", F.struct("docs", "counts", "n", "at", "long", "long_at").alias("head"))
     both = heads.unionByName(coded, allowMissingColumns=True)
-    dealt = both.repartition("unit").sortWithinPartitions("unit", "i")
+    dealt = both.repartition("unit").sortWithinPartitions("unit", F.col("head").isNull())
     pieces = [b""] * (max(ranks.values()) + 1)
     for piece, rank in ranks.items():
         pieces[rank] = piece
@@ -294,14 +326,14 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         decode = lambda codes: b"".join(map(pieces.__getitem__, codes.tolist()))
 
-        def rows_of(head: dict, parts: list) -> Iterator[pa.RecordBatch]:
+        def rows_of(head: dict, parts: list[dict]) -> Iterator[pa.RecordBatch]:
             at = _unpack(head["at"], head["n"])
             shared_count, shared_flat = common_codes.value
-            index = np.concatenate([*(p[0] for p in parts), np.array(head["long_at"], np.int64)]).astype(np.int64)
+            index = np.concatenate([*(np.cumsum(_unpack(p["i"], p["words"])) for p in parts), np.array(head["long_at"], np.int64)]).astype(np.int64)
             index = np.concatenate([np.arange(len(shared_count)), index + len(shared_count)])
             long = [merge_by_heap(w.encode(), ranks) for w in head["long"]]
-            count_in = np.concatenate([shared_count, *(p[1] for p in parts), np.array([len(c) for c in long], np.int64)])
-            flat = np.concatenate([shared_flat, *(p[2] for p in parts), *(np.array(c, np.int32) for c in long)])
+            count_in = np.concatenate([shared_count, *(_unpack(p["size"], p["words"]) for p in parts), np.array([len(c) for c in long], np.int64)]).astype(np.int64)
+            flat = np.concatenate([shared_flat, *(_unpack(p["flat"], p["codes"]) for p in parts), *(np.array(c, np.int32) for c in long)])
             start, count = np.zeros(len(index), np.int64), np.zeros(len(index), np.int64)
             start[index], count[index] = np.cumsum(count_in) - count_in, count_in
             done, rows = 0, []
@@ -315,20 +347,17 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
             if rows:
                 yield pa.RecordBatch.from_pylist(rows, out)
 
+        # A unit begins with its head; the packed codes of its words follow.
         head, parts = None, []
         for batch in batches:
-            i = batch.column("i").to_numpy()
-            # A unit begins with its head; the codes of its words follow.
-            cuts = [*np.flatnonzero(i < 0).tolist(), batch.num_rows]
-            for a, b in zip([0, *cuts[:-1]] if cuts[0] else cuts[:-1], cuts if cuts[0] else cuts[1:], strict=True):
-                if i[a] < 0:
-                    if head is not None:
-                        yield from rows_of(head, parts)
-                    head, parts = batch.slice(a, 1).select(["docs", "counts", "n", "at", "long", "long_at"]).to_pylist()[0], []
-                    a += 1
-                if a < b:
-                    lists = batch.column("codes").slice(a, b - a)
-                    parts.append((i[a:b].copy(), np.diff(lists.offsets.to_numpy()).astype(np.int64), lists.flatten().to_numpy(zero_copy_only=False).astype(np.int32)))
+            for k in range(batch.num_rows):
+                row = batch.slice(k, 1).to_pylist()[0]
+                if row["head"] is None:
+                    parts.append(row)
+                    continue
+                if head is not None:
+                    yield from rows_of(head, parts)
+                head, parts = row["head"], []
         if head is not None:
             yield from rows_of(head, parts)
 
