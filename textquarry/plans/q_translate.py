@@ -1,8 +1,7 @@
-"""Queries: translation templates, romanization, speech and page layout."""
+"""Queries: translation templates and romanization."""
 
 from __future__ import annotations
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import text as T
@@ -105,126 +104,3 @@ def q_rom_replace(spark, d):
     pieces = docs.select("doc_id", "lang", F.posexplode(tp.word_pieces(F.lower("text"))).alias("ord", "p"))
     j = pieces.join(full, ["lang", "p"], "left").groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("ord", F.coalesce("roman", "p").alias("t")))).alias("a"))
     return j.select("doc_id", F.array_join(F.transform("a", lambda x: x["t"]), "").alias("text"))
-
-
-_CUES = "(SELECT conv_id, turn, CASE turn % 3 WHEN 0 THEN '[music] ' || t WHEN 1 THEN 'ANNA: ' || t ELSE t || '...' END AS line FROM (SELECT conv_id, turn, replace(text, chr(10), ' ') AS t FROM conversations))"
-
-
-@query(f"SELECT conv_id AS file_id, string_agg(trim(regexp_replace(regexp_replace(regexp_replace(line, '\\[[^\\]]*\\]|\\([^)]*\\)', '', 'g'), '^[A-Z]+: ', ''), '\\.\\.\\.', '', 'g')), chr(10) ORDER BY turn) AS text FROM {_CUES} GROUP BY conv_id")
-def q_srt_documents(spark, d):
-    """Subtitle files without numbers, times, cues and ellipses; one document per file."""
-    c = table(spark, d, "conversations").withColumn("t", F.replace("text", F.lit("\n"), F.lit(" ")))
-    line = F.when(F.col("turn") % 3 == 0, F.concat(F.lit("[music] "), "t")).when(F.col("turn") % 3 == 1, F.concat(F.lit("ANNA: "), "t")).otherwise(F.concat("t", F.lit("...")))
-    cue = F.concat_ws("\n", (F.col("turn") + 1).cast("string"), F.lit("00:00:01,000 --> 00:00:02,000"), line)
-    files = c.groupBy("conv_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", cue.alias("c")))), lambda x: x["c"]), "\n\n").alias("content"))
-    lines = F.filter(F.split("content", "\n"), lambda x: (x != "") & ~x.rlike(r"^\d+$") & ~x.contains(" --> "))
-    clean = lambda x: F.trim(F.regexp_replace(F.regexp_replace(F.regexp_replace(x, r"\[[^\]]*\]|\([^)]*\)", ""), "^[A-Z]+: ", ""), r"\.\.\.", ""))
-    return files.select(F.col("conv_id").alias("file_id"), F.array_join(F.transform(lines, clean), "\n").alias("text"))
-
-
-_SEGS = "WITH s AS (SELECT *, CASE WHEN ts - lag(ts) OVER w > INTERVAL 6 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), n AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts, event_id)::BIGINT AS seg FROM s)"
-
-
-@query(f"{_SEGS}, t AS (SELECT user_id, seg, string_agg(event_type, ' ' ORDER BY ts, event_id) AS x FROM n GROUP BY ALL) SELECT user_id AS video_id, string_agg(x || '.', ' ' ORDER BY seg) AS text FROM t GROUP BY user_id")
-def q_asr_documents(spark, d):
-    """Frames to segments at silences, tokens to transcripts, pieces stitched in time order with a stop at each pause."""
-    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    us = lambda c: F.unix_micros(c.cast("timestamp"))
-    gap = (us(F.col("ts")) - us(F.lag("ts").over(w))) > 6 * 3600 * 1_000_000
-    s = table(spark, d, "events").withColumn("b", F.when(F.coalesce(gap, F.lit(True)), 1).otherwise(0)).withColumn("seg", F.sum("b").over(w))
-    ordered = lambda *c: F.array_sort(F.collect_list(F.struct(*c)))
-    t = s.groupBy("user_id", "seg").agg(F.array_join(F.transform(ordered("ts", "event_id", "event_type"), lambda x: x["event_type"]), " ").alias("x"))
-    return t.groupBy(F.col("user_id").alias("video_id")).agg(F.array_join(F.transform(ordered("seg", "x"), lambda x: F.concat(x["x"], F.lit("."))), " ").alias("text"))
-
-
-_PDF = "p AS (SELECT c_custkey AS pdf_id, c_nationkey % 6 AS lang_no, c_custkey % 29 = 0 AS corrupted, c_custkey % 31 = 0 AS encrypted, 150 + 25 * (c_custkey % 15) AS ppi, count(o_orderkey) AS n_pages FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY ALL)"
-
-
-@query(f"WITH {_PDF}, s AS (SELECT lang_no < 4 AS s1, lang_no < 4 AND NOT corrupted AND NOT encrypted AS s2, lang_no < 4 AND NOT corrupted AND NOT encrypted AND n_pages <= 20 AS s3, lang_no < 4 AND NOT corrupted AND NOT encrypted AND n_pages BETWEEN 4 AND 20 AS s4, lang_no < 4 AND NOT corrupted AND NOT encrypted AND n_pages BETWEEN 4 AND 20 AND ppi >= 300 AS s5 FROM p) SELECT count(*) AS found, count(*) FILTER (s1) AS supported, count(*) FILTER (s2) AS readable, count(*) FILTER (s3) AS not_long, count(*) FILTER (s4) AS not_short, count(*) FILTER (s5) AS sharp FROM s")
-def q_pdf_cascade(spark, d):
-    """Surviving files after each selection step, in one pass: each step is a cumulative condition."""
-    p = table(spark, d, "customer").join(table(spark, d, "orders").groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")), F.col("c_custkey") == F.col("o_custkey"), "left")
-    k, n = F.col("c_custkey"), F.coalesce("n", F.lit(0))
-    steps = {"supported": F.col("c_nationkey") % 6 < 4, "readable": (k % 29 != 0) & (k % 31 != 0), "not_long": n <= 20, "not_short": n >= 4, "sharp": 150 + 25 * (k % 15) >= 300}
-    alive, out = F.lit(True), [F.count(F.lit(1)).alias("found")]
-    for name, rule in steps.items():
-        alive = alive & rule
-        out.append(F.count_if(alive).alias(name))
-    return p.agg(*out)
-
-
-_PAGES = "pg AS (SELECT o_custkey AS pdf_id, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS page_no, (o_orderkey % 100) / 100.0::DOUBLE AS area, (o_orderkey * 7) % 256 AS brightness, o_orderkey FROM orders)"
-
-
-def _pages(spark, d):
-    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-    k = F.col("o_orderkey")
-    return table(spark, d, "orders").select(F.col("o_custkey").alias("pdf_id"), F.row_number().over(w).alias("page_no"), (k % 100 / 100).alias("area"), ((k * 7) % 256).alias("brightness"), k)
-
-
-@query(f"WITH {_PAGES} SELECT pdf_id, avg(area) AS area, avg(brightness) AS brightness, avg(area) < 0.5 AND avg(brightness) > 100 AS gate FROM pg WHERE page_no <= 10 GROUP BY pdf_id")
-def q_pdf_image_gate(spark, d):
-    """Mean image area and brightness over the first ten consecutive pages."""
-    p = _pages(spark, d).filter("page_no <= 10").groupBy("pdf_id").agg(F.avg("area").alias("area"), F.avg("brightness").alias("brightness"))
-    return p.withColumn("gate", (F.col("area") < 0.5) & (F.col("brightness") > 100))
-
-
-@query(f"WITH {_PAGES}, k AS (SELECT pdf_id, page_no, page_no - row_number() OVER (PARTITION BY pdf_id ORDER BY page_no) AS run, o_orderkey FROM pg WHERE o_orderkey % 5 <> 0) SELECT pdf_id, min(page_no)::INTEGER AS first_page, count(*) AS pages, string_agg('p' || o_orderkey, ' ' ORDER BY page_no) AS text FROM k GROUP BY pdf_id, run")
-def q_pdf_documents(spark, d):
-    """Runs of surviving consecutive pages become documents; a gap starts a new one."""
-    k = _pages(spark, d).filter("o_orderkey % 5 <> 0").withColumn("run", F.col("page_no") - F.row_number().over(Window.partitionBy("pdf_id").orderBy("page_no")))
-    g = k.groupBy("pdf_id", "run").agg(F.min("page_no").alias("first_page"), F.count(F.lit(1)).alias("pages"), F.array_sort(F.collect_list(F.struct("page_no", "o_orderkey"))).alias("a"))
-    return g.select("pdf_id", "first_page", "pages", F.array_join(F.transform("a", lambda x: F.concat(F.lit("p"), x["o_orderkey"].cast("string"))), " ").alias("text"))
-
-
-_BOX = "bx AS (SELECT l_orderkey AS page_id, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_shipdate) AS box_id, (l_partkey % 500)::BIGINT AS x0, ((l_suppkey * 37) % 700)::BIGINT AS y0, (l_partkey % 500 + 20 + 4 * l_quantity)::BIGINT AS x1, ((l_suppkey * 37) % 700 + 15 + round(l_discount * 1000))::BIGINT AS y1 FROM lineitem)"
-
-
-def boxes(spark, d):
-    """Layout stand-in: a page per order, a box per line."""
-    w = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_shipdate")
-    x, y = F.col("l_partkey") % 500, (F.col("l_suppkey") * 37) % 700
-    return table(spark, d, "lineitem").select(F.col("l_orderkey").alias("page_id"), F.row_number().over(w).alias("box_id"), x.alias("x0"), y.alias("y0"), (x + 20 + 4 * F.col("l_quantity")).cast("long").alias("x1"), (y + 15 + F.round(F.col("l_discount") * 1000)).cast("long").alias("y1"))
-
-
-_INTER = "greatest(0, least(a.x1, b.x1) - greatest(a.x0, b.x0)) * greatest(0, least(a.y1, b.y1) - greatest(a.y0, b.y0))"
-_AREA = "({b}.x1 - {b}.x0) * ({b}.y1 - {b}.y0)"
-
-
-def box_pairs(b):
-    """Overlapping pairs of a page: equi-join on the page, overlap as residual; pages are small."""
-    o = b.select("page_id", *(F.col(c).alias(f"{c}_b") for c in ("box_id", "x0", "y0", "x1", "y1")))
-    side = lambda lo, hi: F.greatest(F.lit(0), F.least(hi, f"{hi}_b") - F.greatest(lo, f"{lo}_b"))
-    return b.join(o, "page_id").filter("box_id <> box_id_b").withColumn("inter", side("x0", "x1") * side("y0", "y1")).filter("inter > 0")
-
-
-@query(f"WITH {_BOX} SELECT DISTINCT a.page_id, a.box_id::INTEGER AS box_id FROM bx a JOIN bx b ON a.page_id = b.page_id AND a.box_id <> b.box_id WHERE ({_AREA.format(b='a')} < {_AREA.format(b='b')} OR ({_AREA.format(b='a')} = {_AREA.format(b='b')} AND a.box_id > b.box_id)) AND ({_INTER}) * 10 > 7 * ({_AREA.format(b='a')})")
-def q_box_suppress(spark, d):
-    """Boxes that a larger one covers by more than 0.7; ties go by id."""
-    p = box_pairs(boxes(spark, d))
-    mine, other = F.expr("(x1 - x0) * (y1 - y0)"), F.expr("(x1_b - x0_b) * (y1_b - y0_b)")
-    return p.filter(((mine < other) | ((mine == other) & (F.col("box_id") > F.col("box_id_b")))) & (F.col("inter") * 10 > 7 * mine)).select("page_id", "box_id").distinct()
-
-
-@query(f"WITH {_BOX}, i AS (SELECT a.page_id, sum({_INTER}) / 2.0 AS inter FROM bx a JOIN bx b ON a.page_id = b.page_id AND a.box_id <> b.box_id GROUP BY 1), s AS (SELECT page_id, sum((x1 - x0) * (y1 - y0))::DOUBLE AS area FROM bx GROUP BY 1) SELECT page_id, round(inter / area, 6)::DOUBLE AS overlap FROM i JOIN s USING (page_id) WHERE inter / area > 0.1")
-def q_page_overlap(spark, d):
-    """Pages whose boxes overlap by more than a tenth of their area."""
-    b = boxes(spark, d)
-    i = box_pairs(b).groupBy("page_id").agg((F.sum("inter") / 2).alias("i"))
-    s = b.groupBy("page_id").agg(F.sum(F.expr("(x1 - x0) * (y1 - y0)")).alias("s"))
-    return i.join(s, "page_id").withColumn("o", F.col("i") / F.col("s")).filter("o > 0.1").select("page_id", F.round("o", 6).alias("overlap"))
-
-
-def _sparse(axis: str, size: int):
-    def run(spark, d):
-        b = boxes(spark, d).select("page_id", "box_id", F.col(f"{axis}0").alias("a"), F.col(f"{axis}1").alias("b"))
-        w = Window.partitionBy("page_id").orderBy("a", "b", "box_id").rowsBetween(Window.unboundedPreceding, -1)
-        c = b.withColumn("reach", F.max("b").over(w)).withColumn("add", F.greatest(F.lit(0), F.col("b") - F.greatest(F.col("a"), F.coalesce("reach", "a"))))
-        return c.groupBy("page_id").agg((F.sum("add") / size).alias("cover")).filter("cover < 0.3")
-
-    run.__name__ = f"q_page_{'h' if axis == 'x' else 'v'}sparse"
-    query(f"WITH {_BOX}, c AS (SELECT page_id, {axis}0 AS a, {axis}1 AS b, max({axis}1) OVER (PARTITION BY page_id ORDER BY {axis}0, {axis}1, box_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM bx) SELECT page_id, sum(greatest(0, b - greatest(a, coalesce(reach, a)))) / {size}::DOUBLE AS cover FROM c GROUP BY page_id HAVING sum(greatest(0, b - greatest(a, coalesce(reach, a)))) / {size}::DOUBLE < 0.3")(run)
-
-
-_sparse("x", 600)
-_sparse("y", 800)
