@@ -12,6 +12,8 @@ THRESHOLDS = {"*": {"nsfw_ratio": 0.005, "non_target_ratio": 0.2, "min_lines": 2
 
 #: Fixed values of deduplication and perplexity filtering.
 DEDUP_NGRAM, DEDUP_THRESHOLD = 5, 0.7
+#: Probability that a pair at the threshold is proposed.
+DEDUP_RECALL = 0.999
 LM_ORDER, PPL_QUANTILE, LM_TRAIN_DOCS, LM_VALID_DOCS = 5, 0.8, 200_000, 100_000
 #: Fixed values of the PDF selection.
 PDF_MAX_PAGES, PDF_MIN_PAGES, PDF_MIN_PPI, PDF_RUN, PDF_MAX_AREA, PDF_MIN_BRIGHTNESS = 2000, 25, 300, 10, 0.5, 200

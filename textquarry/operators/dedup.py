@@ -1,26 +1,31 @@
 """Exact and fuzzy deduplication per language: shingles, MinHash bands, verified pairs, clusters, survivors.
 
-Pair lists are linear in bucket size for `star` edges; `all` edges are for exact answers on small corpora. At scale the bands
-are made in the map task, so that a document ships its band hashes and never its signature or shingles.
+At scale: one map pass makes, per document, the identity of its shingle set and its band hashes. Documents of equal sets become one
+representative (combined map-side). Buckets propose pairs: each member with the bucket's least one, and, after
+components are known, whatever may still link two of them: all pairs of small buckets, and in large ones the pairs
+whose rarest shingles meet (a prefix filter, which loses no pair at the threshold). Pairs are verified on the whole
+sets, made for documents that share a bucket only. Nothing is sampled, capped or collected.
 """
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..config import DEDUP_NGRAM, DEDUP_THRESHOLD
+from ..config import DEDUP_NGRAM, DEDUP_RECALL, DEDUP_THRESHOLD
 from ..functions import text as T
+from ..functions.arrays import buffers, distinct_per_row, grams, mix, segment_min, steps, token_hashes, tokens
+from ..shared import Workspace
 
 PRIME = (1 << 31) - 1
-PERMUTATIONS, BANDS, ROWS = 128, 20, 6
+PERMUTATIONS = 128
+#: Buckets of at most this many members are compared pair by pair.
+SMALL = 32
 
 
 def shingles(text: Column, n: int = DEDUP_NGRAM) -> Column:
@@ -28,13 +33,18 @@ def shingles(text: Column, n: int = DEDUP_NGRAM) -> Column:
     return F.array_distinct(T.ngrams(T.folded_words(text), n))
 
 
+def char_shingles(text: Column, n: int = DEDUP_NGRAM) -> Column:
+    """Variant: distinct character n-grams of the folded text."""
+    return F.array_distinct(T.char_grams(F.array_join(T.folded_words(text), " "), n))
+
+
 def permutations(count: int, seed: int = 1) -> list[tuple[int, int]]:
     rng = np.random.default_rng(seed)
     return [(int(a), int(b)) for a, b in zip(rng.integers(1, PRIME, count), rng.integers(0, PRIME, count), strict=True)]
 
 
 def minhash(hashes: Column, pairs: list[tuple[int, int]]) -> Column:
-    """Signature as column expression (the reference form; `band_table` is the fast one)."""
+    """Signature as column expression (the reference form; `signatures` is the fast one)."""
     p = F.array(*(F.struct(F.lit(a).cast("long").alias("a"), F.lit(b).cast("long").alias("b")) for a, b in pairs))
     return T.let(hashes, lambda h: F.transform(p, lambda q: F.array_min(F.transform(h, lambda x: (q["a"] * x + q["b"]) % PRIME))))
 
@@ -52,51 +62,164 @@ def choose_bands(threshold: float = DEDUP_THRESHOLD, permutations: int = PERMUTA
     return best
 
 
-def band_table(docs: DataFrame, n: int = DEDUP_NGRAM, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """(doc_id, lang, band, h): band hashes, made in one map pass with numpy."""
-    pairs = np.array(permutations(bands * rows), np.uint64)
+def bands_at_recall(threshold: float = DEDUP_THRESHOLD, recall: float = DEDUP_RECALL, permutations: int = PERMUTATIONS) -> tuple[int, int]:
+    """Bands and rows: as many rows as the permutations allow while a pair at the threshold is proposed with this probability."""
+    best = (permutations, 1)
+    for r in range(1, permutations + 1):
+        bands = max(1, math.ceil(math.log(1 - recall) / math.log1p(-(threshold**r)))) if threshold < 1 else 1
+        if bands * r <= permutations:
+            best = (bands, r)
+    return best
+
+
+def _plain(docs: DataFrame) -> DataFrame:
+    """doc_id, lang, and the folded words with single blanks between."""
+    return docs.select("doc_id", "lang", F.regexp_replace(F.lower("text"), r"[^\p{L}\p{N}_]+", " ").alias("text"))
+
+
+def _sets(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
+    raw, offsets = buffers(column)
+    s, e, first = tokens(raw, offsets)
+    return distinct_per_row(*grams(token_hashes(raw, s, e, fold=False), first, n))
+
+
+def signatures(docs: DataFrame, n: int, bands: int, rows: int) -> DataFrame:
+    """(doc_id, lang, a, b, n, bands): identity of the shingle set, its size, and its band hashes; documents without words have no row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(0, batch.num_rows, 64):
-                part = batch.slice(k, 64)
-                out = np.empty((part.num_rows, bands), np.int64)
-                keep = []
-                for i, h in enumerate(part.column("h")):
-                    x = h.values.to_numpy().astype(np.uint64) if h.is_valid and len(h.values) else None
-                    if x is None:
-                        continue
-                    keep.append(i)
-                    sig = np.array([((a * x + b) % np.uint64(PRIME)).min() for a, b in pairs], np.uint64).reshape(bands, rows)
-                    mixed = np.zeros(bands, np.uint64)
-                    for r in range(rows):
-                        mixed = (mixed ^ sig[:, r]) * np.uint64(0x9E3779B97F4A7C15)
-                        mixed ^= mixed >> np.uint64(31)
-                    out[i] = mixed.view(np.int64)
-                at = np.array(keep, int)
-                yield pa.RecordBatch.from_arrays([part.column(c).take(pa.array(np.repeat(at, bands))) for c in ("doc_id", "lang")] + [pa.array(np.tile(np.arange(bands, dtype=np.int32), len(at))), pa.array(out[at].reshape(-1))], ["doc_id", "lang", "band", "h"])
-
-    hashed = docs.select("doc_id", "lang", F.transform(shingles(F.col("text"), n), lambda g: F.pmod(F.xxhash64(g), F.lit(PRIME))).alias("h"))
-    return hashed.mapInArrow(run, "doc_id long, lang string, band int, h long")
-
-
-def candidates(bands: DataFrame, edges: str = "star") -> DataFrame:
-    """Pairs (lang, src, dst), src < dst, that share a bucket."""
-    if edges == "star":
-        least = bands.groupBy("lang", "band", "h").agg(F.min("doc_id").alias("src"), F.count(F.lit(1)).alias("n")).filter("n > 1")
-        pairs = bands.join(least, ["lang", "band", "h"]).select("lang", "src", F.col("doc_id").alias("dst"))
-    else:
-        other = bands.select("lang", "band", "h", F.col("doc_id").alias("dst"))
-        pairs = bands.withColumnRenamed("doc_id", "src").join(other, ["lang", "band", "h"]).select("lang", "src", "dst")
-    return pairs.filter("src < dst").distinct()
-
-
-def verify(pairs: DataFrame, docs: DataFrame, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
-    """Adds the exact Jaccard and keeps pairs at or over the threshold."""
-    sets = docs.select("doc_id", F.transform(shingles(F.col("text"), n), lambda g: F.xxhash64(g)).alias("s"))
+        values_of = mix(np.arange(1, 2 * bands * rows + 1, dtype=np.uint64))
+        factor, shift = values_of[: bands * rows] | np.uint64(1), values_of[bands * rows :]
+        for part in steps(batches, "text"):
+            values, begin = _sets(part.column("text"), n)
+            size = np.diff(begin)
+            some = np.flatnonzero(size)
+            sums = [np.concatenate([[np.uint64(0)], np.cumsum(mix(values + np.uint64(c)))]) for c in (1, 2)]
+            a, b = (t[begin[1:]] - t[begin[:-1]] for t in sums)
+            out = np.zeros((len(size), bands), np.uint64)
+            for k in range(bands):
+                for r in range(rows):
+                    out[:, k] = mix(out[:, k] ^ segment_min(values * factor[k * rows + r] + shift[k * rows + r], begin, np.uint64(0)))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(some) * bands + 1, bands, dtype=np.int32)), pa.array(out[some].reshape(-1).view(np.int64)))
+            keep = pa.array(some)
+            yield pa.RecordBatch.from_arrays([part.column("doc_id").take(keep), part.column("lang").take(keep), pa.array(a[some].view(np.int64)), pa.array(b[some].view(np.int64)), pa.array(size[some].astype(np.int32)), lists], ["doc_id", "lang", "a", "b", "n", "bands"])
+
+    return _plain(docs).mapInArrow(run, "doc_id long, lang string, a long, b long, n int, bands array<long>")
+
+
+def shingle_sets(docs: DataFrame, n: int = DEDUP_NGRAM) -> DataFrame:
+    """(doc_id, s): sorted hashes of the distinct shingles."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in steps(batches, "text"):
+            values, begin = _sets(part.column("text"), n)
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.ListArray.from_arrays(pa.array(begin.astype(np.int32)), pa.array(values.view(np.int64)))], ["doc_id", "s"])
+
+    return _plain(docs).mapInArrow(run, "doc_id long, s array<long>")
+
+
+def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """Adds the exact Jaccard of pairs (src, dst)."""
     both = pairs.join(sets.select(F.col("doc_id").alias("src"), F.col("s").alias("a")), "src").join(sets.select(F.col("doc_id").alias("dst"), F.col("s").alias("b")), "dst")
     both = both.withColumn("i", F.size(F.array_intersect("a", "b")))
-    return both.select("lang", "src", "dst", (F.col("i") / (F.size("a") + F.size("b") - F.col("i"))).alias("jaccard")).filter(F.col("jaccard") >= threshold)
+    return both.select(*pairs.columns, (F.col("i") / (F.size("a") + F.size("b") - F.col("i"))).alias("jaccard"))
+
+
+class Buckets:
+    """Buckets of a corpus: copies, members of shared buckets with their group, shingle sets."""
+
+    def __init__(self, docs: DataFrame, name: str, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD, groups: Column | None = None) -> None:
+        """*groups*: pairs are wanted between different values only; each document is a group of its own by default."""
+        self.space, self.threshold = Workspace(docs.sparkSession, name), threshold
+        signed = signatures(docs, n, *bands_at_recall(threshold))
+        if groups is not None:
+            signed = signed.join(docs.select("doc_id", groups.alias("grp")), "doc_id")
+        self.signed = self.space.write(signed)
+        by = ["lang", "a", "b", "n"] + (["grp"] if groups is not None else [])
+        self.classes = self.space.write(self.signed.groupBy(*by).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("bands").alias("bands")))
+        grp = F.col("grp") if groups is not None else F.col("rep")
+        held = self.classes.select("lang", "rep", "n", grp.cast("long").alias("grp"), F.posexplode("bands").alias("band", "h"))
+        shared = held.groupBy("lang", "band", "h").agg(F.count(F.lit(1)).alias("c")).filter("c > 1")
+        self.held = self.space.write(held.join(shared, ["lang", "band", "h"]))
+        ids = self.held.select(F.col("rep").alias("_id")).distinct()
+        self.sets = self.space.write(shingle_sets(docs.join(ids.hint("shuffle_hash"), F.col("doc_id") == F.col("_id"), "left_semi"), n))
+
+    def _pairs(self, rows: DataFrame) -> DataFrame:
+        """Pairs (lang, src, dst) of sizes that can reach the threshold."""
+        fits = F.least("n", "n2") >= self.threshold * F.greatest("n", "n2") - 1e-9
+        return rows.filter(fits & (F.col("rep") != F.col("rep2"))).select("lang", F.least("rep", "rep2").alias("src"), F.greatest("rep", "rep2").alias("dst")).distinct()
+
+    def stars(self) -> DataFrame:
+        """Each member with the least one of its bucket: linear in the buckets."""
+        least = self.held.groupBy("lang", "band", "h").agg(F.min(F.struct("rep", "n")).alias("p"))
+        return self._pairs(self.held.join(least.select("lang", "band", "h", F.col("p.rep").alias("rep2"), F.col("p.n").alias("n2")), ["lang", "band", "h"]))
+
+    def between(self, held: DataFrame | None = None) -> DataFrame:
+        """All pairs of different groups that share a bucket and can reach the threshold."""
+        held = self.held if held is None else held
+        mixed = held.groupBy("lang", "band", "h").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).filter("lo < hi").select("lang", "band", "h")
+        held = self.space.write(held.join(mixed, ["lang", "band", "h"]))
+        few = held.filter(F.col("c") <= SMALL)
+        other = few.select("lang", "band", "h", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("grp").alias("grp2"))
+        small = few.join(other, ["lang", "band", "h"]).filter("grp < grp2")
+        many = self.space.write(held.filter(F.col("c") > SMALL).select("lang", "rep", "n", "grp").distinct())
+        columns = ("lang", "rep", "n", "rep2", "n2")
+        return self._pairs(small.select(*columns).unionByName(self._by_prefix(many).select(*columns)))
+
+    def _by_prefix(self, members: DataFrame) -> DataFrame:
+        """Pairs of different groups that share one of the first n - ceil(s n) + 1 shingles, shingles of one group first, then rare ones first."""
+        held = self.space.write(members.join(self.sets, members["rep"] == self.sets["doc_id"]).select("lang", "rep", "n", "grp", F.explode("s").alias("g")))
+        known = held.groupBy("lang", "g").agg(F.count(F.lit(1)).alias("f"), (F.min("grp") < F.max("grp")).alias("bridge"))
+        ranked = held.join(known, ["lang", "g"]).groupBy("lang", "rep", "n", "grp").agg(F.array_sort(F.collect_list(F.struct("bridge", "f", "g"))).alias("s"))
+        size = (F.col("n") - F.ceil(F.col("n") * F.lit(self.threshold) - 1e-9) + 1).cast("int")
+        first = F.posexplode(F.slice("s", F.lit(1), size)).alias("at", "t")
+        first = self.space.write(ranked.select("lang", "rep", "n", "grp", first).filter("t.bridge").select("lang", "rep", "n", "grp", "at", F.col("t.g").alias("g")))
+        other = first.select("lang", "g", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("grp").alias("grp2"), F.col("at").alias("at2"))
+        # What follows the first common shingle bounds the overlap.
+        reach = F.least(F.col("n") - F.col("at"), F.col("n2") - F.col("at2")) >= self.threshold / (1 + self.threshold) * (F.col("n") + F.col("n2")) - 1e-9
+        return first.join(other, ["lang", "g"]).filter((F.col("grp") < F.col("grp2")) & reach)
+
+    def links(self, pairs: DataFrame) -> DataFrame:
+        """The pairs whose exact Jaccard reaches the threshold."""
+        return self.space.write(verify(self.space.write(pairs), self.sets).filter(F.col("jaccard") >= self.threshold))
+
+
+def verified_pairs(docs: DataFrame, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
+    """(lang, src, dst, jaccard): near-duplicate pairs of representatives (least ids of equal shingle sets) that the bands propose."""
+    buckets = Buckets(docs, "pairs", n, threshold)
+    return buckets.links(buckets.between())
+
+
+def clusters(docs: DataFrame, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
+    """(node, root) of the documents that have a near-duplicate; root is the least id of the cluster."""
+    b = Buckets(docs, "clusters", n, threshold)
+    links = b.links(b.stars())
+    roots = b.space.write(components(links))
+    # What may still link two components.
+    label = b.held.join(roots, b.held["rep"] == roots["node"], "left").select("lang", "band", "h", "rep", "n", "c", F.coalesce("root", "rep").alias("grp"))
+    more = b.links(b.between(b.space.write(label)))
+    if not more.isEmpty():
+        roots = b.space.write(components(links.unionByName(more)))
+    member = b.classes.join(roots, F.col("rep") == F.col("node"), "left").filter(F.col("root").isNotNull() | (F.col("copies") > 1))
+    member = b.space.write(member.select("lang", "a", "b", "n", F.coalesce("root", "rep").alias("root")))
+    return b.signed.select("lang", "a", "b", "n", F.col("doc_id").alias("node")).join(member, ["lang", "a", "b", "n"]).select("node", "root")
+
+
+def dedup_against(new: DataFrame, base: DataFrame, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
+    """doc_id of the documents of *new* that are near-duplicates of any document of *base*; ids of both are distinct."""
+    side = lambda df, k: df.select("doc_id", "lang", "text", F.lit(k).alias("side"))
+    b = Buckets(side(base, 0).unionByName(side(new, 1)), "against", n, threshold, groups=F.col("side"))
+    links = b.links(b.between())
+    ends = links.select(F.explode(F.array("src", "dst")).alias("rep")).distinct()
+    key = ["lang", "a", "b", "n"]
+    same = b.classes.filter("grp = 0").select(*key)
+    near = b.classes.filter("grp = 1").join(ends, "rep", "left_semi").select(*key).unionByName(b.classes.filter("grp = 1").join(same, key, "left_semi").select(*key)).distinct()
+    return b.signed.filter("grp = 1").join(near, key, "left_semi").select("doc_id")
+
+
+def band_pairs(docs: DataFrame, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
+    """(lang, src, dst): pairs of representatives that share a bucket and fit in size, before verification."""
+    b = Buckets(docs, "candidates", n, threshold)
+    return b.between()
 
 
 def exact_jaccard_pairs(docs: DataFrame, n: int = DEDUP_NGRAM, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
@@ -109,22 +232,14 @@ def exact_jaccard_pairs(docs: DataFrame, n: int = DEDUP_NGRAM, threshold: float
     return both.select("lang", "src", "dst", (F.col("i") / (F.col("na") + F.col("nb") - F.col("i"))).alias("jaccard")).filter(F.col("jaccard") >= threshold)
 
 
-def _folder(spark: SparkSession) -> str:
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    return (folder or "file://" + os.path.join(tempfile.gettempdir(), "checkpoints")).rstrip("/") + f"/dedup-{uuid.uuid4().hex}"
-
-
 def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
     """(node, root) by least neighbours with pointer jumping; each round is written to the shared folder."""
-    spark, folder = edges.sparkSession, _folder(edges.sparkSession)
-    both = edges.select("src", "dst").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
-    both.write.parquet(f"{folder}/edges")
-    both = spark.read.parquet(f"{folder}/edges")
+    space = Workspace(edges.sparkSession, "components")
+    both = space.write(edges.select("src", "dst").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct())
     labels = both.groupBy(F.col("src").alias("node")).agg(F.min("dst").alias("m")).select("node", F.least("node", "m").alias("root"))
     total = None
-    for k in range(rounds):
-        labels.write.parquet(f"{folder}/{k}")
-        labels = spark.read.parquet(f"{folder}/{k}")
+    for _ in range(rounds):
+        labels = space.write(labels)
         new = labels.agg(F.sum(F.col("root").cast("decimal(38,0)"))).first()[0]
         if new == total:
             return labels
@@ -143,19 +258,10 @@ def keep_one(docs: DataFrame, clusters: DataFrame, policy: str = "min_id") -> Da
     return j.groupBy("root").agg(F.max_by("doc_id", order).alias("doc_id"))
 
 
-def fuzzy_dedup(docs: DataFrame, edges: str = "star", **options) -> tuple[DataFrame, DataFrame]:
-    """(kept documents, removed ids with their root), per language."""
-    links = verify(candidates(band_table(docs), edges), docs, **options)
-    roots = components(links)
-    removed = roots.filter("node <> root")
-    return docs.join(removed.select(F.col("node").alias("doc_id")), "doc_id", "left_anti"), removed
-
-
-def dedup_against(new: DataFrame, base: DataFrame, threshold: float = DEDUP_THRESHOLD) -> DataFrame:
-    """Documents of *new* that are near-duplicates of any document of *base*."""
-    a, b = band_table(new), band_table(base).withColumnRenamed("doc_id", "dst")
-    pairs = a.withColumnRenamed("doc_id", "src").join(b, ["lang", "band", "h"]).select("lang", "src", "dst").distinct()
-    return verify(pairs, new.unionByName(base), threshold=threshold).select(F.col("src").alias("doc_id")).distinct()
+def fuzzy_dedup(docs: DataFrame, **options) -> tuple[DataFrame, DataFrame]:
+    """(kept documents, removed ids with their root), per language; the least id of a cluster stays."""
+    removed = clusters(docs, **options).filter("node <> root")
+    return docs.join(removed.select(F.col("node").alias("doc_id")).hint("shuffle_hash"), "doc_id", "left_anti"), removed
 
 
 def exact_dedup(docs: DataFrame, normalise: bool = False) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..functions import text as T
-from ..operators import dedup, report
+from ..operators import dedup, report, vectors
 from ..registry import query, table
 from .q_curation import FOLDED, SPLIT, grams_sql
 
@@ -47,60 +47,100 @@ def q_jaccard_pairs(spark, d):
 
 @query()
 def q_lsh_pairs(spark, d):
-    """Candidates of the bands (rows only: recall is in q_lsh_quality)."""
-    return dedup.candidates(dedup.band_table(_docs(spark, d)), "all")
+    """Candidate pairs of the bands (tested against the exact pairs: none may be missing)."""
+    return dedup.band_pairs(_docs(spark, d))
 
 
-@query()
+@query(f"""WITH {PAIRS}, r AS (SELECT doc_id, doc_id = min(doc_id) OVER (PARTITION BY lang, array_to_string(list_sort(s), '|')) AS first FROM sh WHERE len(s) > 0)
+SELECT lang, src, dst, jaccard FROM pairs JOIN r a ON a.doc_id = src AND a.first JOIN r b ON b.doc_id = dst AND b.first""")
 def q_dedup_verified(spark, d):
-    docs = _docs(spark, d)
-    return dedup.verify(dedup.candidates(dedup.band_table(docs), "all"), docs)
+    """Verified pairs of representatives of equal shingle sets, through bands at 0.7."""
+    return dedup.verified_pairs(_docs(spark, d))
+
+
+@query(f"""WITH {SH} SELECT doc_id, min(doc_id) OVER (PARTITION BY lang, array_to_string(list_sort(s), '|')) AS rep FROM sh WHERE len(s) > 0""")
+def q_dedup_copies(spark, d):
+    """Membership: each document with words and its representative."""
+    b = dedup.Buckets(_docs(spark, d), "copies")
+    key = ["lang", "a", "b", "n"]
+    return b.signed.select("doc_id", *key).join(b.classes.select(*key, "rep"), key).select("doc_id", "rep")
 
 
 @query()
 def q_lsh_quality(spark, d):
-    """Recall of the bands by decile of similarity."""
+    """Bands against the exact pairs of representatives: recall, precision, and the share of all pairs that is never compared."""
     docs = _docs(spark, d)
-    truth = dedup.exact_jaccard_pairs(docs, threshold=0.3)
-    found = dedup.candidates(dedup.band_table(docs), "all").withColumn("hit", F.lit(1)).drop("lang")
-    j = truth.join(found, ["src", "dst"], "left").withColumn("decile", F.least(F.floor(F.col("jaccard") * 10), F.lit(9)))
-    return j.groupBy("decile").agg(F.count(F.lit(1)).alias("pairs"), F.count("hit").alias("found"), (F.count("hit") / F.count(F.lit(1))).alias("recall"))
+    found = dedup.band_pairs(docs).select("src", "dst", F.lit(1).alias("hit"))
+    reps = q_dedup_copies(spark, d).select("rep").distinct()
+    truth = dedup.exact_jaccard_pairs(docs.join(reps, F.col("doc_id") == F.col("rep"), "left_semi")).select("src", "dst", F.lit(1).alias("near"))
+    n = reps.agg(F.count(F.lit(1)).alias("n"))
+    j = truth.join(found, ["src", "dst"], "full").agg(F.count("near").alias("pairs"), F.count("hit").alias("candidates"), F.count_if(F.col("near").isNotNull() & F.col("hit").isNotNull()).alias("found"))
+    return j.crossJoin(F.broadcast(n)).select("pairs", "candidates", "found", (F.col("found") / F.col("pairs")).alias("recall"), (F.col("found") / F.col("candidates")).alias("precision"), (1 - F.col("candidates") / (F.col("n") * (F.col("n") - 1) / 2)).alias("reduction"))
+
+
+@query(f"""WITH {PAIRS}, r AS (SELECT doc_id, doc_id = min(doc_id) OVER (PARTITION BY lang, array_to_string(list_sort(s), '|')) AS first FROM sh WHERE len(s) > 0)
+SELECT least(floor(jaccard * 10), 9)::BIGINT AS decile, count(*) AS pairs FROM pairs JOIN r a ON a.doc_id = src AND a.first JOIN r b ON b.doc_id = dst AND b.first GROUP BY ALL""")
+def q_lsh_curve(spark, d):
+    """Pairs found per decile of similarity."""
+    return dedup.verified_pairs(_docs(spark, d)).groupBy(F.least(F.floor(F.col("jaccard") * 10), F.lit(9)).alias("decile")).agg(F.count(F.lit(1)).alias("pairs"))
 
 
 @query(f"WITH RECURSIVE {COMP} SELECT node, root FROM comp")
 def q_dedup_clusters(spark, d):
-    return dedup.components(dedup.exact_jaccard_pairs(_docs(spark, d))).select("node", "root")
+    return dedup.clusters(_docs(spark, d))
 
 
 @query(f"WITH RECURSIVE {COMP} SELECT root, arg_max(doc_id, (length(text), -doc_id)) AS doc_id FROM comp JOIN documents ON node = doc_id GROUP BY root")
 def q_dedup_keep(spark, d):
+    """Survivors: the longest text of each cluster."""
+    docs = _docs(spark, d)
+    return dedup.keep_one(docs, dedup.clusters(docs), "longest")
+
+
+@query(f"WITH RECURSIVE {COMP} SELECT root, min(node) AS doc_id FROM comp GROUP BY root")
+def q_dedup_keep_least(spark, d):
+    """Survivors: the least id."""
     docs = _docs(spark, d)
-    return dedup.keep_one(docs, dedup.components(dedup.exact_jaccard_pairs(docs)), "longest")
+    return dedup.keep_one(docs, dedup.clusters(docs), "min_id")
+
+
+@query(f"WITH RECURSIVE {COMP} SELECT root, arg_max(node, (coalesce(quality, -1), -node)) AS doc_id FROM comp LEFT JOIN labels ON node = labels.doc_id GROUP BY root")
+def q_dedup_keep_quality(spark, d):
+    """Survivors: the best label, without a label last."""
+    docs = _docs(spark, d).join(table(spark, d, "labels").select("doc_id", "quality"), "doc_id", "left").withColumn("quality", F.coalesce("quality", F.lit(-1)))
+    return dedup.keep_one(docs, dedup.clusters(docs), "best_quality")
 
 
 @query(f"WITH RECURSIVE {COMP} SELECT lang, count(*) AS docs, count(*) FILTER (node IS NULL OR node = root) AS kept FROM documents LEFT JOIN comp ON node = doc_id GROUP BY lang")
 def q_dedup(spark, d):
-    """Documents per language before and after fuzzy deduplication (exact answer)."""
+    """Documents per language before and after fuzzy deduplication."""
+    docs = _docs(spark, d)
+    kept, _ = dedup.fuzzy_dedup(docs)
+    return docs.groupBy("lang").agg(F.count(F.lit(1)).alias("docs")).join(kept.groupBy("lang").agg(F.count(F.lit(1)).alias("kept")), "lang")
+
+
+@query(f"WITH RECURSIVE {COMP} SELECT lang, count(*) AS docs, count(*) FILTER (node IS NULL OR node = root) AS kept FROM documents LEFT JOIN comp ON node = doc_id GROUP BY lang")
+def q_dedup_brute(spark, d):
+    """The same through all pairs of an inverted index: the baseline, quadratic in its posting lists."""
     docs = _docs(spark, d)
     roots = dedup.components(dedup.exact_jaccard_pairs(docs))
     return docs.join(roots, docs["doc_id"] == roots["node"], "left").groupBy("lang").agg(F.count(F.lit(1)).alias("docs"), F.count_if(F.col("node").isNull() | (F.col("node") == F.col("root"))).alias("kept"))
 
 
-@query()
+@query(f"WITH RECURSIVE {COMP} SELECT node AS doc_id, root FROM comp WHERE node <> root")
 def q_dedup_lsh(spark, d):
-    """The same by bands and star edges, as it runs at scale."""
-    kept, _ = dedup.fuzzy_dedup(_docs(spark, d))
-    return kept.groupBy("lang").agg(F.count(F.lit(1)).alias("kept"))
+    """Removed documents and the one that stands for them, by bands."""
+    return dedup.fuzzy_dedup(_docs(spark, d))[1].select(F.col("node").alias("doc_id"), "root")
 
 
 @query(f"""WITH {SH}, h AS (SELECT doc_id, lang, unnest(s) AS g FROM sh), n AS (SELECT doc_id, len(s) AS n FROM sh), sp AS ({SPLIT}), v AS (SELECT h.* FROM h JOIN sp USING (doc_id) WHERE split = 'verified'), u AS (SELECT h.* FROM h JOIN sp USING (doc_id) WHERE split = 'unverified'),
 c AS (SELECT u.doc_id AS src, v.doc_id AS dst, count(*) AS i FROM u JOIN v ON u.lang = v.lang AND u.g = v.g GROUP BY ALL)
-SELECT DISTINCT src AS doc_id FROM c JOIN n x ON x.doc_id = src JOIN n y ON y.doc_id = dst WHERE i / (x.n + y.n - i)::DOUBLE >= 0.9""")
+SELECT DISTINCT src AS doc_id FROM c JOIN n x ON x.doc_id = src JOIN n y ON y.doc_id = dst WHERE i / (x.n + y.n - i)::DOUBLE >= 0.7""")
 def q_dedup_cross(spark, d):
-    """Unverified documents that repeat a verified one (at 0.9, where the bands miss nothing)."""
+    """Unverified documents that repeat a verified one."""
     docs = report.with_split(_docs(spark, d))
     pick = lambda s: docs.filter(F.col("split") == s).select("doc_id", "lang", "text")
-    return dedup.dedup_against(pick("unverified"), pick("verified"), threshold=0.9)
+    return dedup.dedup_against(pick("unverified"), pick("verified"))
 
 
 @query("SELECT min(doc_id) AS doc_id, count(*) AS copies FROM documents GROUP BY text")
@@ -125,13 +165,9 @@ def q_decontaminate(spark, d):
     return held.join(grams(table(spark, d, "benchmark")).distinct(), "g").groupBy("doc_id").agg(F.count(F.lit(1)).alias("hits"))
 
 
-@query("""WITH v AS (SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings), n AS (SELECT vec_id, label, e, sqrt(list_inner_product(e, e)) AS l FROM v)
-SELECT a.vec_id AS src, b.vec_id AS dst, round(list_inner_product(a.e, b.e) / (a.l * b.l), 6) AS cosine FROM n a JOIN n b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.vec_id % 10 = 0 AND list_inner_product(a.e, b.e) / (a.l * b.l) >= 0.5""")
+@query("""WITH v AS (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings), n AS (SELECT vec_id, e, sqrt(list_inner_product(e, e)) AS l FROM v)
+SELECT a.vec_id AS src, b.vec_id AS dst, round(list_inner_product(a.e, b.e) / (a.l * b.l), 6) AS cosine FROM n a JOIN n b ON a.vec_id <> b.vec_id WHERE a.vec_id % 100 = 0 AND list_inner_product(a.e, b.e) / (a.l * b.l) >= 0.3""")
 def q_vector_pairs(spark, d):
-    """Cosine neighbours of a query set inside label blocks."""
-    e = table(spark, d, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    n = e.withColumn("l", F.sqrt(dot(F.col("e"), F.col("e"))))
-    a, b = (n.select("label", *(F.col(c).alias(f"{c}_{k}") for c in ("vec_id", "e", "l"))) for k in "ab")
-    j = a.filter("vec_id_a % 10 = 0").join(b, "label").filter("vec_id_a < vec_id_b").withColumn("c", dot(F.col("e_a"), F.col("e_b")) / (F.col("l_a") * F.col("l_b")))
-    return j.filter("c >= 0.5").select(F.col("vec_id_a").alias("src"), F.col("vec_id_b").alias("dst"), F.round("c", 6).alias("cosine"))
+    """Cosine neighbours of every hundredth vector among all vectors."""
+    e = table(spark, d, "embeddings")
+    return vectors.vector_pairs(e, e.filter("vec_id % 100 = 0"), 0.3).select("src", "dst", F.round("cosine", 6).alias("cosine"))
