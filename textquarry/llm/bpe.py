@@ -234,15 +234,14 @@ def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
 
         def emit() -> pa.RecordBatch:
             flat = np.concatenate(at) if at else np.zeros(0, np.int32)
-            words = pa.array(list(known)[len(shared) :], pa.large_string())
+            words = pa.array(list(known)[len(shared) :], pa.string())
             bare = pa.compute.greater(pa.compute.binary_length(words), LONG)
             where = np.flatnonzero(bare.to_numpy(zero_copy_only=False))
-            long = words.take(pa.array(where)).to_pylist()
-            words = pa.compute.if_else(bare, pa.scalar(None, pa.large_string()), words) if len(where) else words
-            rows = [[unit], [ids], [[len(a) for a in at]], [len(flat)], [_pack(flat)], [words.to_pylist()], [long], [where.tolist()]]
-            return pa.RecordBatch.from_arrays([pa.array(r, t) for r, t in zip(rows, schema.types, strict=True)], schema=schema)
-
-        schema = pa.schema([("unit", pa.int64()), ("docs", pa.list_(pa.int64())), ("counts", pa.list_(pa.int32())), ("n", pa.int64()), ("at", pa.binary()), ("words", pa.list_(pa.string())), ("long", pa.list_(pa.string())), ("long_at", pa.list_(pa.int32()))])
+            long = words.take(pa.array(where, pa.int32()))
+            words = pa.compute.if_else(bare, pa.scalar(None, pa.string()), words) if len(where) else words
+            one = lambda a: pa.ListArray.from_arrays(pa.array([0, len(a)], pa.int32()), a)
+            row = [pa.array([unit]), pa.array([ids], pa.list_(pa.int64())), one(pa.array([len(a) for a in at], pa.int32())), pa.array([len(flat)]), pa.array([_pack(flat)], pa.binary()), one(words), one(long), one(pa.array(where.astype(np.int32)))]
+            return pa.RecordBatch.from_arrays(row, ["unit", "docs", "counts", "n", "at", "words", "long", "long_at"])
 
         def fresh() -> defaultdict:
             known: defaultdict = defaultdict(None, shared)
