@@ -20,3 +20,6 @@ PDF_MAX_PAGES, PDF_MIN_PAGES, PDF_MIN_PPI, PDF_RUN, PDF_MAX_AREA, PDF_MIN_BRIGHT
 
 #: Splits by source number: 0-11 verified, 12-17 unverified (12-14 corpus A, 15-17 corpus B), 18-19 synthetic.
 VERIFIED_UPTO, UNVERIFIED_UPTO, CORPUS_A_UPTO = 11, 17, 14
+
+#: Fixed values of the alignment data: words of a context passage, templates per word, combinations of the safety axes, prompts for verbs and nouns.
+PASSAGE_WORDS, TEMPLATES_PER_WORD, COMBINATIONS, VERB_PROMPTS = 1000, 100, 100_000, 20_000

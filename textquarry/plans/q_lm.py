@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from .. import config
 from ..functions import text as T
 from ..operators import lid, lm, report
 from ..registry import query, table
@@ -16,42 +16,88 @@ _NORM = f"regexp_replace(translate(lower({_NORM}), '{lm.ACCENTED}', '{lm.PLAIN}'
 for _a, _b in lm.MARKS:
     _NORM = "replace({}, '{}', '{}')".format(_NORM, _a, _b.replace("'", "''"))
 _NORM = f"regexp_replace({_NORM}, '[\\x00-\\x08\\x0B\\x0C\\x0E-\\x1F\\x7F​‌‍﻿]', '', 'g')"
-PARTS = f"""sp AS ({SPLIT}), rk AS (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY {H}, doc_id) AS r FROM sp WHERE split = 'verified'),
-norm AS (SELECT doc_id, lang, split, corpus, {_NORM} AS text FROM sp),
-snt AS (SELECT doc_id, lang, split, corpus, unnest({SENTENCES.format(x='text')}) AS snt FROM norm),
-seq AS (SELECT doc_id, lang, split, corpus, ['<s>'] || {FOLDED.format(x='snt')} || ['</s>'] AS s FROM snt),
-train AS (SELECT seq.* FROM seq JOIN rk USING (doc_id) WHERE r <= 60), valid AS (SELECT seq.* FROM seq JOIN rk USING (doc_id) WHERE r > 60 AND r <= 90),
-big AS (SELECT lang, ctx, w, count(*) AS c FROM (SELECT lang, unnest(list_transform(range(2, len(s) + 1), lambda j: {{'ctx': s[j-1], 'w': s[j]}})) AS g FROM train) t, (SELECT 1) x, LATERAL (SELECT t.g.ctx AS ctx, t.g.w AS w) GROUP BY ALL),
-uni AS (SELECT lang, w, count(*) AS c FROM big GROUP BY ALL), tot AS (SELECT lang, sum(c) AS t, count(*) AS v FROM uni GROUP BY ALL), ctx AS (SELECT lang, ctx, sum(c) AS ct, count(*) AS cn FROM big GROUP BY ALL)"""
-
-
-def score_sql(name: str, source: str) -> str:
-    return f"""{name}_pos AS (SELECT doc_id, lang, unnest(list_transform(range(2, len(s) + 1), lambda j: {{'x': s[j-1], 'w': s[j]}})) AS g FROM {source}),
-{name} AS (SELECT doc_id, lang, count(*) AS tokens, pow(10.0, -avg(log10(p))) AS ppl FROM (
- SELECT doc_id, q.lang, CASE WHEN ct IS NULL THEN p1 ELSE greatest(coalesce(b.c, 0) - 0.75, 0.0)::DOUBLE / ct + 0.75::DOUBLE * cn / ct * p1 END AS p FROM (
-  SELECT doc_id, z.lang, z.g.x AS x, z.g.w AS w, greatest(coalesce(u.c, 0) - 0.75, 0.0)::DOUBLE / t + 0.75::DOUBLE * v / t / (v + 1) AS p1 FROM {name}_pos z JOIN tot ON tot.lang = z.lang LEFT JOIN uni u ON u.lang = z.lang AND u.w = z.g.w) q
- LEFT JOIN ctx ON ctx.lang = q.lang AND ctx.ctx = q.x LEFT JOIN big b ON b.lang = q.lang AND b.ctx = q.x AND b.w = q.w) GROUP BY ALL)"""
-
-
-FLOW = f"{PARTS}, {score_sql('val', 'valid')}, {score_sql('new', 'new_docs')}, thr AS (SELECT lang, quantile_cont(ppl, 0.8) AS threshold FROM val GROUP BY lang)".replace(", new_pos AS", ", new_docs AS (SELECT * FROM seq WHERE split = 'unverified'), new_pos AS")
+PART = f"CASE WHEN {H} % 100 < 60 THEN 'train' ELSE 'valid' END"
+
+
+def sequences_sql(name: str, source: str, text: str = "text") -> str:
+    """Sentences of *source* as word lists with marks."""
+    norm = _NORM.replace("lower(text)", f"lower({text})")
+    return f"""{name}_t AS (SELECT doc_id, lang, unnest({SENTENCES.format(x='t')}) AS snt FROM (SELECT doc_id, lang, {norm} AS t FROM {source})),
+{name} AS (SELECT doc_id, lang, ['<s>'] || {FOLDED.format(x='snt')} || ['</s>'] AS s FROM {name}_t)"""
+
+
+def model_sql(order: int, modified: bool = True) -> str:
+    """Tables c1.. (counts), p1.. (probabilities) and b1.. (back-off weights) from `train`."""
+    out = [f"c{order} AS (SELECT lang, g, count(*) AS c FROM (SELECT lang, unnest(list_transform(range({order}, len(s) + 1), lambda j: array_to_string(s[j - {order - 1}:j], ' '))) AS g FROM train WHERE len(s) >= {order}) GROUP BY ALL)"]
+    for k in range(order - 1, 0, -1):
+        starts = f" UNION ALL SELECT lang, array_to_string(s[1:{k}], ' ') AS g, count(*) AS c FROM train WHERE len(s) >= {k} GROUP BY ALL" if k > 1 else ""
+        out.append(f"c{k} AS (SELECT lang, regexp_replace(g, '^[^ ]+ ', '') AS g, count(*) AS c FROM c{k + 1} GROUP BY ALL{starts})")
+    for k in range(1, order + 1):
+        out.append(f"n{k} AS (SELECT lang, " + ", ".join(f"count(*) FILTER (c = {i})::DOUBLE AS n{i}" for i in range(1, 5)) + f" FROM c{k} GROUP BY lang)")
+        y = "n1 / (n1 + 2 * n2)"
+        if modified:
+            raw = [f"{i} - {i + 1} * {y} * n{i + 1} / n{i}" for i in (1, 2, 3)]
+            sound = "n1 > 0 AND n2 > 0 AND n3 > 0 AND n4 > 0 AND " + " AND ".join(f"{x} >= 0" for x in raw)
+            d = ", ".join(f"CASE WHEN {sound} THEN {raw[i]} ELSE {lm.FALLBACK[i]}::DOUBLE END AS d{i + 1}" for i in range(3))
+        else:
+            d = ", ".join(f"CASE WHEN n1 > 0 AND n2 > 0 THEN {y} ELSE 0.75::DOUBLE END AS d{i}" for i in (1, 2, 3))
+        out.append(f"d{k} AS (SELECT lang, {d} FROM n{k})")
+        cut = "CASE c WHEN 1 THEN d1 WHEN 2 THEN d2 ELSE d3 END"
+        if k == 1:
+            out.append(f"b1 AS (SELECT lang, sum(c) AS t, sum({cut}) / sum(c) / (count(*) + 1) AS b FROM c1 JOIN d1 USING (lang) GROUP BY lang)")
+            out.append(f"p1 AS (SELECT lang, g, (c - {cut}) / t + b AS p FROM c1 JOIN d1 USING (lang) JOIN b1 USING (lang))")
+        else:
+            out.append(f"x{k} AS (SELECT *, regexp_replace(g, ' [^ ]+$', '') AS x, regexp_replace(g, '^[^ ]+ ', '') AS r FROM c{k} JOIN d{k} USING (lang))")
+            out.append(f"b{k} AS (SELECT lang, x, sum(c) AS t, sum({cut}) / sum(c) AS b FROM x{k} GROUP BY ALL)")
+            out.append(f"p{k} AS (SELECT x.lang, x.g, (c - {cut}) / t + b * q.p AS p FROM x{k} x JOIN b{k} b ON b.lang = x.lang AND b.x = x.x JOIN p{k - 1} q ON q.lang = x.lang AND q.g = x.r)")
+    return ", ".join(out)
+
+
+def score_sql(name: str, source: str, order: int) -> str:
+    """doc_id, lang, tokens, ppl of the sentences in *source*."""
+    grams = ", ".join(f"'g{k}': CASE WHEN j >= {k} THEN array_to_string(s[greatest(j - {k - 1}, 1):j], ' ') END" for k in range(1, order + 1))
+    out = [f"{name}0 AS (SELECT doc_id, lang, unnest(list_transform(range(2, len(s) + 1), lambda j: {{{grams}}})) AS a FROM {source})"]
+    out.append(f"{name}1 AS (SELECT z.doc_id, z.lang, a, coalesce(p, b) AS p FROM {name}0 z JOIN b1 ON b1.lang = z.lang LEFT JOIN p1 ON p1.lang = z.lang AND p1.g = a.g1)")
+    for k in range(2, order + 1):
+        out.append(f"{name}{k} AS (SELECT z.doc_id, z.lang, a, CASE WHEN a.g{k} IS NULL THEN z.p ELSE coalesce(q.p, coalesce(w.b, 1.0) * z.p) END AS p FROM {name}{k - 1} z LEFT JOIN p{k} q ON q.lang = z.lang AND q.g = a.g{k} LEFT JOIN b{k} w ON w.lang = z.lang AND w.x = regexp_replace(a.g{k}, ' [^ ]+$', ''))")
+    out.append(f"{name} AS (SELECT doc_id, lang, count(*) AS tokens, pow(10.0, -sum(log10(p)) / count(*)) AS ppl FROM {name}{order} GROUP BY ALL)")
+    return ", ".join(out)
+
+
+ORDER = config.LM_ORDER
+BASE = f"sp AS ({SPLIT}), {sequences_sql('seq', 'sp')}, ver AS (SELECT doc_id, {PART} AS part FROM sp WHERE split = 'verified'), train AS (SELECT seq.* FROM seq JOIN ver USING (doc_id) WHERE part = 'train'), valid AS (SELECT seq.* FROM seq JOIN ver USING (doc_id) WHERE part = 'valid'), new_docs AS (SELECT seq.* FROM seq JOIN sp USING (doc_id) WHERE split = 'unverified')"
+FLOW = f"{BASE}, {model_sql(ORDER)}, {score_sql('val', 'valid', ORDER)}, {score_sql('new', 'new_docs', ORDER)}, thr AS (SELECT lang, quantile_cont(ppl, 0.8) AS threshold FROM val GROUP BY lang)"
 
 
 def parts(spark, d):
+    """Training and validation sentences of the verified split (60 and 40 per cent by hash, whatever its size), and the unverified documents."""
     docs = report.with_split(table(spark, d, "documents"))
-    verified = docs.filter("split = 'verified'")
-    return lm.sample_per_lang(verified, 60), lm.sample_per_lang(verified, 30, skip=60), docs.filter("split = 'unverified'")
+    verified = docs.filter("split = 'verified'").withColumn("part", lm.part(F.col("doc_id")))
+    return verified.filter("part = 'train'"), verified.filter("part = 'valid'"), docs.filter("split = 'unverified'")
+
+
+def model_of(spark, d, order: int = ORDER, modified: bool = True):
+    return lm.kneser_ney(lm.sequences(parts(spark, d)[0]), order, modified)
 
 
-def scored(spark, d, order: int = 2):
-    train, valid, new = parts(spark, d)
-    model = lm.kneser_ney(lm.sequences(train), order)
+def scored(spark, d):
+    _, valid, new = parts(spark, d)
+    model = model_of(spark, d)
     return lm.perplexity(lm.sequences(valid), model), lm.perplexity(lm.sequences(new), model)
 
 
-@query(f"WITH sp AS ({SPLIT}) SELECT doc_id, lang, CASE WHEN r <= 60 THEN 'train' ELSE 'valid' END AS part FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY {H}, doc_id) AS r FROM sp WHERE split = 'verified') WHERE r <= 90")
+@query(f"SELECT doc_id, lang, {PART} AS part FROM ({SPLIT}) WHERE split = 'verified'")
 def q_lm_sample(spark, d):
     train, valid, _ = parts(spark, d)
-    return train.select("doc_id", "lang", F.lit("train").alias("part")).unionByName(valid.select("doc_id", "lang", F.lit("valid").alias("part")))
+    return train.select("doc_id", "lang", "part").unionByName(valid.select("doc_id", "lang", "part"))
+
+
+@query(f"SELECT doc_id, lang, CASE WHEN r <= {config.LM_TRAIN_DOCS} THEN 'train' ELSE 'valid' END AS part FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY {H}, doc_id) AS r FROM ({SPLIT}) WHERE split = 'verified') WHERE r <= {config.LM_TRAIN_DOCS + config.LM_VALID_DOCS}")
+def q_lm_sample_fixed(spark, d):
+    """Variant: samples of the published sizes per language (a sampling operator)."""
+    verified = report.with_split(table(spark, d, "documents")).filter("split = 'verified'")
+    pick = lambda n, skip, name: lm.sample_per_lang(verified, n, skip).select("doc_id", "lang", F.lit(name).alias("part"))
+    return pick(config.LM_TRAIN_DOCS, 0, "train").unionByName(pick(config.LM_VALID_DOCS, config.LM_TRAIN_DOCS, "valid"))
 
 
 @query(f"SELECT doc_id, {_NORM} AS text FROM documents")
@@ -59,24 +105,72 @@ def q_lm_normalize(spark, d):
     return table(spark, d, "documents").select("doc_id", lm.normalize(F.col("text")).alias("text"))
 
 
-@query(f"WITH {PARTS} SELECT lang, ctx, w, c FROM big WHERE c >= 3")
+_COUNTS = f"WITH {BASE}, {model_sql(ORDER)}"
+
+
+@query(f"{_COUNTS} SELECT lang, g, c FROM c{ORDER}")
 def q_ngram_counts(spark, d):
-    return lm.ngram_counts(lm.sequences(parts(spark, d)[0]), 2).filter("c >= 3")
+    """Counts of the highest order."""
+    return lm.ngram_counts(lm.sequences(parts(spark, d)[0]), ORDER)
 
 
-@query(f"WITH {PARTS} SELECT lang, w, c FROM uni WHERE c >= 3")
+@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, lang, g, c FROM c{k}" for k in range(1, ORDER)))
 def q_ngram_continuation(spark, d):
-    return lm.kneser_ney(lm.sequences(parts(spark, d)[0]), 2)[0].filter("c >= 3").select("lang", "w", "c")
+    """Lower orders: distinct left words, raw counts where a sentence begins."""
+    tables = lm.count_tables(lm.sequences(parts(spark, d)[0]))
+    out = None
+    for k, t in enumerate(tables[:-1], 1):
+        t = t.select(F.lit(k).alias("k"), "lang", "g", "c")
+        out = t if out is None else out.unionByName(t)
+    return out
+
+
+@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, lang, d1, d2, d3 FROM d{k}" for k in range(1, ORDER + 1)))
+def q_kn_discounts(spark, d):
+    """The three discounts of each order and language."""
+    out = None
+    for k, t in enumerate(lm.count_tables(lm.sequences(parts(spark, d)[0])), 1):
+        t = lm.discounts(t).select(F.lit(k).alias("k"), "lang", "d1", "d2", "d3")
+        out = t if out is None else out.unionByName(t)
+    return out
+
+
+@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, lang, g, p FROM p{k}" for k in range(1, ORDER + 1)))
+def q_kn_model(spark, d):
+    """Interpolated probabilities of all n-grams."""
+    out = None
+    for k, t in enumerate(model_of(spark, d).probs, 1):
+        t = t.select(F.lit(k).alias("k"), "lang", "g", "p")
+        out = t if out is None else out.unionByName(t)
+    return out
+
+
+@query(f"WITH {BASE}, {model_sql(2, False)}, {score_sql('val', 'valid', 2)} SELECT doc_id, lang, tokens, ppl FROM val")
+def q_ppl_bigram(spark, d):
+    """Variant: order 2 and a single discount, by joins."""
+    return lm.perplexity(lm.sequences(parts(spark, d)[1]), model_of(spark, d, 2, modified=False), "join")
 
 
-@query(f"WITH {PARTS}, {score_sql('val', 'valid')} SELECT doc_id, lang, tokens, ppl FROM val")
-def q_ppl_bigram(spark, d):
-    return scored(spark, d)[0]
+@query(f"WITH {FLOW} SELECT doc_id, lang, tokens, ppl FROM val")
+def q_ppl_5gram(spark, d):
+    """Order 5 by the compiled model."""
+    return lm.perplexity(lm.sequences(parts(spark, d)[1]), model_of(spark, d), "compiled")
+
+
+@query(f"WITH {FLOW} SELECT doc_id, lang, tokens, ppl FROM val")
+def q_ppl_5gram_joined(spark, d):
+    """Order 5 by joins, as a model beyond the compiled size."""
+    return lm.perplexity(lm.sequences(parts(spark, d)[1]), model_of(spark, d), "join")
 
 
 @query()
-def q_ppl_5gram(spark, d):
-    return scored(spark, d, 5)[0]
+def q_ppl_subword(spark, d):
+    """Order 5 on the pieces of a public subword vocabulary (tested against a plain model)."""
+    import public_tokenizers
+
+    train, valid, _ = parts(spark, d)
+    file = public_tokenizers.path("piece_bpe_32k.model")
+    return lm.perplexity(lm.subword_sequences(valid, file), lm.kneser_ney(lm.subword_sequences(train, file)))
 
 
 @query(f"WITH {FLOW} SELECT lang, threshold FROM thr")
@@ -101,22 +195,43 @@ def q_ppl_hist(spark, d):
     return scored(spark, d)[1].groupBy("lang", F.floor(F.log10("ppl") * 5).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"WITH {FLOW} SELECT new.lang, q, count(*) FILTER (ppl <= t) AS chosen FROM new JOIN (SELECT lang, unnest([0.5, 0.8, 0.95])::DOUBLE AS q, unnest(quantile_cont(ppl, [0.5, 0.8, 0.95])) AS t FROM val GROUP BY lang) s ON s.lang = new.lang GROUP BY ALL")
+@query(f"WITH {FLOW} SELECT lang, avg(log10(ppl)) AS mean_log, stddev_samp(log10(ppl)) AS deviation, quantile_cont(log10(ppl), 0.25) AS q25, quantile_cont(log10(ppl), 0.5) AS q50, quantile_cont(log10(ppl), 0.75) AS q75 FROM new GROUP BY lang")
+def q_ppl_spread(spark, d):
+    """How tight or dispersed the log-perplexities of a language are."""
+    x = F.log10("ppl")
+    return scored(spark, d)[1].groupBy("lang").agg(F.avg(x).alias("mean_log"), F.stddev_samp(x).alias("deviation"), *(F.percentile(x, F.lit(q)).alias(f"q{round(q * 100)}") for q in (0.25, 0.5, 0.75)))
+
+
+@query(f"WITH {FLOW} SELECT new.lang, q, count(*) FILTER (ppl <= t) AS chosen, sum(CASE WHEN ppl <= t THEN tokens ELSE 0 END)::BIGINT AS tokens FROM new JOIN (SELECT lang, unnest([0.5, 0.8, 0.95])::DOUBLE AS q, unnest(quantile_cont(ppl, [0.5, 0.8, 0.95])) AS t FROM val GROUP BY lang) s ON s.lang = new.lang GROUP BY ALL")
 def q_ppl_sweep(spark, d):
     """Volume against strictness: a higher quantile is laxer."""
     val, new = scored(spark, d)
     qs = [0.5, 0.8, 0.95]
     cuts = val.groupBy("lang").agg(F.percentile("ppl", F.array(*map(F.lit, qs))).alias("t")).select("lang", F.explode(F.arrays_zip(F.array(*map(F.lit, qs)).alias("q"), "t")).alias("z")).select("lang", "z.q", "z.t")
-    return new.join(F.broadcast(cuts), "lang").groupBy("lang", "q").agg(F.count_if(F.col("ppl") <= F.col("t")).alias("chosen"))
+    kept = F.col("ppl") <= F.col("t")
+    return new.join(F.broadcast(cuts), "lang").groupBy("lang", "q").agg(F.count_if(kept).alias("chosen"), F.sum(F.when(kept, F.col("tokens")).otherwise(0)).alias("tokens"))
 
 
-@query(f"WITH {FLOW} SELECT doc_id, lang, ntile(3) OVER (PARTITION BY lang ORDER BY ppl, doc_id) AS bucket FROM new")
+@query(f"WITH {FLOW}, cu AS (SELECT lang, quantile_cont(ppl, 1.0/3) AS a, quantile_cont(ppl, 2.0/3) AS b FROM new GROUP BY lang) SELECT doc_id, new.lang, 1 + (ppl > a)::INTEGER + (ppl > b)::INTEGER AS bucket FROM new JOIN cu ON cu.lang = new.lang")
 def q_ppl_buckets(spark, d):
-    return scored(spark, d)[1].select("doc_id", "lang", F.ntile(3).over(Window.partitionBy("lang").orderBy("ppl", "doc_id")).alias("bucket"))
+    """Head, middle and tail by tertiles."""
+    return lm.ppl_buckets(scored(spark, d)[1])
+
+
+@query()
+def q_fertility_pieces(spark, d):
+    """Pieces of a public subword vocabulary per word and language (tested against the library)."""
+    import public_tokenizers
 
+    docs = table(spark, d, "documents").select("doc_id", "lang", "text")
+    seqs = lm.subword_sequences(docs, public_tokenizers.path("piece_bpe_32k.model"))
+    pieces = seqs.groupBy("lang").agg(F.sum(F.size("s") - 2).alias("pieces"))
+    words = docs.select("lang", F.size(T.words(lm.normalize(F.col("text")))).alias("w")).groupBy("lang").agg(F.sum("w").alias("words"))
+    return pieces.join(words, "lang").select("lang", "pieces", "words", (F.col("pieces") / F.col("words")).alias("fertility"))
 
-_WORDS_PRED = " UNION ALL ".join(f"SELECT '{k}' AS l, {v!r} AS ws".replace("(", "[").replace(")", "]") for k, v in lid.FUNCTION_WORDS.items())
-_E2 = f"""fw AS (SELECT doc_id, {FOLDED.format(x='text')} AS f FROM documents), pr AS ({_WORDS_PRED}),
+
+WORD_PROFILES = " UNION ALL ".join(f"SELECT '{k}' AS l, {v!r} AS ws".replace("(", "[").replace(")", "]") for k, v in lid.FUNCTION_WORDS.items())
+_E2 = f"""fw AS (SELECT doc_id, {FOLDED.format(x='text')} AS f FROM documents), pr AS ({WORD_PROFILES}),
 e2 AS (SELECT doc_id, arg_max(l, (n, l)) AS lang, max(n) / greatest(any_value(t), 1)::DOUBLE AS conf FROM (SELECT doc_id, l, len(list_filter(f, lambda w: list_contains(ws, w))) AS n, len(f) AS t FROM fw, pr) GROUP BY doc_id)"""
 
 
@@ -125,50 +240,72 @@ def q_lid_words(spark, d):
     return lid.predict_words(table(spark, d, "documents"))
 
 
-_V = f"""v AS (SELECT doc_id, lang AS truth, CASE WHEN {H} % 5 = 0 THEN CASE lang WHEN 'en' THEN 'fr' ELSE 'en' END ELSE lang END AS l1, lang AS l2, CASE WHEN {H} % 7 = 0 THEN 'de' ELSE lang END AS l3, ({H} % 100) / 100.0::DOUBLE AS conf FROM documents),
-en AS (SELECT doc_id, truth, CASE WHEN l2 = l3 AND l2 <> l1 AND conf > 0.3 THEN l2 ELSE l1 END AS lang, CASE WHEN l2 = l3 THEN l2 WHEN l1 = l3 THEN l1 ELSE l1 END AS majority, l1 FROM v)"""
+_GRAMS = """gr AS (SELECT doc_id, lang, substr(t, i, n) AS g, count(*) AS k FROM (SELECT doc_id, lang, t, n, unnest(range(1, length(t) - n + 2)) AS i FROM (SELECT doc_id, lang, lower(text) AS t, unnest([1, 2, 3, 4]) AS n FROM documents)) GROUP BY ALL),
+cn AS (SELECT lang, g, sum(k) AS c FROM gr WHERE doc_id % 3 <> 0 GROUP BY ALL), ct AS (SELECT lang, sum(c) AS t FROM cn GROUP BY lang)"""
+_E1 = f"""tp AS (SELECT g FROM cn GROUP BY g ORDER BY sum(c) DESC, g LIMIT {lid.MOST}),
+nb AS (SELECT tp.g, ct.lang, ln((coalesce(c, 0) + 1)::DOUBLE / (t + {lid.MOST})) AS lp FROM tp CROSS JOIN ct LEFT JOIN cn ON cn.g = tp.g AND cn.lang = ct.lang),
+s1 AS (SELECT doc_id, nb.lang, sum(k * lp) / sum(k) AS s FROM gr JOIN nb ON nb.g = gr.g GROUP BY ALL),
+e1 AS (SELECT doc_id, arg_max(lang, (s, lang)) AS lang, max(exp(s)) / sum(exp(s)) AS conf FROM s1 GROUP BY doc_id)"""
+_E3 = f"""pf AS (SELECT lang, g, row_number() OVER (PARTITION BY lang ORDER BY c DESC, g) AS r FROM cn WHERE length(g) = 3 QUALIFY r <= {lid.RANKS}),
+ow AS (SELECT doc_id, g, row_number() OVER (PARTITION BY doc_id ORDER BY k DESC, g) AS q FROM gr WHERE length(g) = 3 QUALIFY q <= {lid.RANKS}),
+sz AS (SELECT doc_id, count(*) AS n FROM ow GROUP BY doc_id), gn AS (SELECT doc_id, pf.lang, sum({lid.RANKS} - abs(q - r)) AS gain FROM ow JOIN pf USING (g) GROUP BY ALL),
+e3 AS (SELECT doc_id, arg_max(lang, (gain, lang)) AS lang, max(gain)::DOUBLE / ({lid.RANKS} * any_value(n)) AS conf FROM gn JOIN sz USING (doc_id) GROUP BY doc_id HAVING max(gain) > 0)"""
+VOTES = f"""{_GRAMS}, {_E1}, {_E2}, {_E3},
+v AS (SELECT d.doc_id, d.lang AS truth, e1.lang AS l1, CASE WHEN t > 0 THEN e2.lang END AS l2, e3.lang AS l3, e2.conf AS c2, e3.conf AS c3 FROM documents d LEFT JOIN e1 USING (doc_id) LEFT JOIN e2 USING (doc_id) LEFT JOIN e3 USING (doc_id) LEFT JOIN (SELECT doc_id, len(f) AS t FROM fw) z USING (doc_id)),
+en AS (SELECT doc_id, truth, l1, l2, l3, CASE WHEN l2 = l3 AND l2 <> l1 AND least(c2, c3) > {lid.TAU} THEN l2 ELSE coalesce(l1, l2) END AS lang, CASE WHEN l2 = l3 THEN l2 ELSE coalesce(l1, l2) END AS majority FROM v)"""
 
 
 def votes(spark, d):
-    h, lang = T.md5_int(F.col("doc_id")), F.col("lang")
-    return table(spark, d, "documents").select("doc_id", lang.alias("truth"), F.when(h % 5 == 0, F.when(lang == "en", "fr").otherwise("en")).otherwise(lang).alias("l1"), lang.alias("l2"), F.when(h % 7 == 0, "de").otherwise(lang).alias("l3"), ((h % 100) / 100).alias("conf"))
+    """Votes of the three models for every document; they learn from two thirds of the documents."""
+    docs = table(spark, d, "documents").select("doc_id", "lang", "text")
+    return lid.votes(docs, lid.train(docs.filter("doc_id % 3 <> 0"))).withColumnRenamed("lang", "truth")
 
 
-@query(f"WITH {_V} SELECT doc_id, lang FROM en")
-def q_lid_ensemble(spark, d):
+def _decided(spark, d):
     c = F.col
-    return votes(spark, d).select("doc_id", lid.ensemble(c("l1"), c("l2"), c("l3"), c("conf"), c("conf"), 0.3).alias("lang"))
+    v = votes(spark, d)
+    return v.withColumn("lang", lid.ensemble(c("l1"), c("l2"), c("l3"), c("c2"), c("c3"))).withColumn("majority", lid.majority(c("l1"), c("l2"), c("l3")))
+
+
+@query(f"WITH {_GRAMS}, {_E1} SELECT doc_id, lang, conf FROM e1")
+def q_lid_nb(spark, d):
+    """First model: naive Bayes on character 1- to 4-grams."""
+    return votes(spark, d).filter("l1 is not null").select("doc_id", F.col("l1").alias("lang"), F.col("c1").alias("conf"))
+
+
+@query(f"WITH {_GRAMS}, {_E3} SELECT doc_id, lang, conf FROM e3")
+def q_lid_ranks(spark, d):
+    """Third model: rank-order trigram profiles."""
+    return votes(spark, d).filter("l3 is not null").select("doc_id", F.col("l3").alias("lang"), F.col("c3").alias("conf"))
+
+
+@query(f"WITH {VOTES} SELECT doc_id, lang FROM en")
+def q_lid_ensemble(spark, d):
+    return _decided(spark, d).select("doc_id", "lang")
 
 
-@query(f"WITH {_V} SELECT doc_id, majority AS lang FROM en")
+@query(f"WITH {VOTES} SELECT doc_id, majority AS lang FROM en")
 def q_lid_majority(spark, d):
-    return votes(spark, d).select("doc_id", lid.majority(F.col("l1"), F.col("l2"), F.col("l3")).alias("lang"))
+    return _decided(spark, d).select("doc_id", F.col("majority").alias("lang"))
 
 
-@query(f"WITH {_V} SELECT truth, lang, count(*) AS n FROM en GROUP BY ALL")
+@query(f"WITH {VOTES} SELECT truth, lang, count(*) AS n FROM en GROUP BY ALL")
 def q_lid_confusion(spark, d):
-    c = F.col
-    e = votes(spark, d).select("truth", lid.ensemble(c("l1"), c("l2"), c("l3"), c("conf"), c("conf"), 0.3).alias("lang"))
-    return e.groupBy("truth", "lang").agg(F.count(F.lit(1)).alias("n"))
+    return _decided(spark, d).groupBy("truth", "lang").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"WITH {_V} SELECT l1 AS old, lang AS new, count(*) AS n FROM en WHERE l1 <> lang GROUP BY ALL")
+@query(f"""WITH {VOTES}, u AS (SELECT truth, model, said FROM (SELECT truth, unnest(['first', 'words', 'ranks', 'majority', 'ensemble']) AS model, unnest([l1, l2, l3, majority, lang]) AS said FROM en WHERE doc_id % 3 = 0)),
+a AS (SELECT model, avg(CASE WHEN truth = said THEN 1.0 ELSE 0.0 END)::DOUBLE AS accuracy FROM u GROUP BY model), r AS (SELECT model, truth AS lang, avg(CASE WHEN truth = said THEN 1.0 ELSE 0.0 END)::DOUBLE AS recall FROM u GROUP BY ALL),
+p AS (SELECT model, said AS lang, avg(CASE WHEN truth = said THEN 1.0 ELSE 0.0 END)::DOUBLE AS precision FROM u GROUP BY ALL)
+SELECT r.model, r.lang, coalesce(precision, 0.0) AS precision, recall, accuracy FROM r JOIN a ON a.model = r.model LEFT JOIN p ON p.model = r.model AND p.lang = r.lang""")
+def q_lid_report(spark, d):
+    """Precision, recall and accuracy of each model, the plain vote and the ensemble on documents that no model learned from (the fold of the method)."""
+    held_out = _decided(spark, d).filter("doc_id % 3 = 0")
+    return lid.report(held_out, "truth", {"first": "l1", "words": "l2", "ranks": "l3", "majority": "majority", "ensemble": "lang"})
+
+
+@query(f"WITH {VOTES} SELECT truth AS old, lang AS new, count(*) AS n FROM en WHERE truth <> lang GROUP BY ALL")
 def q_lid_flow(spark, d):
     """Documents that the ensemble moves between languages."""
-    c = F.col
-    e = votes(spark, d).select(c("l1").alias("old"), lid.ensemble(c("l1"), c("l2"), c("l3"), c("conf"), c("conf"), 0.3).alias("new"))
+    e = _decided(spark, d).select(F.col("truth").alias("old"), F.col("lang").alias("new"))
     return e.filter("old <> new").groupBy("old", "new").agg(F.count(F.lit(1)).alias("n"))
-
-
-@query()
-def q_lid_nb(spark, d):
-    """Character n-gram naive Bayes, trained on two thirds; rows: predicted language per held-out document."""
-    docs = table(spark, d, "documents")
-    return lid.predict_nb(docs.filter("doc_id % 3 = 0"), lid.train_nb(docs.filter("doc_id % 3 <> 0")))
-
-
-@query()
-def q_lid_ranks(spark, d):
-    """Rank-order trigram profiles."""
-    docs = table(spark, d, "documents")
-    return lid.predict_ranks(docs.filter("doc_id % 3 = 0"), lid.rank_profiles(docs.filter("doc_id % 3 <> 0")))
