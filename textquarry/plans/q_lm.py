@@ -27,13 +27,14 @@ def sequences_sql(name: str, source: str, text: str = "text") -> str:
 
 
 def model_sql(order: int, modified: bool = True) -> str:
-    """Tables c1.. (counts), p1.. (probabilities) and b1.. (back-off weights) from `train`."""
-    out = [f"c{order} AS (SELECT lang, g, count(*) AS c FROM (SELECT lang, unnest(list_transform(range({order}, len(s) + 1), lambda j: array_to_string(s[j - {order - 1}:j], ' '))) AS g FROM train WHERE len(s) >= {order}) GROUP BY ALL)"]
+    """Tables c1.. (counts), p1.. (probabilities) and b1.. (back-off weights) from `train`. An n-gram's key begins with its language, so that joins have one key."""
+    out = [f"c{order} AS MATERIALIZED (SELECT lang, g, count(*) AS c FROM (SELECT lang, unnest(list_transform(range({order}, len(s) + 1), lambda j: lang || ' ' || array_to_string(s[j - {order - 1}:j], ' '))) AS g FROM train WHERE len(s) >= {order}) GROUP BY ALL)"]
+    rest = "regexp_replace(g, '^([^ ]+) [^ ]+ ', '\\1 ')"
     for k in range(order - 1, 0, -1):
-        starts = f" UNION ALL SELECT lang, array_to_string(s[1:{k}], ' ') AS g, count(*) AS c FROM train WHERE len(s) >= {k} GROUP BY ALL" if k > 1 else ""
-        out.append(f"c{k} AS (SELECT lang, regexp_replace(g, '^[^ ]+ ', '') AS g, count(*) AS c FROM c{k + 1} GROUP BY ALL{starts})")
+        starts = f" UNION ALL SELECT lang, lang || ' ' || array_to_string(s[1:{k}], ' ') AS g, count(*) AS c FROM train WHERE len(s) >= {k} GROUP BY ALL" if k > 1 else ""
+        out.append(f"c{k} AS MATERIALIZED (SELECT lang, {rest} AS g, count(*) AS c FROM c{k + 1} GROUP BY ALL{starts})")
     for k in range(1, order + 1):
-        out.append(f"n{k} AS (SELECT lang, " + ", ".join(f"count(*) FILTER (c = {i})::DOUBLE AS n{i}" for i in range(1, 5)) + f" FROM c{k} GROUP BY lang)")
+        out.append(f"n{k} AS MATERIALIZED (SELECT lang, " + ", ".join(f"count(*) FILTER (c = {i})::DOUBLE AS n{i}" for i in range(1, 5)) + f" FROM c{k} GROUP BY lang)")
         y = "n1 / (n1 + 2 * n2)"
         if modified:
             raw = [f"{i} - {i + 1} * {y} * n{i + 1} / n{i}" for i in (1, 2, 3)]
@@ -41,29 +42,29 @@ def model_sql(order: int, modified: bool = True) -> str:
             d = ", ".join(f"CASE WHEN {sound} THEN {raw[i]} ELSE {lm.FALLBACK[i]}::DOUBLE END AS d{i + 1}" for i in range(3))
         else:
             d = ", ".join(f"CASE WHEN n1 > 0 AND n2 > 0 THEN {y} ELSE 0.75::DOUBLE END AS d{i}" for i in (1, 2, 3))
-        out.append(f"d{k} AS (SELECT lang, {d} FROM n{k})")
-        cut = "CASE c WHEN 1 THEN d1 WHEN 2 THEN d2 ELSE d3 END"
+        out.append(f"d{k} AS MATERIALIZED (SELECT lang, {d} FROM n{k})")
+        out.append(f"x{k} AS MATERIALIZED (SELECT lang, g, c, CASE c WHEN 1 THEN d1 WHEN 2 THEN d2 ELSE d3 END AS cut, regexp_replace(g, ' [^ ]+$', '') AS x, {rest} AS r FROM c{k} JOIN d{k} USING (lang))")
         if k == 1:
-            out.append(f"b1 AS (SELECT lang, sum(c) AS t, sum({cut}) / sum(c) / (count(*) + 1) AS b FROM c1 JOIN d1 USING (lang) GROUP BY lang)")
-            out.append(f"p1 AS (SELECT lang, g, (c - {cut}) / t + b AS p FROM c1 JOIN d1 USING (lang) JOIN b1 USING (lang))")
+            out.append("b1 AS MATERIALIZED (SELECT lang, sum(c) AS t, sum(cut) / sum(c) / (count(*) + 1) AS b FROM x1 GROUP BY lang)")
+            out.append("p1 AS MATERIALIZED (SELECT g, (c - cut) / t + b AS p FROM x1 JOIN b1 USING (lang))")
         else:
-            out.append(f"x{k} AS (SELECT *, regexp_replace(g, ' [^ ]+$', '') AS x, regexp_replace(g, '^[^ ]+ ', '') AS r FROM c{k} JOIN d{k} USING (lang))")
-            out.append(f"b{k} AS (SELECT lang, x, sum(c) AS t, sum({cut}) / sum(c) AS b FROM x{k} GROUP BY ALL)")
-            out.append(f"p{k} AS (SELECT x.lang, x.g, (c - {cut}) / t + b * q.p AS p FROM x{k} x JOIN b{k} b ON b.lang = x.lang AND b.x = x.x JOIN p{k - 1} q ON q.lang = x.lang AND q.g = x.r)")
+            out.append(f"b{k} AS MATERIALIZED (SELECT x, sum(c) AS t, sum(cut) / sum(c) AS b FROM x{k} GROUP BY x)")
+            out.append(f"p{k} AS MATERIALIZED (SELECT z.g, (c - cut) / t + b * q.p AS p FROM x{k} z JOIN b{k} w ON w.x = z.x JOIN p{k - 1} q ON q.g = z.r)")
     return ", ".join(out)
 
 
 def score_sql(name: str, source: str, order: int) -> str:
     """doc_id, lang, tokens, ppl of the sentences in *source*."""
-    grams = ", ".join(f"'g{k}': CASE WHEN j >= {k} THEN array_to_string(s[greatest(j - {k - 1}, 1):j], ' ') END" for k in range(1, order + 1))
-    out = [f"{name}0 AS (SELECT doc_id, lang, unnest(list_transform(range(2, len(s) + 1), lambda j: {{{grams}}})) AS a FROM {source})"]
-    out.append(f"{name}1 AS (SELECT z.doc_id, z.lang, a, coalesce(p, b) AS p FROM {name}0 z JOIN b1 ON b1.lang = z.lang LEFT JOIN p1 ON p1.lang = z.lang AND p1.g = a.g1)")
+    grams = ", ".join(f"'g{k}': CASE WHEN j >= {k} THEN lang || ' ' || array_to_string(s[greatest(j - {k - 1}, 1):j], ' ') END" for k in range(1, order + 1))
+    out = [f"{name}0 AS MATERIALIZED (SELECT doc_id, lang, unnest(list_transform(range(2, len(s) + 1), lambda j: {{{grams}}})) AS a FROM {source})"]
+    out.append(f"{name}1 AS MATERIALIZED (SELECT z.doc_id, z.lang, a, coalesce(p, b) AS p FROM (SELECT * FROM {name}0 JOIN b1 USING (lang)) z LEFT JOIN p1 ON p1.g = a.g1)")
     for k in range(2, order + 1):
-        out.append(f"{name}{k} AS (SELECT z.doc_id, z.lang, a, CASE WHEN a.g{k} IS NULL THEN z.p ELSE coalesce(q.p, coalesce(w.b, 1.0) * z.p) END AS p FROM {name}{k - 1} z LEFT JOIN p{k} q ON q.lang = z.lang AND q.g = a.g{k} LEFT JOIN b{k} w ON w.lang = z.lang AND w.x = regexp_replace(a.g{k}, ' [^ ]+$', ''))")
-    out.append(f"{name} AS (SELECT doc_id, lang, count(*) AS tokens, pow(10.0, -sum(log10(p)) / count(*)) AS ppl FROM {name}{order} GROUP BY ALL)")
+        out.append(f"{name}{k} AS MATERIALIZED (SELECT z.doc_id, z.lang, a, CASE WHEN a.g{k} IS NULL THEN z.p ELSE coalesce(q.p, coalesce(w.b, 1.0) * z.p) END AS p FROM {name}{k - 1} z LEFT JOIN p{k} q ON q.g = a.g{k} LEFT JOIN b{k} w ON w.x = regexp_replace(a.g{k}, ' [^ ]+$', ''))")
+    out.append(f"{name} AS MATERIALIZED (SELECT doc_id, lang, count(*) AS tokens, pow(10.0, -sum(log10(p)) / count(*)) AS ppl FROM {name}{order} GROUP BY ALL)")
     return ", ".join(out)
 
 
+_LANG, _GRAM = "split_part(g, ' ', 1) AS lang", "substr(g, instr(g, ' ') + 1) AS g"
 ORDER = config.LM_ORDER
 BASE = f"sp AS ({SPLIT}), {sequences_sql('seq', 'sp')}, ver AS (SELECT doc_id, {PART} AS part FROM sp WHERE split = 'verified'), train AS (SELECT seq.* FROM seq JOIN ver USING (doc_id) WHERE part = 'train'), valid AS (SELECT seq.* FROM seq JOIN ver USING (doc_id) WHERE part = 'valid'), new_docs AS (SELECT seq.* FROM seq JOIN sp USING (doc_id) WHERE split = 'unverified')"
 FLOW = f"{BASE}, {model_sql(ORDER)}, {score_sql('val', 'valid', ORDER)}, {score_sql('new', 'new_docs', ORDER)}, thr AS (SELECT lang, quantile_cont(ppl, 0.8) AS threshold FROM val GROUP BY lang)"
@@ -108,13 +109,13 @@ def q_lm_normalize(spark, d):
 _COUNTS = f"WITH {BASE}, {model_sql(ORDER)}"
 
 
-@query(f"{_COUNTS} SELECT lang, g, c FROM c{ORDER}")
+@query(f"{_COUNTS} SELECT {_LANG}, {_GRAM}, c FROM c{ORDER}")
 def q_ngram_counts(spark, d):
     """Counts of the highest order."""
     return lm.ngram_counts(lm.sequences(parts(spark, d)[0]), ORDER)
 
 
-@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, lang, g, c FROM c{k}" for k in range(1, ORDER)))
+@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, {_LANG}, {_GRAM}, c FROM c{k}" for k in range(1, ORDER)))
 def q_ngram_continuation(spark, d):
     """Lower orders: distinct left words, raw counts where a sentence begins."""
     tables = lm.count_tables(lm.sequences(parts(spark, d)[0]))
@@ -135,7 +136,7 @@ def q_kn_discounts(spark, d):
     return out
 
 
-@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, lang, g, p FROM p{k}" for k in range(1, ORDER + 1)))
+@query(f"{_COUNTS} " + " UNION ALL ".join(f"SELECT {k} AS k, {_LANG}, {_GRAM}, p FROM p{k}" for k in range(1, ORDER + 1)))
 def q_kn_model(spark, d):
     """Interpolated probabilities of all n-grams."""
     out = None
