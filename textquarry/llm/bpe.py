@@ -86,8 +86,8 @@ class RankTable:
         keys, made = np.array(list(pairs), np.int64), np.array(list(pairs.values()), np.int64)
         factors, self.places = displacements(keys)
         self.buckets = len(factors)
-        slots = np.full(self.places, 1 << (3 * self.bits + 1), np.int64)  # no key
-        slots[keys * factors[keys % self.buckets] % self.places] = (keys << (self.bits + 1)) | made
+        slots = np.zeros(self.places, np.int64)  # 0: no key
+        slots[keys * factors[keys % self.buckets] % self.places] = ((keys + 1) << (self.bits + 1)) | made
         # Strings that become arrays when the plan is optimised.
         literal = lambda values: F.from_json(F.lit(json.dumps(values)), "array<bigint>")
         self.factors, self.slots, self.bytes = literal(factors.tolist()), literal(slots.tolist()), literal([ranks.get(bytes([b]), self.edge) for b in range(256)])
@@ -99,7 +99,7 @@ class RankTable:
         """The code that two adjacent codes make, or `none`."""
         key = F.shiftleft(a, self.bits).bitwiseOR(b)
         slot = F.get(slots, key * F.get(factors, key % self.buckets) % self.places)
-        return F.least(slot.bitwiseXOR(F.shiftleft(key, self.bits + 1)), F.lit(self.none).cast("long"))
+        return F.least(slot.bitwiseXOR(F.shiftleft(key + 1, self.bits + 1)), F.lit(self.none).cast("long"))
 
 
 def encode_word(word: Column, table: RankTable) -> Column:
@@ -217,9 +217,10 @@ def common_words(texts: DataFrame, pattern: str, table: RankTable, most: int = C
     share = sample / max(texts.count(), 1)
     some = texts.sample(share, seed=1) if share < 1 else texts
     counts = some.mapInArrow(count, "word string, n long").filter(F.octet_length("word") <= LONG).groupBy("word").agg(F.sum("n").alias("n"))
-    best = counts.filter("n >= 2").orderBy(F.col("n").desc(), "word").limit(most).repartition(16, "word")
     # The most frequent words get the least indexes, which pack best.
-    return best.select("word", encode_word(F.col("word"), table).alias("codes"), "n").toArrow().sort_by([("n", "descending"), ("word", "ascending")])
+    best = counts.filter("n >= 2").orderBy(F.col("n").desc(), "word").limit(most).select("word").toArrow()
+    rows = texts.sparkSession.createDataFrame(best.append_column("i", pa.array(np.arange(best.num_rows))))
+    return rows.select("word", encode_word(F.col("word"), table).alias("codes"), "i").toArrow().sort_by("i")
 
 
 def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
