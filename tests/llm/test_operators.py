@@ -253,22 +253,38 @@ def test_secret_owner_counts(spark):
     assert {r["n_live"] for r in secrets.secret_digest(docs).collect() if r["doc_id"] < 14} == {1}
 
 
-def test_toxicity_learns_and_ties_identity_terms(spark, sf_dir):
+def test_toxicity_held_out_and_swaps(spark, sf_dir):
     docs, labels = (spark.read.parquet(f"{sf_dir}/../sf0.01/{t}.parquet") for t in ("documents", "labels"))
-    rows = toxicity.toxicity_scores(docs, labels).join(labels, "doc_id").collect()
-    assert np.mean([r["predicted"] == r["toxic"] for r in rows]) >= 0.93
-    texts, ys = [], []
+    rows = toxicity.toxicity_scores(docs, labels).join(labels, "doc_id").filter("held_out").collect()
+    assert len(rows) > 50 and np.mean([r["predicted"] == r["toxic"] for r in rows]) >= 0.93
+    # Texts in which one term goes with the label: the penalty holds scores still, and neutral mentions are called toxic less often.
     rng = random.Random(1)
-    for i in range(400):
+    texts, ys = [], []
+    for i in range(800):
         toxic = i % 2
-        group = "women" if (rng.random() < (0.8 if toxic else 0.2)) else "men"
-        texts.append(f"some {group} said {'scum idiot' if toxic else 'hello friend'} w{i}")
+        group = "women" if rng.random() < (0.95 if toxic else 0.05) else "men"
+        insult = rng.choice(("scum", "idiot", "trash", "clown")) if rng.random() < 0.6 else rng.choice(("garden", "river", "table", "letter"))
+        texts.append(f"some {group} said {insult if toxic else rng.choice(('garden', 'river', 'table', 'letter', 'hello'))} w{i}")
         ys.append(toxic)
     train = spark.createDataFrame(list(zip(texts, ys, strict=True)), "text string, y int")
-    model = toxicity.fit(train)
-    table = model.table()
-    weight = lambda w: table[toxicity._term_buckets()[w]].sum()
-    assert abs(weight("women") - weight("men")) < 0.2
+    neutral = spark.createDataFrame([(f"{g} like the {w}", 0) for g in ("women", "Women", "men") for w in ("garden", "river", "table")] + [("no term here", 0), (None, 0)], "text string, toxic int")
+    free, tied = (toxicity.swap_report(neutral, toxicity.fit(train, swap_weight=w)).first() for w in (0.0, toxicity.SWAP))
+    assert free["swaps"] == tied["swaps"] > 0
+    assert tied["mean_change"] < 0.1 * free["mean_change"] and tied["flips"] == 0 < free["flips"]
+    assert tied["called_toxic"] < free["called_toxic"]
+
+
+def test_toxicity_swaps_are_made_in_the_text(spark):
+    assert {t for t, _ in toxicity.swaps("Women, not womenfolk, and women")} == {f"{x}, not womenfolk, and {x}" for x in ("men", "girls", "boys")}
+    assert sum(w for _, w in toxicity.swaps("women and men")) == 2
+    assert list(toxicity.swaps("")) == []
+    model = toxicity.Model(0.0)
+    held = {t: np.unique(toxicity.word_features(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t)]))[0]) for t in ("women", "men")}
+    model.buckets = np.unique(np.concatenate(list(held.values())))
+    one = spark.createDataFrame([("women",), ("women and men",)], "text string")
+    rows = toxicity.swap_differences(one, model).collect()
+    # A text that holds both terms loses one feature and gains none, or the other way round.
+    assert any(r["gone"] and r["new"] for r in rows) and any(r["gone"] and not r["new"] for r in rows)
 
 
 def test_line_dedup(spark):

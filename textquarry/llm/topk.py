@@ -2,17 +2,18 @@
 
 Vectors are turned into integers, floor(64 x). One more coordinate makes all stored vectors equally long,
 so that a larger inner product is a smaller distance: d(q, x)^2 = |q|^2 + M - 2 q.x with M the greatest squared length.
-Distances of every vector to `PIVOTS` pivots are the table. For a query, the greatest difference of its own pivot
-distances and a vector's is a lower bound of their distance, hence an upper bound of their score.
+Distances of every vector to `PIVOTS` pivots are the table, written beside the vectors. For a query, the greatest difference of its own pivot
+distances and a vector's is a lower bound of their distance, hence an upper bound of their score. Rows whose bound reaches the
+threshold are evaluated in the order of their bounds, until the next bound is under the k-th score so far. The first
+threshold of a query comes from a bounded sample, whose exact scores are real candidates.
 
 Rows are dealt by nearest pivot (a range partition with the distance and the id as further keys, so that a vector that a
-third of the rows repeat spreads). Within a partition, blocks of `BLOCK` rows have intervals of pivot
-distances. A query visits blocks in the order of their bounds and stops at the first whose bound is under
-the query's k-th score so far; inside a block only rows whose own bound reaches that score are evaluated. The first
-thresholds come from the pivots' bounded sample, whose exact scores are real candidates.
+third of the rows repeat spreads) into blocks of about `HELD` rows. A task holds one block, cut into runs of `RUN` rows with intervals of pivot
+distances, which eliminate whole runs first, and the queries stream past it; nothing passes through the driver, and memory is bounded by the block.
+Each block answers with k rows per query at most, and a last aggregation keeps k per query.
 
-Queries travel in chunks of `CHUNK` (a fixed number of bytes each) that are broadcast in turn against all rows; each
-task answers with k rows per query at most, and a last aggregation keeps k per query.
+How much is eliminated depends on the vectors: `evaluated` reports it. Vectors without clusters (independent components, 64 of them) lie at nearly
+equal distances from all pivots, and most pairs must be evaluated then; results are exact either way.
 
 Defined cases: vectors that are null, hold null or non-finite components, or differ in length from the pivots take no part, neither
 as query nor as candidate; equal scores go to the smaller id; rows that repeat an id are one row (the least vector); null ids
@@ -30,7 +31,9 @@ from pyspark.sql import functions as F
 
 from ._tables import Workspace
 
-PIVOTS, SAMPLE, BLOCK, CHUNK = 16, 4096, 256, 8192
+PIVOTS, SAMPLE, HELD, RUN, STEP = 128, 4096, 65_536, 256, 1024
+#: Rounding of distances and bounds; scores are whole numbers.
+SLACK = 0.25
 SCALE = 64
 
 
@@ -62,64 +65,69 @@ def _distances(x: np.ndarray, last: np.ndarray, pivots: np.ndarray, pivot_last:
     return np.sqrt(np.maximum(square, 0))
 
 
-class _Best:
-    """The k best (score, id) of each query, equal scores by smaller id."""
-
-    def __init__(self, queries: int, k: int, floor: np.ndarray) -> None:
-        self.k, self.floor = k, floor
-        self.score = np.full((queries, k), -np.inf)
-        self.id = np.full((queries, k), np.iinfo(np.int64).max)
-
-    def threshold(self) -> np.ndarray:
-        return np.maximum(self.floor, self.score[:, -1])
-
-    def add(self, at: np.ndarray, score: np.ndarray, ids: np.ndarray) -> None:
-        """score: one row per query in *at*; minus infinity where there is no candidate."""
-        s = np.concatenate([self.score[at], score], axis=1)
-        i = np.concatenate([self.id[at], np.broadcast_to(ids, score.shape)], axis=1)
-        i = np.where(np.isneginf(s), np.iinfo(np.int64).max, i)
-        order = np.lexsort((i, -s), axis=1)[:, : self.k]
-        self.score[at], self.id[at] = np.take_along_axis(s, order, 1), np.take_along_axis(i, order, 1)
-
-
-def search_block(best: _Best, bounds: np.ndarray, q: np.ndarray, q_ids: np.ndarray, q_square: np.ndarray, q_pivot: np.ndarray, x: np.ndarray, ids: np.ndarray, x_pivot: np.ndarray, top: float) -> int:
-    """Evaluate one block for the queries whose bound reaches their threshold; returns evaluated pairs."""
-    at = np.flatnonzero(bounds >= best.threshold())
-    if not len(at):
-        return 0
-    # Row bounds: rows that no query needs are not evaluated.
-    low = np.zeros((len(at), len(x)))
-    for p in range(x_pivot.shape[1]):
-        np.maximum(low, np.abs(q_pivot[at, p][:, None] - x_pivot[None, :, p]), out=low)
-    allowed = (q_square[at][:, None] + top - low**2) / 2 + 1e-3 >= best.threshold()[at][:, None]
-    need = allowed.any(0)
-    if not need.any():
-        return 0
-    score = q[at] @ x[need].T
-    score = np.where(allowed[:, need] & (ids[need][None, :] != q_ids[at][:, None]), np.rint(score), -np.inf)
-    best.add(at, score, ids[need][None, :])
-    return int(allowed.sum())
-
-
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """query_id, rank, vec_id, score: the k greatest inner products of each query among all other rows."""
+class _Block:
+    """Rows of one block and their pivot distances."""
+
+    def __init__(self, ids: np.ndarray, x: np.ndarray, d: np.ndarray, top: float) -> None:
+        self.ids, self.x, self.d, self.top = ids, x, np.ascontiguousarray(d.T, np.float32), top
+        at = np.arange(0, len(ids), RUN)
+        self.low, self.high = np.minimum.reduceat(self.d, at, axis=1), np.maximum.reduceat(self.d, at, axis=1)
+
+    def _bound(self, square: float, far: np.ndarray) -> np.ndarray:
+        """Upper bound of the score from a lower bound of the distance."""
+        return (square + self.top - far.astype(np.float64) ** 2) / 2 + SLACK
+
+    def search(self, q_id: int, q: np.ndarray, q_d: np.ndarray, floor: float, k: int) -> tuple[np.ndarray, np.ndarray, int]:
+        """Ids and scores of the k best of the block that reach the floor, and how many rows were evaluated."""
+        square, q_d = float(q @ q), q_d.astype(np.float32)[:, None]
+        runs = np.flatnonzero(self._bound(square, np.maximum(self.low - q_d, q_d - self.high).max(0).clip(0)) >= floor)
+        if len(runs) == self.low.shape[1]:
+            rows, d = None, self.d
+        else:
+            rows = (runs[:, None] * RUN + np.arange(RUN)[None, :]).reshape(-1)
+            rows = rows[rows < len(self.ids)]
+            d = self.d[:, rows]
+        far, gap = np.zeros(d.shape[1], np.float32), np.empty(d.shape[1], np.float32)
+        for p in range(len(d)):
+            np.subtract(d[p], q_d[p], out=gap)
+            np.abs(gap, out=gap)
+            np.maximum(far, gap, out=far)
+        bound = self._bound(square, far)
+        open_rows = np.flatnonzero(bound >= floor)
+        open_rows = open_rows[np.argsort(-bound[open_rows], kind="stable")]
+        best_s, best_i, done = np.zeros(0), np.zeros(0, np.int64), 0
+        for at in range(0, len(open_rows), STEP):
+            step = open_rows[at : at + STEP]
+            if len(best_s) == k and bound[step[0]] < best_s[-1]:
+                break
+            step = step if rows is None else rows[step]
+            done += len(step)
+            score, ids = np.rint(self.x[step] @ q), self.ids[step]
+            other = (ids != q_id) & (score >= (best_s[-1] if len(best_s) == k else floor))
+            best_s, best_i = np.concatenate([best_s, score[other]]), np.concatenate([best_i, ids[other]])
+            order = np.lexsort((best_i, -best_s))[:k]
+            best_s, best_i = best_s[order], best_i[order]
+        return best_i, best_s, done
+
+
+def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector_col: str, held: int) -> tuple[Workspace, DataFrame] | None:
+    """(query_id, vec_id, score, block, evaluated, rows): per query and block the k best; a block without any has a row with null id and score."""
     spark = vectors.sparkSession
     space = Workspace(spark, "topk")
     clean = lambda df: df.select(F.col(id_col).cast("long").alias("id"), to_integers(F.col(vector_col)).alias("v")).filter("id is not null and v is not null").groupBy("id").agg(F.min("v").alias("v"))
     rows = space.write(clean(vectors))
     asked = space.write(clean(queries))
-    out_schema = "query_id long, vec_id long, score long"
-    final = "query_id long, rank int, vec_id long, score long"
     sample = rows.orderBy(F.xxhash64("id"), "id").limit(SAMPLE).toArrow()
     if not sample.num_rows:
-        return spark.createDataFrame([], final)
+        return None
     dim = int(np.bincount([len(v) for v in sample.column("v").to_pylist()]).argmax())
     fits = F.size("v") == dim
     rows, asked = rows.filter(fits), asked.filter(fits)
     sample = sample.filter(pa.compute.equal(pa.compute.list_value_length(sample.column("v")), dim)).combine_chunks()
     sample_x, sample_ids = _rows(sample.column("v"), dim), sample.column("id").to_numpy()
     square = F.aggregate("v", F.lit(0).cast("long"), lambda a, x: a + x * x)
-    top = float(rows.agg(F.max(square)).first()[0])
+    count, top = rows.agg(F.count(F.lit(1)), F.max(square)).first()
+    top = float(top)
     pivots = choose_pivots(sample_x, PIVOTS)
     pivot_last = np.sqrt(np.maximum(top - (pivots**2).sum(1), 0))
 
@@ -127,71 +135,84 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "ve
         for part in batches:
             if part.num_rows:
                 x = _rows(part.column("v"), dim)
-                d = _distances(x, np.sqrt(np.maximum(top - (x**2).sum(1), 0)), pivots, pivot_last)
+                d = _distances(x, np.sqrt(np.maximum(top - (x**2).sum(1), 0)), pivots, pivot_last).astype(np.float32)
                 at = pa.array(np.arange(0, d.size + 1, d.shape[1], dtype=np.int32))
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("id"), part.column("v"), pa.ListArray.from_arrays(at, pa.array(d.reshape(-1))), pa.array(d.argmin(1).astype(np.int32)), pa.array(d.min(1))],
+                    [part.column("id"), part.column("v"), pa.ListArray.from_arrays(at, pa.array(d.reshape(-1))), pa.array(d.argmin(1).astype(np.int32)), pa.array(d.min(1).astype(np.float64))],
                     ["id", "v", "d", "cell", "near"],
                 )
 
-    table = rows.mapInArrow(tabulate, "id long, v array<long>, d array<double>, cell int, near double")
-    parts = max(1, rows.rdd.getNumPartitions())
-    table = space.write(table.repartitionByRange(parts, "cell", "near", "id").sortWithinPartitions("cell", "near", "id"))
-
-    def searcher(chunk):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            q_ids, q = chunk.value
-            q = q.astype(np.float64)
-            q_square = (q**2).sum(1)
-            q_pivot = _distances(q, np.zeros(len(q)), pivots, pivot_last)
-            first = q @ sample_x.T
-            first[q_ids[:, None] == sample_ids[None, :]] = -np.inf
-            floor = np.sort(first, axis=1)[:, -k] if first.shape[1] > k else np.full(len(q), -np.inf)
-            best = _Best(len(q), k, floor)
-            for part in batches:
-                if not part.num_rows:
+    table = rows.mapInArrow(tabulate, "id long, v array<long>, d array<float>, cell int, near double")
+    # At least a block per core, while blocks have some rows.
+    blocks = max(1, -(-count // held), min(spark.sparkContext.defaultParallelism, count // STEP))
+    table = table.repartitionByRange(blocks, "cell", "near", "id").sortWithinPartitions("cell", "near", "id")
+    table = space.write(table.select(F.pmod(F.spark_partition_id(), F.lit(blocks)).alias("p"), "id", "v", "d"))
+
+    def first_threshold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                q, own = _rows(part.column("v"), dim), part.column("id").to_numpy()
+                score = np.rint(q @ sample_x.T)
+                score[own[:, None] == sample_ids[None, :]] = -np.inf
+                floor = np.partition(score, -k, axis=1)[:, -k] if score.shape[1] > k else np.full(len(q), -np.inf)
+                d = _distances(q, np.zeros(len(q)), pivots, pivot_last).astype(np.float32)
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, d.size + 1, d.shape[1], dtype=np.int32)), pa.array(d.reshape(-1)))
+                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("v"), lists, pa.array(floor)], ["id", "v", "d", "floor"])
+
+    asked = asked.mapInArrow(first_threshold, "id long, v array<long>, d array<float>, floor double")
+    asked = space.write(asked).select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("p"), "id", "v", "d", "floor")
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, parts, block = None, [], None
+        for batch in batches:
+            p, is_query = batch.column("p").to_numpy(), ~np.asarray(batch.column("floor").is_null())
+            cuts = np.flatnonzero((np.diff(p) != 0) | (is_query[1:] != is_query[:-1])) + 1
+            for low, high in zip([0, *cuts.tolist()], [*cuts.tolist(), len(p)], strict=True):
+                if low == high:
+                    continue
+                part = batch.slice(low, high - low)
+                x, d, ids = _rows(part.column("v"), dim), _rows(part.column("d"), len(pivots)).astype(np.float32), part.column("id").to_numpy()
+                if p[low] != key:
+                    key, parts, block = p[low], [], None
+                if not is_query[low]:
+                    parts.append((ids, x, d))
+                    continue
+                if not parts:
                     continue
-                x, ids, d = _rows(part.column("v"), dim), part.column("id").to_numpy(), _rows(part.column("d"), len(pivots))
-                cuts = range(0, len(x), BLOCK)
-                low = np.stack([d[a : a + BLOCK].min(0) for a in cuts])
-                high = np.stack([d[a : a + BLOCK].max(0) for a in cuts])
-                away = np.zeros((len(q), len(low)))
-                for p in range(len(pivots)):
-                    np.maximum(away, np.maximum(low[None, :, p] - q_pivot[:, p][:, None], q_pivot[:, p][:, None] - high[None, :, p]), out=away)
-                bounds = (q_square[:, None] + top - away**2) / 2 + 1e-3
-                for b in np.argsort(-bounds.max(0)):
-                    a = b * BLOCK
-                    search_block(best, bounds[:, b], q, q_ids, q_square, q_pivot, x[a : a + BLOCK], ids[a : a + BLOCK], d[a : a + BLOCK], top)
-            full = ~np.isneginf(best.score)
-            which = np.nonzero(full)[0]
-            yield pa.RecordBatch.from_arrays([pa.array(q_ids[which]), pa.array(best.id[full]), pa.array(best.score[full].astype(np.int64))], ["query_id", "vec_id", "score"])
-
-        return run
-
-    # Chunks of a fixed number of queries: the broadcast never grows, the number of passes does.
-    pieces = -(-asked.count() // CHUNK)
-    bounds = [int(b) for b in asked.approxQuantile("id", [i / pieces for i in range(1, pieces)], 0.2 / pieces)] if pieces > 1 else []
-    edges = [None, *sorted(set(bounds)), None]
-    found = None
-    for low, high in zip(edges[:-1], edges[1:], strict=True):
-        some = asked
-        some = some.filter(F.col("id") > low) if low is not None else some
-        some = some.filter(F.col("id") <= high) if high is not None else some
-        got = some.orderBy("id").toArrow()
-        for at in range(0, got.num_rows, CHUNK):
-            part = got.slice(at, CHUNK).combine_chunks()
-            chunk = spark.sparkContext.broadcast((part.column("id").to_numpy(), _rows(part.column("v"), dim).astype(np.int32)))
-            answer = table.select("id", "v", "d").mapInArrow(searcher(chunk), out_schema)
-            found = answer if found is None else found.unionByName(answer)
-    if found is None:
-        return spark.createDataFrame([], final)
-    # k best per query from at most k per task: array sort of a bounded list.
-    found = space.write(found)
-    by_task = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    ranked = found.withColumn("rank", F.row_number().over(by_task)).filter(F.col("rank") <= k)
+                if block is None:
+                    block = _Block(*(np.concatenate([part[i] for part in parts]) for i in range(3)), top)
+                floor, out = part.column("floor").to_numpy(), []
+                for n in range(len(ids)):
+                    found, score, done = block.search(ids[n], x[n], d[n], floor[n], k)
+                    out += [(ids[n], i, int(s), key, done, len(block.ids)) for i, s in zip(found.tolist(), score.tolist(), strict=True)] or [(ids[n], None, None, key, done, len(block.ids))]
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score", "block", "evaluated", "rows"])
+
+    both = table.withColumn("floor", F.lit(None).cast("double")).unionByName(asked)
+    dealt = both.repartition(blocks, "p").sortWithinPartitions("p", F.col("floor").isNotNull())
+    return space, dealt.select("p", "id", "v", "d", "floor").mapInArrow(search, "query_id long, vec_id long, score long, block long, evaluated long, rows long")
+
+
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", held: int = HELD) -> DataFrame:
+    """query_id, rank, vec_id, score: the k greatest inner products of each query among all other rows."""
+    answers = _answers(vectors, queries, k, id_col, vector_col, held)
+    if answers is None:
+        return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    found = answers[0].write(answers[1].filter("vec_id is not null").select("query_id", "vec_id", "score"))
+    by_query = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    ranked = found.withColumn("rank", F.row_number().over(by_query)).filter(F.col("rank") <= k)
     return ranked.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
+def evaluated(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", held: int = HELD) -> DataFrame:
+    """query_id, evaluated, rows: how many rows each query evaluated, of how many."""
+    answers = _answers(vectors, queries, k, id_col, vector_col, held)
+    if answers is None:
+        return vectors.sparkSession.createDataFrame([], "query_id long, evaluated long, rows long")
+    per_block = answers[1].select("query_id", "block", "evaluated", "rows").distinct()
+    return per_block.groupBy("query_id").agg(F.sum("evaluated").alias("evaluated"), F.sum("rows").alias("rows"))
+
+
 ORACLE = r"""
 WITH v AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS DOUBLE)) AS v
