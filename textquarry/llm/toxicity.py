@@ -3,12 +3,16 @@
 Features are hashed words and word beginnings (so that compounds and endings of a stem are learned
 together). A bounded sample of labelled documents gives document counts per feature, added up by
 Spark; the `KEPT` features that separate the labels most are kept. Logistic regression on those is solved by
-Newton steps on the driver, with a penalty on the change of the score when an identity term in a labelled text is replaced by another of its group:
+Newton steps on the driver, with a penalty on the change of the score under swaps:
 
-    loss + ridge * |w|^2 + SWAP * sum over swaps of (w . (x - x'))^2
+    loss + ridge * |w|^2 + SWAP * sum over swaps of share * (w . (x - x'))^2
 
-The swap differences come from the terms that the labelled texts hold, and once more from each pair of terms
-of a group, so that terms that were rare in the sample are tied as well.
+A swap is made in a labelled text: every occurrence of an identity term is replaced by another term of its group, the
+changed text is read again as any text, and x - x' is what differs. So a feature that the text holds otherwise, too, does not change, and nor does
+one of a text that holds both terms. A text's swaps share one unit of weight per term. Each pair of terms of a group is swapped once more as a text of the
+term alone, so that terms that were rare in the sample are tied as well. Equal differences are added up by Spark.
+
+`swap_report` measures what that does: changes of score and of decision under swaps of labelled texts.
 
 Sizes: the sample has at most `MAX_TRAIN` rows (least hashes), so the broadcast ids, the features
 sent to the driver and the weights are bounded whatever the corpus. Scoring is one map pass over whole texts.
@@ -20,6 +24,7 @@ repeated documents are scored each; empty tables give empty results; other colum
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -59,20 +64,16 @@ def word_features(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.
     return (np.concatenate(parts) % np.uint64(BUCKETS)).astype(np.int64), np.concatenate(rows), words, row
 
 
-def _term_buckets() -> dict[str, np.ndarray]:
-    out = {}
-    for group in IDENTITY:
-        for term in group:
-            raw = np.frombuffer(term.encode(), np.uint8)
-            out[term] = np.unique(word_features(raw, np.array([0, len(raw)]))[0])
-    return out
+_GROUP = {t: g for g in IDENTITY for t in g}
+_TERM = re.compile(r"(?<!\w)(" + "|".join(sorted(map(re.escape, _GROUP), key=len, reverse=True)) + r")(?!\w)", re.IGNORECASE)
 
 
-def _term_hashes() -> tuple[np.ndarray, list[str]]:
-    terms = [t for g in IDENTITY for t in g]
-    raws = [t.encode() for t in terms]
-    at = np.concatenate([[0], np.cumsum([len(r) for r in raws])])
-    return token_hashes(np.frombuffer(b"".join(raws), np.uint8), at[:-1], at[1:]), terms
+def swaps(text: str) -> Iterator[tuple[str, float]]:
+    """(text with a term replaced by another of its group, weight); a term's swaps share a weight of 1."""
+    for term in sorted({m.lower() for m in _TERM.findall(text)} & _GROUP.keys()):
+        others = [t for t in _GROUP[term] if t != term]
+        for other in others:
+            yield _TERM.sub(lambda m, a=term, b=other: b if m.group(0).lower() == a else m.group(0), text), 1 / len(others)
 
 
 def _distinct(bucket: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -112,13 +113,60 @@ class Model:
     def __init__(self, intercept: float) -> None:
         self.buckets, self.weights, self.intercept = np.zeros(0, np.int64), np.zeros(0), intercept
 
-    def table(self) -> np.ndarray:
-        out = np.zeros(BUCKETS, np.float32)
-        out[self.buckets] = self.weights
-        return out
+
+def _places(model: Model) -> np.ndarray:
+    place = np.full(BUCKETS, -1, np.int16)
+    place[model.buckets] = np.arange(len(model.buckets))
+    return place
+
+
+def _held(texts: pa.Array, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(kept features, first feature of each text): the distinct kept features of each text, ascending."""
+    bucket, row, _, _ = word_features(*buffers(texts))
+    hit = place[bucket] >= 0
+    bucket, row = _distinct(bucket[hit], row[hit])
+    return place[bucket].astype(np.int32), np.searchsorted(row, np.arange(len(texts) + 1))
 
 
-def fit(sample: DataFrame, kept: int = KEPT) -> Model:
+def _swap_rows(texts: list[str]) -> tuple[list[int], list[str], list[float]]:
+    at, changed, weight = [], [], []
+    for i, text in enumerate(texts):
+        for new, w in swaps(text):
+            at.append(i)
+            changed.append(new)
+            weight.append(w)
+    return at, changed, weight
+
+
+def swap_differences(sample: DataFrame, model: Model) -> DataFrame:
+    """(gone, new, weight): kept features that swaps in the texts take away and bring, and the weight of all swaps that do so."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place = _places(model)
+        for part in steps(batches, "text"):
+            texts = [t or "" for t in part.column("text").to_pylist()]
+            at, changed, weight = _swap_rows(texts)
+            if not at:
+                continue
+            x, first = _held(part.column("text"), place)
+            for low in range(0, len(at), 1000):
+                y, second = _held(pa.array(changed[low : low + 1000], pa.large_string()), place)
+                gone, new, shares = [], [], []
+                for k, i in enumerate(at[low : low + 1000]):
+                    a, b = x[first[i] : first[i + 1]], y[second[k] : second[k + 1]]
+                    minus, plus = np.setdiff1d(a, b), np.setdiff1d(b, a)
+                    if len(minus) or len(plus):
+                        gone.append(minus.tolist())
+                        new.append(plus.tolist())
+                        shares.append(weight[low + k])
+                yield pa.RecordBatch.from_arrays([pa.array(gone, pa.list_(pa.int32())), pa.array(new, pa.list_(pa.int32())), pa.array(shares, pa.float64())], ["gone", "new", "weight"])
+
+    if not len(model.buckets):
+        return sample.sparkSession.createDataFrame([], "gone array<int>, new array<int>, weight double")
+    found = sample.select("text").mapInArrow(run, "gone array<int>, new array<int>, weight double")
+    return found.groupBy("gone", "new").agg(F.sum("weight").alias("weight"))
+
+
+def fit(sample: DataFrame, kept: int = KEPT, swap_weight: float = SWAP) -> Model:
     totals = {r["y"]: r["n"] for r in sample.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
     pos, neg = totals.get(1, 0), totals.get(0, 0)
     if not pos or not neg:
@@ -133,64 +181,57 @@ def fit(sample: DataFrame, kept: int = KEPT) -> Model:
     model = Model(0.0)
     model.buckets = np.sort(np.array([r["bucket"] for r in best], np.int64))
     size = len(model.buckets)
-    place = np.full(BUCKETS, -1, np.int16)
-    place[model.buckets] = np.arange(size)
-    terms, names = _term_hashes()
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place = _places(model)
         for part in steps(batches, "text"):
-            bucket, row, words, word_row = word_features(*buffers(part.column("text")))
-            hit = place[bucket] >= 0
-            bucket, row = _distinct(bucket[hit], row[hit])
-            at = np.searchsorted(row, np.arange(part.num_rows + 1)).astype(np.int32)
-            found = np.isin(words, terms)
-            who = [np.unique(words[found][word_row[found] == r]).view(np.int64).tolist() if found.any() else [] for r in range(part.num_rows)]
-            yield pa.RecordBatch.from_arrays([part.column("y"), pa.ListArray.from_arrays(pa.array(at), pa.array(place[bucket].astype(np.int32))), pa.array(who, pa.list_(pa.int64()))], ["y", "x", "who"])
-
-    rows = sample.select("text", F.col("y").cast("int").alias("y")).mapInArrow(encode, "y int, x array<int>, who array<long>").toArrow()
+            x, first = _held(part.column("text"), place)
+            yield pa.RecordBatch.from_arrays([part.column("y"), pa.ListArray.from_arrays(pa.array(first.astype(np.int32)), pa.array(x))], ["y", "x"])
+
+    rows = sample.select("text", F.col("y").cast("int").alias("y")).mapInArrow(encode, "y int, x array<int>").toArrow()
     y = rows.column("y").to_numpy().astype(np.float64)
-    order = np.arange(len(y))
     lists = rows.column("x").combine_chunks()
-    lengths = np.diff(lists.offsets.to_numpy())
-    x = np.zeros((len(y), size + 1), np.float32)
-    x[np.repeat(order, lengths), lists.flatten().to_numpy()] = 1
-    x[:, size] = 1
+    ends, x = lists.offsets.to_numpy(), lists.values.to_numpy(zero_copy_only=False)
 
     # Swap differences, as a quadratic form in the weights.
-    term_buckets = _term_buckets()
     swap = np.zeros((size + 1, size + 1))
 
-    def tie(a: str, b: str, weight: float) -> None:
-        d = np.zeros(size + 1)
-        for term, sign in ((a, 1.0), (b, -1.0)):
-            k = place[term_buckets[term]]
-            d[k[k >= 0]] += sign
-        if d.any():
-            at = np.flatnonzero(d)
-            swap[np.ix_(at, at)] += weight * np.outer(d[at], d[at])
-
-    group_of = {t: g for g in IDENTITY for t in g}
-    by_hash = dict(zip(terms.view(np.int64).tolist(), names, strict=True))
-    found, times = np.unique(rows.column("who").combine_chunks().flatten().to_numpy(), return_counts=True)
-    for h, n in zip(found.tolist(), times.tolist(), strict=True):
-        name = by_hash[h]
-        others = [t for t in group_of[name] if t != name]
-        for other in others:
-            tie(name, other, n / len(others))
-    for group in IDENTITY:
-        for i, a in enumerate(group):
-            for b in group[i + 1 :]:
-                tie(a, b, len(y) / 1000)
+    def tie(minus: list[int], plus: list[int], weight: float) -> None:
+        at, d = np.array([*minus, *plus], int), np.array([1.0] * len(minus) + [-1.0] * len(plus))
+        swap[np.ix_(at, at)] += weight * np.outer(d, d)
+
+    if swap_weight:
+        for r in swap_differences(sample, model).toArrow().to_pylist():
+            tie(r["gone"], r["new"], r["weight"])
+        place = _places(model)
+        for group in IDENTITY:
+            alone, first = _held(pa.array(group, pa.string()), place)
+            held = [set(alone[first[i] : first[i + 1]].tolist()) for i in range(len(group))]
+            for i, a in enumerate(held):
+                for b in held[i + 1 :]:
+                    if a != b:
+                        tie(sorted(a - b), sorted(b - a), len(y) / 1000)
 
     w = np.zeros(size + 1)
     w[size] = np.log(pos / neg)
     ridge = np.full(size + 1, RIDGE)
     ridge[size] = 1e-6
+
+    def blocks() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Rows as dense blocks of bounded size, and their labels."""
+        for low in range(0, len(y), 4096):
+            high = min(low + 4096, len(y))
+            dense = np.zeros((high - low, size + 1), np.float32)
+            dense[np.repeat(np.arange(high - low), np.diff(ends[low : high + 1])), x[ends[low] : ends[high]]] = 1
+            dense[:, size] = 1
+            yield dense, y[low:high]
+
     for _ in range(12):
-        p = 1 / (1 + np.exp(-np.clip(x @ w.astype(np.float32), -30, 30).astype(np.float64)))
-        h = np.maximum(p * (1 - p), 1e-6).astype(np.float32)
-        grad = (x.T @ (p - y).astype(np.float32)).astype(np.float64) + ridge * w + 2 * SWAP * (swap @ w)
-        hess = ((x * h[:, None]).T @ x).astype(np.float64) + np.diag(ridge) + 2 * SWAP * swap
+        grad, hess = ridge * w + 2 * swap_weight * (swap @ w), np.diag(ridge) + 2 * swap_weight * swap
+        for dense, label in blocks():
+            p = 1 / (1 + np.exp(-np.clip(dense @ w.astype(np.float32), -30, 30).astype(np.float64)))
+            grad += (dense.T @ (p - label).astype(np.float32)).astype(np.float64)
+            hess += ((dense * np.maximum(p * (1 - p), 1e-6).astype(np.float32)[:, None]).T @ dense).astype(np.float64)
         move = np.linalg.solve(hess, grad)
         w -= move
         if np.abs(move).max() < 1e-4:
@@ -199,27 +240,48 @@ def fit(sample: DataFrame, kept: int = KEPT) -> Model:
     return model
 
 
-def train(docs: DataFrame, labels: DataFrame, parts: int = 5, held_out: int = 0) -> Model:
+def train(docs: DataFrame, labels: DataFrame, parts: int = 5, held_out: int = 0, swap_weight: float = SWAP) -> Model:
     space = Workspace(docs.sparkSession, "toxicity")
-    return fit(space.write(labelled(docs, labels.withColumnRenamed("toxic", "y"), parts, held_out).repartition(12)))
+    return fit(space.write(labelled(docs, labels.withColumnRenamed("toxic", "y"), parts, held_out).repartition(12)), swap_weight=swap_weight)
 
 
-def scores(docs: DataFrame, model: Model) -> DataFrame:
-    at, weight, intercept = model.buckets, model.weights.astype(np.float64), model.intercept
+def _score(texts: pa.Array, model: Model, place: np.ndarray) -> np.ndarray:
+    x, first = _held(texts, place)
+    row = np.repeat(np.arange(len(texts)), np.diff(first))
+    total = model.intercept + np.bincount(row, weights=model.weights.astype(np.float64)[x] if len(model.buckets) else None, minlength=len(texts))
+    return 1 / (1 + np.exp(-np.clip(total, -40, 40)))
+
 
+def scores(docs: DataFrame, model: Model) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        place = np.full(BUCKETS, -1, np.int16)
-        place[at] = np.arange(len(at))
+        place = _places(model)
         for part in steps(batches, "text"):
-            bucket, row, _, _ = word_features(*buffers(part.column("text")))
-            hit = place[bucket] >= 0
-            bucket, row = _distinct(bucket[hit], row[hit])
-            total = intercept + np.bincount(row, weights=weight[place[bucket]] if len(at) else None, minlength=part.num_rows)
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(1 / (1 + np.exp(-np.clip(total, -40, 40))))], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(_score(part.column("text"), model, place))], ["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double")
 
 
+def swap_report(texts: DataFrame, model: Model) -> DataFrame:
+    """(toxic, swaps, mean_change, flips, called_toxic) per label of (text, toxic): swaps of identity terms in these texts, the mean change of the score,
+    changes of the decision, and texts with a term that are called toxic (of label 0: false positives on neutral mentions)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place = _places(model)
+        for part in steps(batches, "text"):
+            at, changed, weight = _swap_rows([t or "" for t in part.column("text").to_pylist()])
+            if not at:
+                continue
+            base = _score(part.column("text"), model, place)
+            new = _score(pa.array(changed, pa.large_string()), model, place)
+            y, at, first = part.column("toxic").to_numpy(zero_copy_only=False), np.array(at), np.diff(np.array(at), prepend=-1) != 0
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(y[at].astype(np.int32)), pa.array(np.abs(new - base[at])), pa.array((new >= 0.5) != (base[at] >= 0.5)), pa.array(first & (base[at] >= 0.5))], ["toxic", "change", "flip", "called"]
+            )
+
+    rows = texts.select("text", F.col("toxic").cast("int").alias("toxic")).filter("toxic is not null").mapInArrow(run, "toxic int, change double, flip boolean, called boolean")
+    return rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("swaps"), F.avg("change").alias("mean_change"), F.count_if("flip").alias("flips"), F.count_if("called").alias("called_toxic"))
+
+
 def toxicity_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score, predicted."""
     out = scores(docs, train(docs, labels))
