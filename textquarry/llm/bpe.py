@@ -219,7 +219,8 @@ def common_words(texts: DataFrame, pattern: str, table: RankTable, most: int = C
     counts = some.mapInArrow(count, "word string, n long").filter(F.octet_length("word") <= LONG).groupBy("word").agg(F.sum("n").alias("n"))
     # The most frequent words get the least indexes, which pack best.
     best = counts.filter("n >= 2").orderBy(F.col("n").desc(), "word").limit(most).select("word").toArrow()
-    rows = texts.sparkSession.createDataFrame(best.append_column("i", pa.array(np.arange(best.num_rows))))
+    # Dealt anew, since the optimiser would encode a table of the driver's on the driver.
+    rows = texts.sparkSession.createDataFrame(best.append_column("i", pa.array(np.arange(best.num_rows)))).repartition(16)
     return rows.select("word", encode_word(F.col("word"), table).alias("codes"), "i").toArrow().sort_by("i")
 
 
