@@ -28,7 +28,7 @@ def reject_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def drop_shared_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Long lines that at least five documents hold stay in the largest id only."""
-    return _like(docs, linededup.drop_shared_lines(docs))
+    return _like(docs, linededup.drop_shared_lines(docs, counts=None))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
