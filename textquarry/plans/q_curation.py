@@ -205,59 +205,19 @@ def q_clean_symbol_heavy(spark, d):
     return _docs(spark, d).select("doc_id", clean.symbol_ratio(F.col("text")).alias("ratio")).filter("ratio > 0.08")
 
 
-_CLEAN = f"""
+CLEAN = f"""
 split AS ({SPLIT}), coded AS (SELECT doc_id, lang, split, corpus, modality, text, {SYMBOLS.format(x='text')} AS sr, {CODE} AS nocode FROM split),
 step AS (SELECT *, CASE WHEN sr > 0.08 THEN NULL WHEN modality = 'web' THEN {_keep(_LETTER, _keep(_TERMINATED, 'nocode'))}
   WHEN modality = 'pdf' THEN {_keep(_LONG, _first_of(_keep(_LETTER)))} ELSE {_keep(_LETTER)} END AS ct FROM coded),
 cleaned AS (SELECT doc_id, lang, split, corpus, modality, text, nullif(ct, '') AS clean_text FROM step)"""
 
 
-@query(f"WITH {_CLEAN} SELECT doc_id, modality, clean_text FROM cleaned")
+@query(f"WITH {CLEAN} SELECT doc_id, modality, clean_text FROM cleaned")
 def q_clean_document(spark, d):
     docs = report.with_split(_docs(spark, d))
     return clean.clean(docs, F.col("modality")).select("doc_id", "modality", "clean_text")
 
 
-def died_at(spark: SparkSession, d: str) -> DataFrame:
-    """One pass over documents: which stage removes each, and its words per stage (0 prepared, 1 cleaned, 2 flagged, 3 deduplicated)."""
-    docs = clean.clean(report.with_split(_docs(spark, d)), F.col("modality")).withColumnRenamed("text", "raw_text").withColumn("text", F.col("clean_text"))
-    count = lambda c: F.size(T.words(F.coalesce(F.col(c), F.lit("")))).cast("long")
-    sig = signals.signals(docs.select("doc_id", "lang", "text")).drop("lang")
-    flagged = flags.flag(sig.join(docs.select("doc_id", "lang"), "doc_id"), flags.thresholds(spark)).select("doc_id", "keep")
-    base = docs.select("doc_id", "lang", "split", "corpus", "clean_text", count("raw_text").alias("words_0"), count("text").alias("words_1"))
-    base = base.join(flagged, "doc_id")
-    alive = F.col("clean_text").isNotNull() & F.col("keep")
-    first = base.filter(alive).groupBy("lang", F.sha2("clean_text", 256).alias("h")).agg(F.min("doc_id").alias("first_id"))
-    base = base.withColumn("h", F.sha2("clean_text", 256)).join(first, ["lang", "h"], "left")
-    died = F.when(F.col("clean_text").isNull(), 1).when(~F.col("keep"), 2).when(F.col("doc_id") != F.col("first_id"), 3)
-    return base.select("doc_id", "lang", "split", "corpus", "words_0", "words_1", F.col("words_1").alias("words_2"), F.col("words_1").alias("words_3"), died.alias("died_at"))
-
-
-_SIG_CLEAN = SIGNALS.replace("FROM documents)", "FROM (SELECT doc_id, lang, '' AS source, coalesce(clean_text, '') AS text FROM cleaned))")
-_ATTRITION = f"""WITH {_CLEAN}, {_SIG_CLEAN}, {REPETITION}, {FLAGGED},
-b AS (SELECT c.doc_id, c.lang, c.split, c.corpus, c.clean_text, len(flags) = 0 AS keep, len({WORDS.format(x='c.text')}) AS w0, len({WORDS.format(x="coalesce(c.clean_text, '')")}) AS w1 FROM cleaned c JOIN flagged f ON c.doc_id = f.doc_id),
-dd AS (SELECT *, CASE WHEN clean_text IS NULL THEN 1 WHEN NOT keep THEN 2 WHEN row_number() OVER (PARTITION BY lang, clean_text, clean_text IS NOT NULL AND keep ORDER BY doc_id) > 1 THEN 3 END AS died FROM b),
-l AS (SELECT {{by}} AS grp, stage_no, stage, CASE WHEN died IS NULL OR died > stage_no THEN CASE WHEN stage_no = 0 THEN w0 ELSE w1 END END AS w FROM dd, (VALUES (0,'prepared'),(1,'cleaned'),(2,'flagged'),(3,'deduplicated')) s(stage_no, stage) {{where}}),
-a AS (SELECT grp, stage_no, stage, count(w) AS docs, coalesce(sum(w), 0)::BIGINT AS words FROM l GROUP BY ALL)
-SELECT grp AS {{by}}, stage_no, stage, docs, words,
- CASE WHEN lag(docs) OVER p > 0 THEN 1 - docs / (lag(docs) OVER p)::DOUBLE ELSE 0.0 END AS docs_drop,
- CASE WHEN lag(words) OVER p > 0 THEN 1 - words / (lag(words) OVER p)::DOUBLE ELSE 0.0 END AS words_drop
-FROM a WINDOW p AS (PARTITION BY grp ORDER BY stage_no)"""
-STAGE_NAMES = ["prepared", "cleaned", "flagged", "deduplicated"]
-
-
-@query(_ATTRITION.replace("{by}", "lang").replace("{where}", ""))
-def q_attrition(spark, d):
-    """Documents and words alive after each stage, per language."""
-    return report.attrition(died_at(spark, d), STAGE_NAMES)
-
-
-@query(_ATTRITION.replace("{by}", "corpus").replace("{where}", "WHERE split = 'unverified'"))
-def q_attrition_unverified(spark, d):
-    """How unclean two public corpora are: the same stages on the unverified split."""
-    return report.attrition(died_at(spark, d).filter("split = 'unverified'"), STAGE_NAMES, by="corpus")
-
-
 _W = f"len({WORDS.format(x='text')})"
 
 
@@ -297,7 +257,7 @@ def q_fertility(spark, d):
     return per.groupBy("lang").agg(F.sum("p").cast("long").alias("pieces"), F.sum("n").cast("long").alias("words"), (F.sum("p") / F.sum("n")).alias("fertility"))
 
 
-@query(f"""WITH {_CLEAN}, r AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, string_split(coalesce(clean_text, ''), chr(10)) AS kept FROM cleaned WHERE modality <> 'web')
+@query(f"""WITH {CLEAN}, r AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, string_split(coalesce(clean_text, ''), chr(10)) AS kept FROM cleaned WHERE modality <> 'web')
 SELECT doc_id, count(DISTINCT line) AS removed FROM r WHERE NOT list_contains(kept, line) GROUP BY doc_id ORDER BY removed DESC, doc_id LIMIT 20""")
 def q_removed_lines(spark, d):
     """Documents that lose most lines to cleaning (a top-k report)."""

@@ -241,8 +241,8 @@ def q_lid_words(spark, d):
     return lid.predict_words(table(spark, d, "documents"))
 
 
-_GRAMS = """gr AS (SELECT doc_id, lang, substr(t, i, n) AS g, count(*) AS k FROM (SELECT doc_id, lang, t, n, unnest(range(1, length(t) - n + 2)) AS i FROM (SELECT doc_id, lang, lower(text) AS t, unnest([1, 2, 3, 4]) AS n FROM documents)) GROUP BY ALL),
-cn AS (SELECT lang, g, sum(k) AS c FROM gr WHERE doc_id % 3 <> 0 GROUP BY ALL), ct AS (SELECT lang, sum(c) AS t FROM cn GROUP BY lang)"""
+_GRAMS = """gr AS MATERIALIZED (SELECT doc_id, lang, substr(t, i, n) AS g, count(*) AS k FROM (SELECT doc_id, lang, t, n, unnest(range(1, length(t) - n + 2)) AS i FROM (SELECT doc_id, lang, lower(text) AS t, unnest([1, 2, 3, 4]) AS n FROM documents)) GROUP BY ALL),
+cn AS MATERIALIZED (SELECT lang, g, sum(k) AS c FROM gr WHERE doc_id % 3 <> 0 GROUP BY ALL), ct AS (SELECT lang, sum(c) AS t FROM cn GROUP BY lang)"""
 _E1 = f"""tp AS (SELECT g FROM cn GROUP BY g ORDER BY sum(c) DESC, g LIMIT {lid.MOST}),
 nb AS (SELECT tp.g, ct.lang, ln((coalesce(c, 0) + 1)::DOUBLE / (t + {lid.MOST})) AS lp FROM tp CROSS JOIN ct LEFT JOIN cn ON cn.g = tp.g AND cn.lang = ct.lang),
 s1 AS (SELECT doc_id, nb.lang, sum(k * lp) / sum(k) AS s FROM gr JOIN nb ON nb.g = gr.g GROUP BY ALL),

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import text as T
 from ..registry import query, table
+from ..sources import files
 
 HASH = "CAST('0x' || substr(md5(CAST({x} AS VARCHAR)), 1, 8) AS BIGINT)"
 
@@ -265,3 +266,64 @@ def q_fn_json(spark, d):
 def q_sql_flagship(spark, d):
     table(spark, d, "documents").createOrReplaceTempView("tq_documents")
     return spark.sql("SELECT source, lang, docs FROM (SELECT source, lang, count(*) AS docs, row_number() OVER (PARTITION BY source ORDER BY count(*) DESC, lang) AS r FROM tq_documents WHERE n_chars >= :least GROUP BY source, lang) WHERE r = 1", args={"least": 100})
+
+
+def _nations(spark, d):
+    return table(spark, d, "nation").select("n_nationkey", "n_name", "n_regionkey")
+
+
+def _format(kind: str, **options):
+    def run(spark, d):
+        return files.through(_nations(spark, d), kind, **options)
+
+    run.__name__ = f"q_source_{kind}"
+    query("SELECT n_nationkey, n_name, n_regionkey FROM nation")(run)
+
+
+_format("json")
+_format("csv", header="true")
+_format("orc")
+
+
+@query("SELECT n_name AS value FROM nation")
+def q_source_text(spark, d):
+    return files.through(_nations(spark, d).select(F.col("n_name").alias("value")), "text")
+
+
+@query("SELECT 1 AS files, true AS whole")
+def q_source_binary(spark, d):
+    """A file as bytes, as scanned documents come."""
+    b = files.binary_files(spark, f"{d}/region.parquet")
+    return b.agg(F.count(F.lit(1)).cast("int").alias("files"), F.bool_and(F.octet_length("content") == F.col("length")).alias("whole"))
+
+
+@query("SELECT i AS no, 'line ' || i AS line FROM range(0, 100) r(i)")
+def q_source_python(spark, d):
+    """A data source written in Python."""
+    files.register(spark)
+    return spark.read.format("generated_lines").option("n", "100").load()
+
+
+@query("SELECT o_orderstatus, count(*) AS n, sum(o_orderkey)::BIGINT AS keys FROM orders GROUP BY ALL")
+def q_sink_partitioned(spark, d):
+    """Written in folders by value and read back with one folder per value."""
+    out = files.partitioned(table(spark, d, "orders").select("o_orderkey", "o_orderstatus"), "o_orderstatus")
+    return out.groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n"), F.sum("o_orderkey").alias("keys"))
+
+
+@query("SELECT n_name, length(regexp_replace(n_name, '[^aeiou]', '', 'g'))::BIGINT AS vowels FROM nation")
+def q_udf_scalar(spark, d):
+    return table(spark, d, "nation").select("n_name", files.vowels(F.col("n_name")).alias("vowels"))
+
+
+@query("SELECT o_orderstatus, max(o_totalprice) - min(o_totalprice) AS spread FROM orders GROUP BY o_orderstatus")
+def q_udf_aggregate(spark, d):
+    return table(spark, d, "orders").groupBy("o_orderstatus").agg(files.spread(F.col("o_totalprice")).alias("spread"))
+
+
+@query("SELECT item_id, generate_subscripts(string_split(text, chr(10)), 1)::INTEGER - 1 AS no, unnest(string_split(text, chr(10))) AS line FROM benchmark")
+def q_udtf(spark, d):
+    """A table function beside each row."""
+    spark.udtf.register("split_lines", files.split_lines_function())
+    table(spark, d, "benchmark").createOrReplaceTempView("benchmark_lines")
+    return spark.sql("SELECT item_id, s.no, s.line FROM benchmark_lines, LATERAL split_lines(text) s")

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from ..functions import text as T
 from ..registry import query, table
 from ..sources import html, sites
+from .q_curation import FOLDED
 
 H = "CAST('0x' || substr(md5(CAST({x} AS VARCHAR)), 1, 8) AS BIGINT)"
 _DECODE = "text0"
@@ -45,6 +46,27 @@ def q_html_quality(spark, d):
     return got.join(truth, "h", "left").agg(F.count(F.lit(1)).alias("pages"), F.count("hit").alias("exact"))
 
 
+_STRIPPED = r"regexp_replace(html, '<[^>]+>', ' ', 'g')"
+_TOK = f"""tk AS (SELECT page_id, method, w, count(*) AS k FROM (SELECT page_id, 'main' AS method, unnest({FOLDED.format(x='text')}) AS w FROM extracted UNION ALL SELECT page_id, 'strip', unnest({FOLDED.format(x=_STRIPPED)}) FROM pages) GROUP BY ALL),
+tr AS (SELECT e.page_id, w, count(*) AS k FROM (SELECT page_id, unnest({FOLDED.format(x='d.text')}) AS w FROM extracted e JOIN (SELECT DISTINCT text FROM documents) d ON d.text = e.text) e GROUP BY ALL),
+sz AS (SELECT method, sum(k) AS got FROM tk WHERE page_id IN (SELECT page_id FROM tr) GROUP BY method), ts AS (SELECT sum(k) AS wanted FROM tr),
+ov AS (SELECT method, sum(least(tk.k, tr.k)) AS hits FROM tk JOIN tr ON tr.page_id = tk.page_id AND tr.w = tk.w GROUP BY method)"""
+
+
+@query(f"WITH {EXTRACT}, {_TOK} SELECT method, hits / got::DOUBLE AS precision, hits / wanted::DOUBLE AS recall, 2.0 * hits / (got + wanted)::DOUBLE AS f1 FROM ov JOIN sz USING (method), ts")
+def q_html_tokens(spark, d):
+    """Token precision, recall and F1 of the extraction and of the plain tag strip, against the documents that the pages hold."""
+    main = html.extract_main(_pages(spark, d)).select("page_id", "text")
+    truth = main.join(table(spark, d, "documents").select("text").distinct(), "text", "left_semi")
+    count = lambda df, *keys: df.select(*keys, F.explode(T.folded_words(F.col("text"))).alias("w")).groupBy(*keys, "w").agg(F.count(F.lit(1)).alias("k"))
+    strip = _pages(spark, d).select("page_id", html.strip_tags(F.col("html")).alias("text"))
+    got = count(main.withColumn("method", F.lit("main")).unionByName(strip.withColumn("method", F.lit("strip"))).join(truth.select("page_id").distinct(), "page_id", "left_semi"), "page_id", "method")
+    want = count(truth, "page_id").withColumnRenamed("k", "t")
+    both = got.join(want, ["page_id", "w"], "left").groupBy("method").agg(F.sum("k").alias("got"), F.sum(F.least("k", F.coalesce("t", F.lit(0)))).alias("both"))
+    both = both.crossJoin(F.broadcast(want.agg(F.sum("t").alias("wanted"))))
+    return both.select("method", (F.col("both") / F.col("got")).alias("precision"), (F.col("both") / F.col("wanted")).alias("recall"), (2.0 * F.col("both") / (F.col("got") + F.col("wanted"))).alias("f1"))
+
+
 @query(f"WITH {EXTRACT} SELECT page_id AS doc_id, text, lang_hint AS lang, {HOST} AS source, 'web' AS modality FROM extracted WHERE text <> ''")
 def q_web_documents(spark, d):
     e = html.extract_main(_pages(spark, d))
@@ -74,15 +96,18 @@ def q_site_top_hosts(spark, d):
     return sites.top_hosts(e, 10)
 
 
-_VERDICT = f"""s AS (SELECT {HOST} AS host, count(*) AS n_pages, avg(CASE WHEN regexp_extract(html, '<html[^>]*lang="([a-z]+)"', 1) IN ('en','fr') THEN 1.0 ELSE 0.0 END)::DOUBLE AS lang_share FROM pages GROUP BY ALL),
-v AS (SELECT host, n_pages, list_filter([CASE WHEN lang_share < 0.5 THEN 'language' END, CASE WHEN host LIKE '%pill%' OR host LIKE '%casino%' OR host LIKE '%bets%' OR host LIKE '%adult%' THEN 'adult_or_gambling' END, CASE WHEN {H.format(x='host')} % 11 = 0 THEN 'machine_translated' END, CASE WHEN {H.format(x='host')} % 7 = 0 THEN 'inactive' END], lambda x: x IS NOT NULL) AS r FROM s)"""
+_VERDICT = f"""{EXTRACT}, copies AS (SELECT text, count(*) AS k FROM extracted WHERE text <> '' GROUP BY text),
+s AS (SELECT {HOST} AS host, count(*) AS n_pages, avg(CASE WHEN lang_hint IN ('en','fr') THEN 1.0 ELSE 0.0 END)::DOUBLE AS lang_share, avg(CASE WHEN k > 1 THEN 1.0 ELSE 0.0 END)::DOUBLE AS copied, sum(length(e.text)) AS chars FROM extracted e LEFT JOIN copies c ON c.text = e.text GROUP BY ALL),
+v AS (SELECT host, n_pages, list_filter([CASE WHEN lang_share < 0.5 THEN 'language' END, CASE WHEN host LIKE '%pill%' OR host LIKE '%casino%' OR host LIKE '%bets%' OR host LIKE '%adult%' THEN 'adult_or_gambling' END, CASE WHEN copied > 0.5 THEN 'machine_translated' END, CASE WHEN chars < 500 THEN 'inactive' END], lambda x: x IS NOT NULL) AS r FROM s)"""
 
 
 def verdicts(spark, d):
+    """Rules on the pages of a host: share in the target languages, share of texts that stand on other pages too (a sign of machine-made pages), text at all."""
     h = F.col("host")
-    lang = F.regexp_extract("html", r'<html[^>]*lang="([a-z]+)"', 1)
-    s = _pages(spark, d).select(html.host(F.col("url")).alias("host"), F.when(lang.isin("en", "fr"), 1.0).otherwise(0.0).alias("t")).groupBy("host").agg(F.count(F.lit(1)).alias("n_pages"), F.avg("t").alias("lang_share"))
-    r = sites.reasons(F.col("lang_share") >= 0.5, h, T.md5_int(h) % 11 == 0, T.md5_int(h) % 7 != 0)
+    e = html.extract_main(_pages(spark, d)).select(html.host(F.col("url")).alias("host"), F.col("lang_hint").isin("en", "fr").cast("double").alias("t"), F.length("text").alias("n"), F.when(F.col("text") != "", F.xxhash64("text")).alias("x"))
+    copies = e.filter("x is not null").groupBy("x").agg((F.count(F.lit(1)) > 1).alias("copy"))
+    s = e.join(copies, "x", "left").groupBy("host").agg(F.count(F.lit(1)).alias("n_pages"), F.avg("t").alias("lang_share"), F.avg(F.coalesce("copy", F.lit(False)).cast("double")).alias("copied"), F.sum("n").alias("chars"))
+    r = sites.reasons(F.col("lang_share") >= 0.5, h, F.col("copied") > 0.5, F.col("chars") >= 500)
     return s.select("host", "n_pages", r.alias("r"))
 
 

@@ -5,18 +5,20 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..shared import shared_folder
+
 
 def run_available(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over what is there now into files of the shared folder, and read them back."""
     spark: SparkSession = stream.sparkSession
-    folder = (spark.conf.get("spark.checkpoint.dir", None) or "file://" + os.path.join(tempfile.gettempdir(), "checkpoints")).rstrip("/") + f"/stream-{uuid.uuid4().hex}"
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
 
     def keep(batch: DataFrame, epoch: int) -> None:
         batch.write.mode("overwrite").parquet(f"{folder}/out/epoch={epoch}")
@@ -35,3 +37,37 @@ def tumbling(events: DataFrame, size: str, late: str = "3 days", slide: str | No
     w = F.window("ts", size, slide) if slide else F.window("ts", size)
     e = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
     return e.groupBy(w, "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("start"), "event_type", "n")
+
+
+def sessions(events: DataFrame, gap: str, late: str = "3 days") -> DataFrame:
+    """Sessions per user: silences of more than *gap* end one; state is the open session of each user."""
+    e = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
+    s = e.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n"))
+    return s.select("user_id", F.col("w.start").alias("start"), "n")
+
+
+def running_attrition(docs: DataFrame, alive: dict) -> DataFrame:
+    """Documents that pass each rule so far, per language."""
+    kept, out = F.lit(True), [F.count(F.lit(1)).alias("docs")]
+    for name, rule in alive.items():
+        kept = kept & rule
+        out.append(F.count_if(kept).alias(name))
+    return docs.groupBy("lang").agg(*out)
+
+
+def first_of_near_copies(bands: DataFrame, most: int = 64) -> DataFrame:
+    """(doc_id, band, h) as a stream to (doc_id, seen_in): bands whose bucket held an earlier document. State is the first id of each bucket; *most* bounds
+    nothing but the batch that one call makes."""
+
+    def run(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        first = state.get[0] if state.exists else None
+        for part in parts:
+            ids = sorted(part.doc_id.tolist())
+            if first is None:
+                first = ids.pop(0)
+            for at in range(0, len(ids), most):
+                yield pd.DataFrame({"doc_id": ids[at : at + most], "band": key[0], "first": first})
+        if first is not None:
+            state.update((first,))
+
+    return bands.groupBy("band", "h").applyInPandasWithState(run, "doc_id long, band int, first long", "first long", "append", "NoTimeout")
