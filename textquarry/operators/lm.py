@@ -217,7 +217,7 @@ def _score_compiled(seqs: DataFrame, tables: dict) -> DataFrame:
         """log10 of all positions; *place* counts from 1 in each sentence."""
         key, back, p = np.zeros(len(words), np.uint64), np.zeros(len(words), np.uint64), None
         for k, (grams, prob, contexts, weight) in enumerate(orders, 1):
-            shifted = np.concatenate([np.zeros(k - 1, np.uint64), words[: len(words) - k + 1]])
+            shifted = np.concatenate([np.zeros(k - 1, np.uint64), words])[: len(words)]
             key = _more(key, shifted)
             fits = place >= max(k, 2)
             if k == 1:

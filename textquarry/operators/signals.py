@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+from collections import defaultdict
 
 import numpy as np
 import pandas as pd
@@ -18,18 +19,16 @@ _SPACES = re.compile(r"[ \t\n\x0b\f\r]+")
 TARGET = r"[\p{IsLatin}\p{N}\p{P}\p{S}\p{Z}\p{M}\s]"
 
 
-def nsfw_count(lang: Column, folded: Column, lists: dict[str, tuple[str, ...]] = NSFW) -> Column:
+def nsfw_count(lang: Column, text: Column, lists: dict[str, tuple[str, ...]] = NSFW) -> Column:
+    """Listed words of the language in the text, as whole words in any case."""
     out = F.lit(0)
     for name, banned in lists.items():
         if banned:
-            out = F.when(lang == name, F.size(F.filter(folded, _in(banned)))).otherwise(out)
+            word = r"(?<![\p{L}\p{N}_])(?:" + "|".join(banned) + r")(?![\p{L}\p{N}_])"
+            out = F.when(lang == name, F.regexp_count(F.lower(text), F.lit(word))).otherwise(out)
     return out
 
 
-def _in(banned: tuple[str, ...]):
-    return lambda w: w.isin(*banned)
-
-
 def non_target_count(text: Column) -> Column:
     return F.length(F.regexp_replace(text, TARGET, ""))
 
@@ -48,8 +47,11 @@ def repetition_scores(text: pd.Series) -> pd.DataFrame:
     def share(h: np.ndarray) -> float:
         if not len(h):
             return 0.0
-        _, c = np.unique(h, return_counts=True)
-        return float(c[c >= 2].sum() / len(h))
+        h = np.sort(h)
+        same = h[1:] == h[:-1]
+        first = np.concatenate([[True], ~same])
+        last = np.concatenate([~same, [True]])
+        return float((~(first & last)).sum() / len(h))
 
     def windows(x: np.ndarray, n: int) -> np.ndarray:
         out = np.zeros(max(0, len(x) - n + 1), np.uint64)
@@ -62,9 +64,10 @@ def repetition_scores(text: pd.Series) -> pd.DataFrame:
     for t in text:
         points = np.frombuffer((t or "").encode("utf-32-le"), np.uint32).astype(np.uint64)
         chars.append(share(windows(points, 10)))
-        known: dict[str, int] = {}
-        w = np.array([known.setdefault(x, len(known)) for x in _SPACES.split(t or "") if x], np.uint64)
-        words.append(share(windows(w, 5)) if len(w) >= 5 else 0.0)
+        known: defaultdict = defaultdict()
+        known.default_factory = known.__len__
+        parts = [x for x in _SPACES.split(t or "") if x]
+        words.append(share(windows(np.fromiter(map(known.__getitem__, parts), np.uint64, len(parts)), 5)) if len(parts) >= 5 else 0.0)
     return pd.DataFrame({"char_rep": chars, "word_rep": words})
 
 
@@ -73,17 +76,18 @@ def signals(df: DataFrame, repetition: bool = True) -> DataFrame:
     keep = [c for c in ("doc_id", "lang", "source") if c in df.columns]
     text = F.coalesce(F.col("text"), F.lit(""))
     # The arrays stand in an own projection; the optimiser does not copy expensive expressions into each use.
-    base = df.select(*keep, text.alias("text"), T.words(text).alias("_w"), T.folded_words(text).alias("_f"), F.transform(T.sentences(text), lambda s: F.size(T.words(s))).alias("_s"))
+    count = lambda x: F.regexp_count(x, F.lit(r"\S+"))
+    base = df.select(*keep, text.alias("text"), F.transform(T.sentences(text), count).alias("_s"))
     n = F.size("_s")
     columns = [
         F.octet_length("text").cast("long").alias("bytes"),
-        F.size("_w").cast("long").alias("word_count"),
+        count(F.col("text")).cast("long").alias("word_count"),
         F.length("text").cast("long").alias("char_count"),
         n.cast("long").alias("lines_count"),
         F.when(n > 0, F.aggregate("_s", F.lit(0), lambda a, x: a + x) / n).otherwise(F.lit(0.0)).alias("mean_line_length"),
         F.coalesce(F.array_min("_s"), F.lit(0)).cast("long").alias("min_line_length"),
         F.coalesce(F.array_max("_s"), F.lit(0)).cast("long").alias("max_line_length"),
-        nsfw_count(F.col("lang"), F.col("_f")).cast("long").alias("nsfw_words_count"),
+        nsfw_count(F.col("lang"), F.col("text")).cast("long").alias("nsfw_words_count"),
         non_target_count(F.col("text")).cast("long").alias("non_target_count"),
     ]
     if repetition:

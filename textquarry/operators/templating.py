@@ -17,7 +17,7 @@ from ..functions.text import let
 
 #: What no translator sees: fenced and back-ticked code, marks at the start of a line (headings, bullets, quotes, numbers, Roman numerals), markdown
 #: marks, brackets, paragraph marks. Everything else is text.
-STRUCTURE = r"```[\s\S]*?```|`[^`\n]*`|({line}^[ \t]*(?:(?:#{{1,6}}|[-+•>*]|\d{{1,3}}[.)]|[IVXLCDM]{{1,7}}[.)])[ \t]+)+)|[`|*_\[\]()#\n\t]+"
+STRUCTURE = r"```[\s\S]*?```|`[^`\n]*`|({line}^[ \t]*(?:(?:#{{1,6}}|[-+•>*]|\d{{1,3}}[.)]|[IVXLCDM]{{1,7}}[.)])[ \t]+)+)|[|*_\[\]()#\n\t]+|`"
 TEXT = r"[^`|*_\[\]()#\n\t]+"
 ROMAN_FROM, ROMAN_TO = "àáâãäåçèéêëìíîïñòóôõöùúûüýÿ", "aaaaaaceeeeiiiinooooouuuuyy"
 

@@ -28,6 +28,12 @@ def unused(name: str, *frames: DataFrame) -> str:
     return name
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """The same rows over as many partitions as there are cores, where a table of few files has fewer; a table of many files stays as it is."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 class Workspace:
     """Tables of one run of one operator; `drop` frees those that are no longer read."""
 
