@@ -189,7 +189,7 @@ def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score", "block", "evaluated", "rows"])
 
     both = table.withColumn("floor", F.lit(None).cast("double")).unionByName(asked)
-    dealt = both.repartition(blocks, "p").sortWithinPartitions("p", F.col("floor").isNotNull())
+    dealt = both.repartitionById(blocks, "p").sortWithinPartitions("p", F.col("floor").isNotNull())
     return space, dealt.select("p", "id", "v", "d", "floor").mapInArrow(search, "query_id long, vec_id long, score long, block long, evaluated long, rows long")
 
 
