@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from textquarry.llm import jaccard, linededup, packing, quality, secrets
 from textquarry.llm._tables import Workspace
+from textquarry.shared import spread
 
 
 def _like(docs: DataFrame, new: DataFrame) -> DataFrame:
@@ -60,7 +61,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     space = Workspace(spark, "pipeline")
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = spread(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     for name, stage in STAGES[:-1]:
         docs = space.write(stage(spark, docs, sf_dir))
     return STAGES[-1][1](spark, docs, sf_dir)
