@@ -2,15 +2,15 @@
 
 Every distinct word of the corpus is merged once. The `COMMON` words that a sample of about `SAMPLE` documents holds most often are encoded first and
 broadcast. Units of up to `UNIT_BYTES` of text are split by the pattern into words, and written
-as a list of the unit's other distinct words and, per document, packed indexes into both. The other words of all units meet in one shuffle; each
-distinct one is encoded. Encoding is a fold of Spark higher-order functions over its byte array: each step joins the adjacent pair of least
+as lists of the unit's other distinct words, dealt into buckets by a hash, and, per document, packed indexes into both. The lists of a bucket meet
+in one shuffle; each distinct word of a bucket is encoded. Encoding is a fold of Spark higher-order functions over its byte array: each step joins the adjacent pair of least
 rank, the leftmost of equal ones. Ranks come from a literal in the plan: all pairs of codes that make a piece, in an array whose places a
 displacement hash gives, so that a look-up costs the same for any vocabulary. The codes go back to the units that hold the word, are
 spread over the indexes there, and decoding concatenates the binary pieces of the codes.
 
 Shuffled are a unit's distinct words that are not common, and their codes with the packed indexes; texts never are. What is broadcast has
-a fixed size (ranks, common words), and memory is bounded by the unit. The sample decides only what is shuffled, not the result; a very frequent word that
-it missed is one short row per unit, which joins as any other.
+a fixed size (ranks, common words), and memory is bounded by the unit. The sample decides only what is shuffled, not the result; a frequent word that
+it missed is encoded once for every `TOGETHER` tasks that split texts, so that the list of units that hold a word is bounded.
 
 Words of more than `LONG` bytes are merged by a heap in the unit's task instead (same ranks, same result): a fold copies its state at
 each step, so its cost grows with the square of the word (256 bytes: 2 ms; 20,000 bytes: more than 10 s against 0.1 s).
@@ -25,6 +25,7 @@ import base64
 import hashlib
 import heapq
 import json
+import zlib
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -35,7 +36,7 @@ from pyspark.sql import functions as F
 
 from ._tables import Workspace
 
-UNIT_BYTES, LONG, COMMON, SAMPLE = 32 << 20, 256, 1 << 18, 20_000
+UNIT_BYTES, LONG, COMMON, SAMPLE, TOGETHER = 32 << 20, 256, 1 << 18, 20_000, 1 << 10
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -190,7 +191,7 @@ def _unpack(blob: bytes, size: int) -> np.ndarray:
     return np.ascontiguousarray(raw.reshape(4, -1).T).view(np.int32).reshape(-1)
 
 
-_UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, words array<string>, long array<string>, long_at array<int>"
+_UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, bucket array<int>, words array<array<string>>, words_at array<array<int>>, long array<string>, long_at array<int>"
 
 
 def _split_texts(batches: Iterator[pa.RecordBatch], pattern: str) -> Iterator[tuple[int | None, list[str], int]]:
@@ -224,8 +225,8 @@ def common_words(texts: DataFrame, pattern: str, table: RankTable, most: int = C
     return rows.select("word", encode_word(F.col("word"), table).alias("codes"), "i").toArrow().sort_by("i")
 
 
-def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
-    """Units of (doc_id, text): distinct words outside the broadcast list *common* (those of more than `LONG` bytes apart), and indexes of each
+def units(texts: DataFrame, pattern: str, buckets: int, common=None) -> DataFrame:
+    """Units of (doc_id, text): distinct words outside the broadcast list *common* by bucket (those of more than `LONG` bytes apart), and indexes of each
     document's words. Indexes count the common words first."""
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -236,14 +237,19 @@ def units(texts: DataFrame, pattern: str, common=None) -> DataFrame:
 
         def emit() -> pa.RecordBatch:
             flat = np.concatenate(at) if at else np.zeros(0, np.int32)
-            words = pa.array(list(known)[len(shared) :], pa.string())
-            bare = pa.compute.greater(pa.compute.binary_length(words), LONG)
-            where = np.flatnonzero(bare.to_numpy(zero_copy_only=False))
-            long = words.take(pa.array(where, pa.int32()))
-            words = pa.compute.if_else(bare, pa.scalar(None, pa.string()), words) if len(where) else words
+            new = list(known)[len(shared) :]
+            words = pa.array(new, pa.string())
+            bare = pa.compute.greater(pa.compute.binary_length(words), LONG).to_numpy(zero_copy_only=False)
+            of = np.where(bare, buckets, np.fromiter((zlib.crc32(w.encode()) % buckets for w in new), np.int64, len(new)))
+            order = np.argsort(of, kind="stable").astype(np.int32)
+            order, where = order[: len(new) - int(bare.sum())], np.flatnonzero(bare).astype(np.int32)
+            held, first = np.unique(of[order], return_index=True)
+            cuts = pa.array([*first.tolist(), len(order)], pa.int32())
             one = lambda a: pa.ListArray.from_arrays(pa.array([0, len(a)], pa.int32()), a)
-            row = [pa.array([unit]), pa.array([ids], pa.list_(pa.int64())), one(pa.array([len(a) for a in at], pa.int32())), pa.array([len(flat)]), pa.array([_pack(flat)], pa.binary()), one(words), one(long), one(pa.array(where.astype(np.int32)))]
-            return pa.RecordBatch.from_arrays(row, ["unit", "docs", "counts", "n", "at", "words", "long", "long_at"])
+            lists = [pa.ListArray.from_arrays(cuts, a) for a in (words.take(pa.array(order)), pa.array(order))]
+            row = [pa.array([unit]), pa.array([ids], pa.list_(pa.int64())), one(pa.array([len(a) for a in at], pa.int32())), pa.array([len(flat)]), pa.array([_pack(flat)], pa.binary())]
+            row += [one(pa.array(held.astype(np.int32))), one(lists[0]), one(lists[1]), one(words.take(pa.array(where))), one(pa.array(where))]
+            return pa.RecordBatch.from_arrays(row, ["unit", "docs", "counts", "n", "at", "bucket", "words", "words_at", "long", "long_at"])
 
         def fresh() -> defaultdict:
             known: defaultdict = defaultdict(None, shared)
@@ -311,12 +317,14 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
     common = docs.sparkSession.sparkContext.broadcast(first.column("word").to_pylist())
     lists = first.column("codes").combine_chunks()
     common_codes = docs.sparkSession.sparkContext.broadcast((np.diff(lists.offsets.to_numpy()).astype(np.int64), lists.flatten().to_numpy().astype(np.int32)))
-    split = Workspace(docs.sparkSession, "bpe").write(units(texts, pattern, common))
-    held = split.select("unit", F.posexplode("words").alias("i", "word")).filter("word is not null").repartition("word")
-    # The condition is always true; with it both sides of the join need the same columns and read one shuffle of words.
-    distinct = held.groupBy("word").agg(F.min("unit").alias("u"), F.min("i").alias("least")).filter("u >= 0 and least >= 0").select("word")
-    coded = distinct.select("word", encode_word(F.col("word"), table).alias("codes"))
-    coded = pack_codes(held.join(coded.hint("shuffle_hash"), "word"))
+    buckets = 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    split = Workspace(docs.sparkSession, "bpe").write(units(texts, pattern, buckets, common))
+    lists = split.select("unit", F.explode(F.arrays_zip("bucket", "words", "words_at")).alias("l")).select("unit", "l.*").repartition("bucket")
+    held = lists.select("unit", "bucket", F.explode(F.arrays_zip(F.col("words").alias("word"), F.col("words_at").alias("i"))).alias("w")).select("unit", "bucket", "w.word", "w.i")
+    # Grouped inside the buckets, without another shuffle.
+    distinct = held.groupBy("bucket", "word", F.shiftright("unit", 32 + TOGETHER.bit_length() - 1).alias("tasks")).agg(F.collect_list(F.struct("unit", "i")).alias("places"))
+    coded = distinct.select(encode_word(F.col("word"), table).alias("codes"), "places").select("codes", F.explode("places").alias("p"))
+    coded = pack_codes(coded.select("p.unit", "p.i", "codes"))
     heads = split.select("unit", F.struct("docs", "counts", "n", "at", "long", "long_at").alias("head"))
     both = heads.unionByName(coded, allowMissingColumns=True)
     dealt = both.repartition("unit").sortWithinPartitions("unit", F.col("head").isNull())
