@@ -33,7 +33,7 @@ def q_html_strip(spark, d):
     return _pages(spark, d).select("page_id", html.strip_tags(F.col("html")).alias("text"))
 
 
-@query()
+@query(f"WITH {EXTRACT} SELECT page_id, text FROM extracted")
 def q_html_dom(spark, d):
     return html.extract_dom(_pages(spark, d))
 
