@@ -62,7 +62,7 @@ def test_templates_are_lossless(spark, sf_dir):
 def test_kneser_ney_sums_to_one(spark):
     docs = spark.createDataFrame([(0, "en", "a b a. b a c."), (1, "en", "a b c.")], "doc_id long, lang string, text string")
     model = lm.kneser_ney(lm.sequences(docs), 2)
-    vocab = [r["w"] for r in model[0].select("w").distinct().collect()] + ["<unk>"]
+    vocab = [r["g"] for r in model.probs[0].select("g").distinct().collect()] + ["<unk>"]
     probe = spark.createDataFrame([(i, "en", ["a", w]) for i, w in enumerate(vocab)], "doc_id long, lang string, s array<string>")
     total = sum(1 / r["ppl"] for r in lm.perplexity(probe, model).collect())
     assert math.isclose(total, 1.0, abs_tol=1e-9)
