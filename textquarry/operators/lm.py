@@ -99,15 +99,20 @@ def continuation(counts: DataFrame) -> DataFrame:
     return counts.groupBy("lang", _rest(F.col("g")).alias("g")).agg(F.count(F.lit(1)).alias("c"))
 
 
-def count_tables(seqs: DataFrame, order: int = config.LM_ORDER) -> list[DataFrame]:
-    """(lang, g, c) of orders 1 to *order*: raw counts on top and for n-grams that begin a sentence, distinct left words for all others."""
-    tables = [ngram_counts(seqs, order)]
+def count_tables(seqs: DataFrame, order: int = config.LM_ORDER, space: Workspace | None = None) -> list[DataFrame]:
+    """(lang, g, c) of orders 1 to *order*: raw counts on top and for n-grams that begin a sentence, distinct left words for all others.
+
+    Sentences and each table are written once, since the next lower table is made from them.
+    """
+    space = space or Workspace(seqs.sparkSession, "counts")
+    seqs = space.write(seqs)
+    tables = [space.write(ngram_counts(seqs, order))]
     for k in range(order - 1, 0, -1):
         lower = continuation(tables[-1])
         if k > 1:
             starts = seqs.filter(F.size("s") >= k).groupBy("lang", F.array_join(F.slice("s", 1, k), " ").alias("g")).agg(F.count(F.lit(1)).alias("c"))
             lower = lower.unionByName(starts)
-        tables.append(lower)
+        tables.append(space.write(lower))
     return tables[::-1]
 
 
@@ -148,8 +153,7 @@ def kneser_ney(seqs: DataFrame, order: int = config.LM_ORDER, modified: bool = T
     """Interpolated Kneser-Ney; each table is written once, and languages have a row each in what is broadcast."""
     space = Workspace(seqs.sparkSession, "lm")
     probs, backs = [], []
-    for k, counts in enumerate(count_tables(seqs, order), 1):
-        counts = space.write(counts)
+    for k, counts in enumerate(count_tables(seqs, order, space), 1):
         c = counts.join(F.broadcast(discounts(counts, modified)), "lang")
         if k == 1:
             total = c.groupBy("lang").agg(F.sum("c").alias("t"), _left_over().alias("taken"), F.count(F.lit(1)).alias("v"))
@@ -196,9 +200,9 @@ def compile_model(model: Model) -> dict[str, list[tuple[np.ndarray, np.ndarray,
             key = np.zeros(len(h), np.uint64)
             for j in range(size):
                 key = _more(key, h[:, j])
-            langs, values = np.array(rows.column("lang").to_pylist()), rows.column("v").to_numpy()
-            for lang in set(langs.tolist()):
-                mine = np.flatnonzero(langs == lang)
+            coded, values = rows.column("lang").combine_chunks().dictionary_encode(), rows.column("v").to_numpy()
+            for i, lang in enumerate(coded.dictionary.to_pylist()):
+                mine = np.flatnonzero(coded.indices.to_numpy() == i)
                 order = mine[np.argsort(key[mine])]
                 held = out.setdefault(lang, [[None] * 4 for _ in range(model.order)])[k - 1]
                 held[slot], held[slot + 1] = key[order], values[order]
