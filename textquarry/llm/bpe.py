@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from ._tables import Workspace
 
-UNIT_BYTES, LONG, COMMON, SAMPLE, TOGETHER = 32 << 20, 256, 1 << 18, 20_000, 1 << 10
+UNIT_BYTES, LONG, COMMON, SAMPLE, TOGETHER = 32 << 20, 256, 3 << 17, 20_000, 1 << 10
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -191,7 +191,7 @@ def _unpack(blob: bytes, size: int) -> np.ndarray:
     return np.ascontiguousarray(raw.reshape(4, -1).T).view(np.int32).reshape(-1)
 
 
-_UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, bucket array<int>, words array<array<string>>, words_at array<array<int>>, long array<string>, long_at array<int>"
+_UNIT = "unit long, docs array<long>, counts array<int>, n long, at binary, bucket array<int>, words array<array<string>>, first array<int>, long array<string>"
 
 
 def _split_texts(batches: Iterator[pa.RecordBatch], pattern: str) -> Iterator[tuple[int | None, list[str], int]]:
@@ -241,15 +241,17 @@ def units(texts: DataFrame, pattern: str, buckets: int, common=None) -> DataFram
             words = pa.array(new, pa.string())
             bare = pa.compute.greater(pa.compute.binary_length(words), LONG).to_numpy(zero_copy_only=False)
             of = np.where(bare, buckets, np.fromiter((zlib.crc32(w.encode()) % buckets for w in new), np.int64, len(new)))
+            # New words are numbered by bucket, long ones last, so that a list of words needs only the index of its first.
             order = np.argsort(of, kind="stable").astype(np.int32)
-            order, where = order[: len(new) - int(bare.sum())], np.flatnonzero(bare).astype(np.int32)
-            held, first = np.unique(of[order], return_index=True)
-            cuts = pa.array([*first.tolist(), len(order)], pa.int32())
+            number = np.concatenate([np.arange(len(shared)), len(shared) + np.argsort(order)]).astype(np.int32)
+            flat = number[flat]
+            words, short = words.take(pa.array(order)), len(new) - int(bare.sum())
+            held, first = np.unique(of[order[:short]], return_index=True)
+            lists = pa.ListArray.from_arrays(pa.array([*first.tolist(), short], pa.int32()), words.slice(0, short))
             one = lambda a: pa.ListArray.from_arrays(pa.array([0, len(a)], pa.int32()), a)
-            lists = [pa.ListArray.from_arrays(cuts, a) for a in (words.take(pa.array(order)), pa.array(order))]
             row = [pa.array([unit]), pa.array([ids], pa.list_(pa.int64())), one(pa.array([len(a) for a in at], pa.int32())), pa.array([len(flat)]), pa.array([_pack(flat)], pa.binary())]
-            row += [one(pa.array(held.astype(np.int32))), one(lists[0]), one(lists[1]), one(words.take(pa.array(where))), one(pa.array(where))]
-            return pa.RecordBatch.from_arrays(row, ["unit", "docs", "counts", "n", "at", "bucket", "words", "words_at", "long", "long_at"])
+            row += [one(pa.array(held.astype(np.int32))), one(lists), one(pa.array(first.astype(np.int32))), one(words.slice(short))]
+            return pa.RecordBatch.from_arrays(row, ["unit", "docs", "counts", "n", "at", "bucket", "words", "first", "long"])
 
         def fresh() -> defaultdict:
             known: defaultdict = defaultdict(None, shared)
@@ -319,13 +321,13 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
     common_codes = docs.sparkSession.sparkContext.broadcast((np.diff(lists.offsets.to_numpy()).astype(np.int64), lists.flatten().to_numpy().astype(np.int32)))
     buckets = 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     split = Workspace(docs.sparkSession, "bpe").write(units(texts, pattern, buckets, common))
-    lists = split.select("unit", F.explode(F.arrays_zip("bucket", "words", "words_at")).alias("l")).select("unit", "l.*").repartition("bucket")
-    held = lists.select("unit", "bucket", F.explode(F.arrays_zip(F.col("words").alias("word"), F.col("words_at").alias("i"))).alias("w")).select("unit", "bucket", "w.word", "w.i")
+    lists = split.select("unit", F.explode(F.arrays_zip("bucket", "words", "first")).alias("l")).select("unit", "l.*").repartition("bucket")
+    held = lists.select("unit", "bucket", "first", F.posexplode("words").alias("k", "word")).select("unit", "bucket", "word", (F.col("first") + F.col("k")).alias("i"))
     # Grouped inside the buckets, without another shuffle.
     distinct = held.groupBy("bucket", "word", F.shiftright("unit", 32 + TOGETHER.bit_length() - 1).alias("tasks")).agg(F.collect_list(F.struct("unit", "i")).alias("places"))
     coded = distinct.select(encode_word(F.col("word"), table).alias("codes"), "places").select("codes", F.explode("places").alias("p"))
     coded = pack_codes(coded.select("p.unit", "p.i", "codes"))
-    heads = split.select("unit", F.struct("docs", "counts", "n", "at", "long", "long_at").alias("head"))
+    heads = split.select("unit", F.struct("docs", "counts", "n", "at", "long").alias("head"))
     both = heads.unionByName(coded, allowMissingColumns=True)
     dealt = both.repartition("unit").sortWithinPartitions("unit", F.col("head").isNull())
     pieces = [b""] * (max(ranks.values()) + 1)
@@ -338,8 +340,8 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, fin
         def rows_of(head: dict, parts: list[dict]) -> Iterator[pa.RecordBatch]:
             at = _unpack(head["at"], head["n"])
             shared_count, shared_flat = common_codes.value
-            index = np.concatenate([*(np.cumsum(_unpack(p["i"], p["words"])) for p in parts), np.array(head["long_at"], np.int64)]).astype(np.int64)
-            index = np.concatenate([np.arange(len(shared_count)), index + len(shared_count)])
+            short = np.concatenate([np.zeros(0, np.int64), *(np.cumsum(_unpack(p["i"], p["words"])) for p in parts)]).astype(np.int64)
+            index = np.concatenate([np.arange(len(shared_count)), np.concatenate([short, len(short) + np.arange(len(head["long"]))]) + len(shared_count)])
             long = [merge_by_heap(w.encode(), ranks) for w in head["long"]]
             count_in = np.concatenate([shared_count, *(_unpack(p["size"], p["words"]) for p in parts), np.array([len(c) for c in long], np.int64)]).astype(np.int64)
             flat = np.concatenate([shared_flat, *(_unpack(p["flat"], p["codes"]) for p in parts), *(np.array(c, np.int32) for c in long)])
