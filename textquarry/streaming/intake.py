@@ -18,19 +18,23 @@ from ..shared import shared_folder
 def run_available(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over what is there now into files of the shared folder, and read them back."""
     spark: SparkSession = stream.sparkSession
-    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    folder, epochs = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}", set()
 
     def keep(batch: DataFrame, epoch: int) -> None:
         batch.write.mode("overwrite").parquet(f"{folder}/out/epoch={epoch}")
+        epochs.add(epoch)
 
     stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{folder}/state").foreachBatch(keep).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{folder}/out").select(*stream.columns)
+    if not epochs:
+        return spark.createDataFrame([], stream.schema)
+    last = [max(epochs)] if mode == "complete" else sorted(epochs)  # each complete result holds those before it
+    return spark.read.schema(stream.schema).parquet(*(f"{folder}/out/epoch={e}" for e in last))
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A table as a file stream."""
+    """A table as a file stream; the table is one file or a folder of files, and the pattern matches both."""
     schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
+    return spark.readStream.schema(schema).parquet(f"{sf_dir}/{name}.parque[t]")
 
 
 def tumbling(events: DataFrame, size: str, late: str = "3 days", slide: str | None = None) -> DataFrame:
