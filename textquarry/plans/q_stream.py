@@ -52,8 +52,7 @@ def q_stream_attrition(spark, d):
 
 @query()
 def q_stream_near(spark, d):
-    """Documents that share a bucket with an earlier one, from state per bucket (tested against the batch)."""
+    """Documents that share a bucket with an earlier one, from a state table of buckets (tested against the batch)."""
     docs = intake.read(spark, d, "documents").select("doc_id", "lang", "text")
     bands = dedup.signatures(docs, config.DEDUP_NGRAM, *dedup.bands_at_recall()).select("doc_id", F.posexplode("bands").alias("band", "h"))
-    out = intake.run_available(intake.first_of_near_copies(bands))
-    return out.select("doc_id", "first").distinct()
+    return intake.near_copies_available(bands).select("doc_id", "first").distinct()

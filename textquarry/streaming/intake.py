@@ -6,9 +6,6 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Iterator
-
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -59,19 +56,30 @@ def running_attrition(docs: DataFrame, alive: dict) -> DataFrame:
     return docs.groupBy("lang").agg(*out)
 
 
-def first_of_near_copies(bands: DataFrame, most: int = 64) -> DataFrame:
-    """(doc_id, band, h) as a stream to (doc_id, seen_in): bands whose bucket held an earlier document. State is the first id of each bucket; *most* bounds
-    nothing but the batch that one call makes."""
+def near_copies_available(bands: DataFrame) -> DataFrame:
+    """(doc_id, band, first) of a stream of (doc_id, band, h): documents whose bucket held an earlier one, of a batch before or with a smaller id.
+
+    State is a table of the first id of each bucket, in files by epoch; a repeated epoch writes its own again. Nothing runs per bucket.
+    """
+    spark = bands.sparkSession
+    folder, epochs = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}", set()
+    key = ["band", "h"]
 
-    def run(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        first = state.get[0] if state.exists else None
-        for part in parts:
-            ids = sorted(part.doc_id.tolist())
-            if first is None:
-                first = ids.pop(0)
-            for at in range(0, len(ids), most):
-                yield pd.DataFrame({"doc_id": ids[at : at + most], "band": key[0], "first": first})
-        if first is not None:
-            state.update((first,))
+    def keep(batch: DataFrame, epoch: int) -> None:
+        batch.select("doc_id", *key).write.mode("overwrite").parquet(f"{folder}/bands/epoch={epoch}")
+        held = spark.read.schema(batch.select("doc_id", *key).schema).parquet(f"{folder}/bands/epoch={epoch}")
+        least = held.groupBy(*key).agg(F.min("doc_id").alias("least"))
+        before = sorted(e for e in epochs if e < epoch)
+        if before:
+            known = spark.read.schema("band int, h long, first long").parquet(*(f"{folder}/first/epoch={e}" for e in before))
+            least = least.join(known, key, "left")
+        else:
+            least = least.withColumn("first", F.lit(None).cast("long"))
+        least.filter("first is null").select(*key, F.col("least").alias("first")).write.mode("overwrite").parquet(f"{folder}/first/epoch={epoch}")
+        found = held.join(least.select(*key, F.coalesce("first", "least").alias("first")), key).filter(F.col("doc_id") != F.col("first"))
+        found.select("doc_id", "band", "first").write.mode("overwrite").parquet(f"{folder}/out/epoch={epoch}")
+        epochs.add(epoch)
 
-    return bands.groupBy("band", "h").applyInPandasWithState(run, "doc_id long, band int, first long", "first long", "append", "NoTimeout")
+    bands.writeStream.trigger(availableNow=True).option("checkpointLocation", f"{folder}/state").foreachBatch(keep).start().awaitTermination()
+    schema = "doc_id long, band int, first long"
+    return spark.read.schema(schema).parquet(*(f"{folder}/out/epoch={e}" for e in sorted(epochs))) if epochs else spark.createDataFrame([], schema)
