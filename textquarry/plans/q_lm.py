@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from .. import config
 from ..functions import text as T
-from ..operators import lid, lm, report
+from ..operators import lid, lm, lm_buckets, report
 from ..registry import query, table
 from .q_curation import FOLDED, SENTENCES, SPLIT
 
@@ -81,10 +81,29 @@ def model_of(spark, d, order: int = ORDER, modified: bool = True):
     return lm.kneser_ney(lm.sequences(parts(spark, d)[0]), order, modified)
 
 
+def in_buckets(train, sequences=lm.sequences):
+    """The model of training documents by buckets."""
+    return lm_buckets.Bucketed(sequences(train), lm_buckets.bucket_count(train))
+
+
 def scored(spark, d):
-    _, valid, new = parts(spark, d)
-    model = model_of(spark, d)
-    return lm.perplexity(lm.sequences(valid), model), lm.perplexity(lm.sequences(new), model)
+    """Perplexities of the validation and of the unverified documents, in one pass written once."""
+    train, valid, new = parts(spark, d)
+    model = in_buckets(train)
+    both = model.space.write(model.perplexity(lm.sequences(valid.drop("part").unionByName(new))))
+    ids = valid.select("doc_id")
+    return both.join(ids, "doc_id", "left_semi"), both.join(ids, "doc_id", "left_anti")
+
+
+def scored_valid(spark, d):
+    train, valid, _ = parts(spark, d)
+    return in_buckets(train).perplexity(lm.sequences(valid))
+
+
+def scored_new(spark, d):
+    train, _, new = parts(spark, d)
+    model = in_buckets(train)
+    return model.space.write(model.perplexity(lm.sequences(new)))
 
 
 @query(f"SELECT doc_id, lang, {PART} AS part FROM ({SPLIT}) WHERE split = 'verified'")
@@ -154,14 +173,14 @@ def q_ppl_bigram(spark, d):
 
 @query(f"WITH {FLOW} SELECT doc_id, lang, tokens, ppl FROM val")
 def q_ppl_5gram(spark, d):
-    """Order 5 by the compiled model."""
-    return lm.perplexity(lm.sequences(parts(spark, d)[1]), model_of(spark, d), "compiled")
+    """Order 5 by buckets: no model reaches the driver."""
+    return scored_valid(spark, d)
 
 
 @query(f"WITH {FLOW} SELECT doc_id, lang, tokens, ppl FROM val")
 def q_ppl_5gram_joined(spark, d):
-    """Order 5 by joins, as a model beyond the compiled size."""
-    return lm.perplexity(lm.sequences(parts(spark, d)[1]), model_of(spark, d), "join")
+    """Order 5 as positions that meet the model in its buckets (a join by language and context), whatever the model's size."""
+    return scored_valid(spark, d)
 
 
 @query()
@@ -171,12 +190,13 @@ def q_ppl_subword(spark, d):
 
     train, valid, _ = parts(spark, d)
     file = public_tokenizers.path("piece_bpe_32k.model")
-    return lm.perplexity(lm.subword_sequences(valid, file), lm.kneser_ney(lm.subword_sequences(train, file)))
+    cut = lambda docs: lm.subword_sequences(docs, file)
+    return in_buckets(train, cut).perplexity(cut(valid))
 
 
 @query(f"WITH {FLOW} SELECT lang, threshold FROM thr")
 def q_ppl_threshold(spark, d):
-    return lm.thresholds(scored(spark, d)[0])
+    return lm.thresholds(scored_valid(spark, d))
 
 
 @query(f"WITH {FLOW} SELECT doc_id, new.lang, ppl FROM new JOIN thr ON new.lang = thr.lang WHERE ppl <= threshold")
@@ -193,14 +213,14 @@ def q_ppl_report(spark, d):
 
 @query(f"WITH {FLOW} SELECT lang, floor(log10(ppl) * 5)::BIGINT AS bin, count(*) AS n FROM new GROUP BY ALL")
 def q_ppl_hist(spark, d):
-    return scored(spark, d)[1].groupBy("lang", F.floor(F.log10("ppl") * 5).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
+    return scored_new(spark, d).groupBy("lang", F.floor(F.log10("ppl") * 5).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(f"WITH {FLOW} SELECT lang, avg(log10(ppl)) AS mean_log, stddev_samp(log10(ppl)) AS deviation, quantile_cont(log10(ppl), 0.25) AS q25, quantile_cont(log10(ppl), 0.5) AS q50, quantile_cont(log10(ppl), 0.75) AS q75 FROM new GROUP BY lang")
 def q_ppl_spread(spark, d):
     """How tight or dispersed the log-perplexities of a language are."""
     x = F.log10("ppl")
-    return scored(spark, d)[1].groupBy("lang").agg(F.avg(x).alias("mean_log"), F.stddev_samp(x).alias("deviation"), *(F.percentile(x, F.lit(q)).alias(f"q{round(q * 100)}") for q in (0.25, 0.5, 0.75)))
+    return scored_new(spark, d).groupBy("lang").agg(F.avg(x).alias("mean_log"), F.stddev_samp(x).alias("deviation"), *(F.percentile(x, F.lit(q)).alias(f"q{round(q * 100)}") for q in (0.25, 0.5, 0.75)))
 
 
 @query(f"WITH {FLOW} SELECT new.lang, q, count(*) FILTER (ppl <= t) AS chosen, sum(CASE WHEN ppl <= t THEN tokens ELSE 0 END)::BIGINT AS tokens FROM new JOIN (SELECT lang, unnest([0.5, 0.8, 0.95])::DOUBLE AS q, unnest(quantile_cont(ppl, [0.5, 0.8, 0.95])) AS t FROM val GROUP BY lang) s ON s.lang = new.lang GROUP BY ALL")
@@ -216,7 +236,7 @@ def q_ppl_sweep(spark, d):
 @query(f"WITH {FLOW}, cu AS (SELECT lang, quantile_cont(ppl, 1.0/3) AS a, quantile_cont(ppl, 2.0/3) AS b FROM new GROUP BY lang) SELECT doc_id, new.lang, 1 + (ppl > a)::INTEGER + (ppl > b)::INTEGER AS bucket FROM new JOIN cu ON cu.lang = new.lang")
 def q_ppl_buckets(spark, d):
     """Head, middle and tail by tertiles."""
-    return lm.ppl_buckets(scored(spark, d)[1])
+    return lm.ppl_buckets(scored_new(spark, d))
 
 
 @query()
