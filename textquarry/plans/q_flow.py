@@ -81,9 +81,12 @@ def q_unverified_flow(spark, d):
     alive = base.filter(F.col("clean_text").isNotNull() & F.col("keep")).select("doc_id", F.col("new_lang").alias("lang"), F.col("clean_text").alias("text"), "split")
     new = alive.filter("split = 'unverified'")
     fresh = new.join(dedup.dedup_against(new, alive.filter("split = 'verified'")), "doc_id", "left_anti")
-    model = q_lm.model_of(spark, d)
-    limits = lm.thresholds(lm.perplexity(lm.sequences(q_lm.parts(spark, d)[1]), model))
-    return lm.ppl_filter(lm.perplexity(lm.sequences(fresh), model), limits).select("doc_id", "lang", "ppl")
+    train, valid, _ = q_lm.parts(spark, d)
+    model = q_lm.in_buckets(train)
+    columns = ["doc_id", "lang", "text"]
+    both = model.space.write(model.perplexity(lm.sequences(valid.select(*columns).unionByName(fresh.select(*columns)))))
+    ids = valid.select("doc_id")
+    return lm.ppl_filter(both.join(ids, "doc_id", "left_anti"), lm.thresholds(both.join(ids, "doc_id", "left_semi"))).select("doc_id", "lang", "ppl")
 
 
 @query(f"""WITH {CLEAN} SELECT 'read' AS stage, count(*) AS rows_out, coalesce(sum(octet_length(encode(text))), 0)::BIGINT AS bytes_out FROM ({SPLIT}) UNION ALL SELECT 'cleaned', count(*), coalesce(sum(octet_length(encode(clean_text))), 0)::BIGINT FROM cleaned WHERE clean_text IS NOT NULL""")
