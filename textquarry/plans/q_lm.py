@@ -90,7 +90,7 @@ def scored(spark, d):
     """Perplexities of the validation and of the unverified documents, in one pass written once."""
     train, valid, new = parts(spark, d)
     model = in_buckets(train)
-    both = model.space.write(model.perplexity(lm.sequences(valid.drop("part").unionByName(new))))
+    both = model.space.write(model.perplexity(lm.sequences(valid.drop("part").unionByName(new))), free=True)
     ids = valid.select("doc_id")
     return both.join(ids, "doc_id", "left_semi"), both.join(ids, "doc_id", "left_anti")
 
