@@ -103,7 +103,7 @@ def scored_valid(spark, d):
 def scored_new(spark, d):
     train, _, new = parts(spark, d)
     model = in_buckets(train)
-    return model.space.write(model.perplexity(lm.sequences(new)))
+    return model.space.write(model.perplexity(lm.sequences(new)), free=True)
 
 
 @query(f"SELECT doc_id, lang, {PART} AS part FROM ({SPLIT}) WHERE split = 'verified'")
