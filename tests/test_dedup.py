@@ -82,3 +82,15 @@ def test_pairs_without_bands_equal_all_pairs(spark):
     assert got == {(r["src"], r["dst"]): r["jaccard"] for r in exact.collect() if copies[r["src"]] == r["src"] and copies[r["dst"]] == r["dst"]} and len(got) > 1000
     assert {(r["node"], r["root"]) for r in x.clusters().collect()} == {(r["node"], r["root"]) for r in dedup.components(exact).collect()}
     assert dedup.Exact(docs.limit(0)).clusters().count() == 0
+
+
+def test_pairs_without_bands_do_not_join_posting_lists(spark, sf_dir, monkeypatch):
+    from textquarry import plans, registry
+
+    plans.load()
+
+    def refuse(*_, **__):
+        raise AssertionError("all pairs of posting lists")
+
+    monkeypatch.setattr(dedup, "exact_jaccard_pairs", refuse)
+    assert all(registry.QUERIES[q](spark, sf_dir).count() for q in ("q_jaccard_pairs", "q_dedup_brute", "q_lsh_quality"))
