@@ -190,7 +190,7 @@ def q_ppl_subword(spark, d):
 
     train, valid, _ = parts(spark, d)
     file = public_tokenizers.path("piece_bpe_32k.model")
-    cut = lambda docs: lm.subword_sequences(docs, file)
+    cut = lambda docs: lm.Subwords(docs, file)
     return in_buckets(train, cut).perplexity(cut(valid))
 
 
