@@ -3,13 +3,15 @@
 Vectors are turned into integers, floor(64 x). One more coordinate makes all stored vectors equally long,
 so that a larger inner product is a smaller distance: d(q, x)^2 = |q|^2 + M - 2 q.x with M the greatest squared length.
 Distances of every vector to `PIVOTS` pivots are the table, written beside the vectors. For a query, the greatest difference of its own pivot
-distances and a vector's is a lower bound of their distance, hence an upper bound of their score. Rows whose bound reaches the
-threshold are evaluated in the order of their bounds, until the next bound is under the k-th score so far. The first
+distances and a vector's is a lower bound of their distance, hence an upper bound of their score. Runs of rows whose bound reaches the
+threshold of a query are evaluated in the order of their bounds, until the next bound is under its k-th score so far. The first
 threshold of a query comes from a bounded sample, whose exact scores are real candidates.
 
 Rows are dealt by nearest pivot (a range partition with the distance and the id as further keys, so that a vector that a
-third of the rows repeat spreads) into blocks of about `HELD` rows. A task holds one block, cut into runs of `RUN` rows with intervals of pivot
-distances, which eliminate whole runs first, and the queries stream past it; nothing passes through the driver, and memory is bounded by the block.
+third of the rows repeat spreads) into blocks of about `HELD` rows. A task holds one block, cut into runs of `RUN` rows at most, rings
+around one pivot, with intervals of pivot distances, which eliminate whole runs, and the queries stream past it, `TOGETHER` at a time, neighbours first: one matrix product for all queries
+that a run is open to. Only long vectors (`WIDE`) are bounded row by row within a run: for others 128 differences cost far more than the product
+that they may save. Nothing passes through the driver, and memory is bounded by the block.
 Each block answers with k rows per query at most, and a last aggregation keeps k per query.
 
 How much is eliminated depends on the vectors: `evaluated` reports it. Vectors without clusters (independent components, 64 of them) lie at nearly
@@ -32,6 +34,10 @@ from pyspark.sql import functions as F
 from ._tables import Workspace
 
 PIVOTS, SAMPLE, HELD, RUN, STEP = 128, 4096, 65_536, 256, 1024
+#: Queries that are searched together, and answers after which their thresholds are raised.
+TOGETHER, FRESH = 256, 32_768
+#: Vectors so many times longer than the list of pivots cost more to multiply than to bound one by one.
+WIDE = 16
 #: Rounding of distances and bounds; scores are whole numbers.
 SLACK = 0.25
 SCALE = 64
@@ -66,48 +72,83 @@ def _distances(x: np.ndarray, last: np.ndarray, pivots: np.ndarray, pivot_last:
 
 
 class _Block:
-    """Rows of one block and their pivot distances."""
+    """Rows of one block and their pivot distances; *x* is of a type in which all products are exact."""
 
     def __init__(self, ids: np.ndarray, x: np.ndarray, d: np.ndarray, top: float) -> None:
-        self.ids, self.x, self.d, self.top = ids, x, np.ascontiguousarray(d.T, np.float32), top
-        at = np.arange(0, len(ids), RUN)
+        # Runs are rings of one cell: the shuffle that brings the rows need not keep their order.
+        cell = d.argmin(1)
+        turn = np.lexsort((d[np.arange(len(d)), cell], cell))
+        self.ids, self.x, self.d, self.top = ids[turn], x[turn], np.ascontiguousarray(d[turn].T, np.float32), top
+        cell = cell[turn]
+        at = np.flatnonzero((np.arange(len(cell)) - np.searchsorted(cell, cell)) % RUN == 0)
+        self.at = np.append(at, len(ids))
         self.low, self.high = np.minimum.reduceat(self.d, at, axis=1), np.maximum.reduceat(self.d, at, axis=1)
 
-    def _bound(self, square: float, far: np.ndarray) -> np.ndarray:
-        """Upper bound of the score from a lower bound of the distance."""
-        return (square + self.top - far.astype(np.float64) ** 2) / 2 + SLACK
-
-    def search(self, q_id: int, q: np.ndarray, q_d: np.ndarray, floor: float, k: int) -> tuple[np.ndarray, np.ndarray, int]:
-        """Ids and scores of the k best of the block that reach the floor, and how many rows were evaluated."""
-        square, q_d = float(q @ q), q_d.astype(np.float32)[:, None]
-        runs = np.flatnonzero(self._bound(square, np.maximum(self.low - q_d, q_d - self.high).max(0).clip(0)) >= floor)
-        if len(runs) == self.low.shape[1]:
-            rows, d = None, self.d
-        else:
-            rows = (runs[:, None] * RUN + np.arange(RUN)[None, :]).reshape(-1)
-            rows = rows[rows < len(self.ids)]
-            d = self.d[:, rows]
-        far, gap = np.zeros(d.shape[1], np.float32), np.empty(d.shape[1], np.float32)
+    def _bound(self, square: np.ndarray, far: np.ndarray) -> np.ndarray:
+        """Upper bound of the score from a lower bound of the distance, with room for the rounding of distances."""
+        return (square + self.top - far.astype(np.float64) ** 2) / 2 + SLACK + (square + self.top) * 2.0**-21
+
+    def _runs(self, square: np.ndarray, q_d: np.ndarray) -> np.ndarray:
+        """Bounds of all queries and runs by the intervals of pivot distances."""
+        far = np.zeros((len(q_d), self.low.shape[1]), np.float32)
+        gap = np.empty_like(far)
+        for p in range(len(self.low)):
+            own = q_d[:, p, None]
+            np.maximum(far, np.subtract(self.low[p], own, out=gap), out=far)
+            np.maximum(far, np.subtract(own, self.high[p], out=gap), out=far)
+        return self._bound(square[:, None], far)
+
+    def _rows(self, square: np.ndarray, q_d: np.ndarray, rows: slice) -> np.ndarray:
+        """Bounds of all queries and the rows of a run by the table itself."""
+        d = self.d[:, rows]
+        far = np.zeros((len(q_d), d.shape[1]), np.float32)
+        gap = np.empty_like(far)
         for p in range(len(d)):
-            np.subtract(d[p], q_d[p], out=gap)
-            np.abs(gap, out=gap)
-            np.maximum(far, gap, out=far)
-        bound = self._bound(square, far)
-        open_rows = np.flatnonzero(bound >= floor)
-        open_rows = open_rows[np.argsort(-bound[open_rows], kind="stable")]
-        best_s, best_i, done = np.zeros(0), np.zeros(0, np.int64), 0
-        for at in range(0, len(open_rows), STEP):
-            step = open_rows[at : at + STEP]
-            if len(best_s) == k and bound[step[0]] < best_s[-1]:
-                break
-            step = step if rows is None else rows[step]
-            done += len(step)
-            score, ids = np.rint(self.x[step] @ q), self.ids[step]
-            other = (ids != q_id) & (score >= (best_s[-1] if len(best_s) == k else floor))
-            best_s, best_i = np.concatenate([best_s, score[other]]), np.concatenate([best_i, ids[other]])
-            order = np.lexsort((best_i, -best_s))[:k]
-            best_s, best_i = best_s[order], best_i[order]
-        return best_i, best_s, done
+            np.maximum(far, np.abs(np.subtract(d[p], q_d[:, p, None], out=gap), out=gap), out=far)
+        return self._bound(square[:, None], far)
+
+    def search(self, q_ids: np.ndarray, q: np.ndarray, q_d: np.ndarray, floor: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """For queries together: places of queries, ids and scores of the k best of the block that reach the floor; how many rows each query evaluated."""
+        square, least, done = (q.astype(np.float64) ** 2).sum(1), floor.astype(np.float64), np.zeros(len(q), np.int64)
+        q, q_d = q.astype(self.x.dtype), q_d.astype(np.float32)
+        bound = self._runs(square, q_d)
+        who, ids, scores, fresh = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)], 0
+
+        def best() -> None:
+            """The k best so far; the k-th is the next threshold."""
+            nonlocal fresh
+            w, i, s = np.concatenate(who), np.concatenate(ids), np.concatenate(scores)
+            turn = np.lexsort((i, -s, w))
+            w, i, s = w[turn], i[turn], s[turn]
+            rank = np.arange(len(w)) - np.searchsorted(w, w)
+            full = rank == k - 1
+            least[w[full]] = s[full]
+            who[:], ids[:], scores[:], fresh = [w[rank < k]], [i[rank < k]], [s[rank < k]], 0
+
+        for run in np.argsort(-bound.max(0), kind="stable"):
+            at = np.flatnonzero(bound[:, run] >= least)
+            if not len(at):
+                continue
+            rows = slice(self.at[run], self.at[run + 1])
+            x, own = self.x[rows], self.ids[rows]
+            if x.shape[1] >= WIDE * len(self.d):
+                some = (self._rows(square[at], q_d[at], rows) >= least[at, None]).any(0)
+                x, own = x[some], own[some]
+            score = (q if len(at) == len(q) else q[at]) @ x.T
+            done[at] += len(own)
+            hit = np.flatnonzero(score >= least[at, None].astype(score.dtype))
+            if len(hit):
+                row, column = np.divmod(hit, len(own))
+                found = own[column]
+                other = found != q_ids[at[row]]
+                who.append(at[row[other]])
+                ids.append(found[other])
+                scores.append(score.reshape(-1)[hit[other]].astype(np.float64))
+                fresh += len(ids[-1])
+                if fresh >= FRESH:
+                    best()
+        best()
+        return who[0], ids[0], scores[0], done
 
 
 def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector_col: str, held: int) -> tuple[Workspace, DataFrame] | None:
@@ -128,6 +169,8 @@ def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector
     square = F.aggregate("v", F.lit(0).cast("long"), lambda a, x: a + x * x)
     count, top = rows.agg(F.count(F.lit(1)), F.max(square)).first()
     top = float(top)
+    # Whole numbers, and all their partial sums, are exact below 2^24 in short floats.
+    kind = np.float32 if top * (asked.agg(F.max(square)).first()[0] or 0) < 2.0**48 else np.float64
     pivots = choose_pivots(sample_x, PIVOTS)
     pivot_last = np.sqrt(np.maximum(top - (pivots**2).sum(1), 0))
 
@@ -143,8 +186,10 @@ def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector
                 )
 
     table = rows.mapInArrow(tabulate, "id long, v array<long>, d array<float>, cell int, near double")
-    # At least a block per core, while blocks have some rows.
-    blocks = max(1, -(-count // held), min(spark.sparkContext.defaultParallelism, count // STEP))
+    # At least a block per core, while blocks have some rows, and as many for each core.
+    cores = spark.sparkContext.defaultParallelism
+    blocks = max(1, -(-count // held), min(cores, count // STEP))
+    blocks = -(-blocks // cores) * cores if blocks > cores else blocks
     table = table.repartitionByRange(blocks, "cell", "near", "id").sortWithinPartitions("cell", "near", "id")
     table = space.write(table.select(F.pmod(F.spark_partition_id(), F.lit(blocks)).alias("p"), "id", "v", "d"))
 
@@ -156,12 +201,11 @@ def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector
                 score = np.rint(q @ sample_x.T)
                 score[own[:, None] == sample_ids[None, :]] = -np.inf
                 floor = np.partition(score, -k, axis=1)[:, -k] if score.shape[1] > k else np.full(len(q), -np.inf)
-                d = _distances(q, np.zeros(len(q)), pivots, pivot_last).astype(np.float32)
-                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, d.size + 1, d.shape[1], dtype=np.int32)), pa.array(d.reshape(-1)))
-                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("v"), lists, pa.array(floor)], ["id", "v", "d", "floor"])
+                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("v"), pa.array(floor)], ["id", "v", "floor"])
 
-    asked = asked.mapInArrow(first_threshold, "id long, v array<long>, d array<float>, floor double")
-    asked = space.write(asked).select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("p"), "id", "v", "d", "floor")
+    # Each block makes the pivot distances of the queries again: they are longer than the queries, of which every block has a copy.
+    asked = asked.mapInArrow(first_threshold, "id long, v array<long>, floor double")
+    asked = space.write(asked).select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("p"), "id", "v", F.lit(None).cast("array<float>").alias("d"), "floor")
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, parts, block = None, [], None
@@ -172,21 +216,27 @@ def _answers(vectors: DataFrame, queries: DataFrame, k: int, id_col: str, vector
                 if low == high:
                     continue
                 part = batch.slice(low, high - low)
-                x, d, ids = _rows(part.column("v"), dim), _rows(part.column("d"), len(pivots)).astype(np.float32), part.column("id").to_numpy()
+                x, ids = _rows(part.column("v"), dim), part.column("id").to_numpy()
                 if p[low] != key:
                     key, parts, block = p[low], [], None
                 if not is_query[low]:
-                    parts.append((ids, x, d))
+                    parts.append((ids, x.astype(kind), _rows(part.column("d"), len(pivots)).astype(np.float32)))
                     continue
                 if not parts:
                     continue
                 if block is None:
-                    block = _Block(*(np.concatenate([part[i] for part in parts]) for i in range(3)), top)
-                floor, out = part.column("floor").to_numpy(), []
-                for n in range(len(ids)):
-                    found, score, done = block.search(ids[n], x[n], d[n], floor[n], k)
-                    out += [(ids[n], i, int(s), key, done, len(block.ids)) for i, s in zip(found.tolist(), score.tolist(), strict=True)] or [(ids[n], None, None, key, done, len(block.ids))]
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score", "block", "evaluated", "rows"])
+                    block, parts = _Block(*(np.concatenate([part[i] for part in parts]) for i in range(3)), top), [()]
+                d, floor = _distances(x, np.zeros(len(x)), pivots, pivot_last), part.column("floor").to_numpy()
+                # Neighbours ask for the same runs.
+                turn = np.argsort(d.argmin(1), kind="stable")
+                for begin in range(0, len(turn), TOGETHER):
+                    own = turn[begin : begin + TOGETHER]
+                    who, found, score, done = block.search(ids[own], x[own], d[own], floor[own], k)
+                    none = np.setdiff1d(np.arange(len(own)), who)
+                    at, empty = np.concatenate([who, none]), pa.nulls(len(none), pa.int64())
+                    same = lambda value: pa.array(np.full(len(at), value, np.int64))  # noqa: B023, E731
+                    columns = [pa.array(ids[own][at]), pa.concat_arrays([pa.array(found), empty]), pa.concat_arrays([pa.array(score.astype(np.int64)), empty]), same(key), pa.array(done[at]), same(len(block.ids))]
+                    yield pa.RecordBatch.from_arrays(columns, ["query_id", "vec_id", "score", "block", "evaluated", "rows"])
 
     both = table.withColumn("floor", F.lit(None).cast("double")).unionByName(asked)
     dealt = both.repartitionById(blocks, "p").sortWithinPartitions("p", F.col("floor").isNotNull())
